@@ -13,6 +13,8 @@ from pyspark.sql import functions as F
 
 from weftgraph.llm.exact_dedup import exact_dedup
 from weftgraph.llm.line_dedup import line_dedup
+from weftgraph.llm.near_dedup import NearDupParams, near_dup_groups
+from weftgraph.llm.packing import pack_documents
 from weftgraph.plans.common import table
 
 
@@ -25,9 +27,19 @@ def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return cut.select("doc_id", "n_lines", "n_dropped", F.sha2("text", 256).alias("kept_sha256"))
 
 
+def op7_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dup_groups(table(spark, sf_dir, "documents"), NearDupParams(words=3, num=85, den=100))
+
+
+def op8_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pack_documents(table(spark, sf_dir, "documents"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_exact_dedup": op1_exact_dedup,
     "op3_line_dedup": op3_line_dedup,
+    "op7_near_dedup": op7_near_dedup,
+    "op8_best_fit_packing": op8_best_fit_packing,
 }
 
 ORACLE_SQL: dict[str, str] = {
