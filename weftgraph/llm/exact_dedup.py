@@ -20,7 +20,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from weftgraph.plans.common import BROADCAST_ROWS, checked_broadcast
+from weftgraph.plans.common import BROADCAST_ROWS, checked_broadcast, cut
 
 PREFIX_CHARS = 256
 
@@ -47,10 +47,10 @@ def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     """
     norm = normalised(F.col(text_col))
     base = docs.select(F.col(id_col).alias("_id"), norm.alias("_t"))
-    lengths = checked_broadcast(base.groupBy(F.length("_t").alias("_n")).agg(F.count("*").alias("c")).where("c > 1").select("_n"), broadcast_rows)
+    lengths = checked_broadcast(cut(base.groupBy(F.length("_t").alias("_n")).agg(F.count("*").alias("c")).where("c > 1").select("_n")), broadcast_rows)
     prefix = F.xxhash64(F.substring("_t", 1, prefix_chars))
     shared = base.withColumn("_n", F.length("_t")).join(lengths, "_n", "left_semi").select("_n", prefix.alias("_p"))
-    pairs = shared.groupBy("_n", "_p").agg(F.count("*").alias("c")).where("c > 1").select("_n", "_p")
+    pairs = cut(shared.groupBy("_n", "_p").agg(F.count("*").alias("c")).where("c > 1").select("_n", "_p"))
     hinted = checked_broadcast(pairs, broadcast_rows)
     wide = base.select("_id", "_t", F.length("_t").alias("_n"), prefix.alias("_p"))
     if hinted is pairs:
