@@ -13,6 +13,9 @@ from a range sort with two passes and takes its place from the plan.
 from __future__ import annotations
 
 import bisect
+import os
+import re
+import struct
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -25,7 +28,7 @@ from pyspark.sql import functions as F
 from weftgraph.plans.common import ordinal, written
 
 CAPACITY, END_ID = 4096, 1
-_CACHE_WORDS = 400_000
+_CACHE_WORDS = 500_000
 
 
 def default_vocabulary() -> str:
@@ -34,30 +37,63 @@ def default_vocabulary() -> str:
     return public_tokenizers.path("word_bpe_49k.json")
 
 
-class WordTokens:
-    """Token ids of whole texts, with a bounded memory of words.
+#: Letters of Latin-1 in lower case, and what the tokenizer takes as white space there.
+_LETTERS, _WHITE = "a-z\u00aa\u00b5\u00ba\u00df-\u00f6\u00f8-\u00ff", "\t-\r \u0085\u00a0"
+_RUNS = re.compile(f"[{_LETTERS}]+|[^{_LETTERS}{_WHITE}]+")
+
 
-    The tokenizer drops white space and no token crosses it, so a text's ids
-    are those of its space-separated words one after another; each distinct
-    word is encoded once per task until the memory is full and starts anew.
+class WordTokens:
+    """Token ids of whole texts, with a bounded memory of their parts.
+
+    The tokenizer drops white space, and no token crosses it or the border of
+    letters and other characters. A text's ids are therefore those of its
+    parts one after another. Texts in Latin-1 without apostrophes (which join
+    letters) and special tokens are put in lower case and cut into runs of
+    letters and of other characters; there, the tokenizer's normalisation
+    changes nothing more, so letters are encoded by one that has the same
+    model without it. Other texts are cut at spaces and newlines only. Each
+    distinct part is encoded once until the memory is full and starts anew.
     """
 
     def __init__(self, vocabulary: str, limit: int = _CACHE_WORDS):
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # one task, one core
         from tokenizers import Tokenizer
+        from tokenizers.pre_tokenizers import ByteLevel
+
+        self.whole, self.limit = Tokenizer.from_file(vocabulary), limit
+        self.letters = Tokenizer.from_file(vocabulary)
+        self.letters.normalizer = None
+        self.letters.pre_tokenizer = ByteLevel(add_prefix_space=False, use_regex=False)
+        self.known: dict[str, bytes] = {}
+
+    @staticmethod
+    def cut(text: str) -> tuple[bool, list[str]]:
+        if "'" not in text and "<|" not in text:
+            try:
+                text.encode("latin-1")
+            except UnicodeEncodeError:
+                pass
+            else:
+                return True, _RUNS.findall(text.lower())
+        return False, text.replace("\n", " ").split(" ")
 
-        self.tokenizer, self.limit, self.known = Tokenizer.from_file(vocabulary), limit, {}
+    def _learn(self, tokenizer, parts: list[str]) -> None:
+        for at in range(0, len(parts), 4096):
+            some = parts[at : at + 4096]
+            for part, code in zip(some, tokenizer.encode_batch_fast(some, add_special_tokens=False), strict=True):
+                ids = code.ids
+                self.known[part] = struct.pack(f"<{len(ids)}I", *ids)
 
     def encode(self, texts: list[str]) -> list[np.ndarray]:
-        split = [t.replace("\n", " ").split(" ") for t in texts]
         if len(self.known) > self.limit:
             self.known = {}
-        new = list({w for words in split for w in words}.difference(self.known))
-        for at in range(0, len(new), 4096):
-            part = new[at : at + 4096]
-            for word, code in zip(part, self.tokenizer.encode_batch(part, add_special_tokens=False), strict=True):
-                self.known[word] = np.array(code.ids, "<u4").tobytes()
+        split = [self.cut(t) for t in texts]
+        runs = {p for simple, parts in split if simple for p in parts}.difference(self.known)
+        self._learn(self.letters, [p for p in runs if p[0].isalpha()])
+        rest = set().union(*[parts for simple, parts in split if not simple], [p for p in runs if not p[0].isalpha()])
+        self._learn(self.whole, list(rest.difference(self.known)))
         get = self.known.__getitem__
-        return [np.frombuffer(b"".join(map(get, words)), "<u4") for words in split]
+        return [np.frombuffer(b"".join(map(get, parts)), "<u4") for _, parts in split]
 
 
 def _pieces(vocabulary: str, capacity: int, end_id: int):
