@@ -11,10 +11,12 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from weftgraph.llm.ann import nearest
 from weftgraph.llm.exact_dedup import exact_dedup
 from weftgraph.llm.line_dedup import line_dedup
 from weftgraph.llm.near_dedup import NearDupParams, near_dup_groups
 from weftgraph.llm.packing import pack_documents
+from weftgraph.llm.toxicity import score_toxicity
 from weftgraph.plans.common import table
 
 
@@ -27,6 +29,15 @@ def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return cut.select("doc_id", "n_lines", "n_dropped", F.sha2("text", 256).alias("kept_sha256"))
 
 
+def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = table(spark, sf_dir, "documents").select("doc_id", "text")
+    return score_toxicity(rows, table(spark, sf_dir, "labels"), carry_text=False).select("doc_id", "held_out", "score", "predicted")
+
+
+def op6_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return nearest(table(spark, sf_dir, "embeddings"), F.pmod("vec_id", F.lit(20)) == 0)
+
+
 def op7_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dup_groups(table(spark, sf_dir, "documents"), NearDupParams(words=3, num=85, den=100))
 
@@ -38,6 +49,8 @@ def op8_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_exact_dedup": op1_exact_dedup,
     "op3_line_dedup": op3_line_dedup,
+    "op4_toxicity": op4_toxicity,
+    "op6_nearest": op6_nearest,
     "op7_near_dedup": op7_near_dedup,
     "op8_best_fit_packing": op8_best_fit_packing,
 }
