@@ -206,7 +206,7 @@ def nearest(vectors: DataFrame, is_query: Column, params: AnnParams = AnnParams(
     rows = named.where(F.size("vec") == lengths[0]["d"])
     n, n_query = (int(v or 0) for v in rows.agg(F.count("*"), F.sum(F.col("query").cast("long"))).head())
     sample = rows.select("vec").orderBy(F.xxhash64("id", F.lit(params.seed)), "id").limit(params.train_rows).collect()
-    book = fit_codebook(np.array([r["vec"] for r in sample], np.float64), params)
+    book = fit_codebook(np.unique(np.array([r["vec"] for r in sample], np.float64), axis=0), params)  # copies count once
     n_row_blocks, n_query_blocks = max(1, -(-n // params.block_rows)), max(1, -(-n_query // params.query_rows))
     row_block = F.pmod(F.xxhash64("id"), F.lit(n_row_blocks)).cast("int")
     query_block = F.pmod(F.xxhash64("id", F.lit(3)), F.lit(n_query_blocks)).cast("int")

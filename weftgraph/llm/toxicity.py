@@ -44,6 +44,7 @@ class TrainParams:
     hidden: int = 8
     char_epochs: int = 4
     window_epochs: int = 5
+    min_steps: int = 250
     seed: int = 17
 
 
@@ -219,10 +220,8 @@ def train(texts: list[str], toxic: list[int], params: TrainParams = TrainParams(
     p |= {"we": np.zeros((len(vocabulary) + 1, params.word_dim), np.float32), "at.W": (rng.standard_normal((2 * h, h)) / 4).astype(np.float32), "at.v": (rng.standard_normal(h) / 2).astype(np.float32), "o.w": (rng.standard_normal(2 * h) / 4).astype(np.float32), "o.b": np.zeros(1, np.float32)}
     model = Model(p, vocabulary, 0.0, 0.0)
     _train_chars(model, in_toxic, in_clean, share, params, rng)
-    # a word's own vector starts from how much more often toxic documents hold it
-    n1, n0 = y_doc.sum(), (1 - y_doc).sum()
-    odds = [np.log((in_toxic[w] + 0.2) / (n1 + 0.4)) - np.log((in_clean[w] + 0.2) / (n0 + 0.4)) for w in frequent]
-    p["we"][1:, 0] = np.clip(odds, -4, 4) / 4
+    # a word's own vector starts from the evidence that the word itself is toxic
+    p["we"][1:, 0] = np.clip(_evidence(np.array([in_toxic[w] for w in frequent]), np.array([in_clean[w] for w in frequent]), share), -6, 6) / 6
     _train_windows(model, docs, y_doc, params, rng)
     scorer = _Scorer(model)
     best = np.concatenate([scorer.logits(texts[i : i + 512]) for i in range(0, len(texts), 512)])
@@ -231,27 +230,32 @@ def train(texts: list[str], toxic: list[int], params: TrainParams = TrainParams(
     return model
 
 
-def _train_chars(model: Model, in_toxic: Counter, in_clean: Counter, share: float, params: TrainParams, rng) -> None:
-    """Characters: is a word one that only toxic documents hold?
+def _evidence(k: np.ndarray, c: np.ndarray, share: float) -> np.ndarray:
+    """Log odds that a word in k toxic and c clean documents marks toxic ones.
 
-    A word that clean documents hold is not. For one that k toxic and no clean
-    documents hold, the target is the chance that this is no accident.
+    Against a neutral word, found in toxic documents at their share, stands
+    one of whose documents 97 in 100 are labelled toxic; one word in a
+    thousand is expected to be like that.
     """
+    return np.log(0.001) + k * np.log(0.97 / share) + c * np.log(0.03 / (1 - share))
+
+
+def _train_chars(model: Model, in_toxic: Counter, in_clean: Counter, share: float, params: TrainParams, rng) -> None:
+    """Characters: the target of a word is the chance that it marks toxic documents."""
     types = sorted(in_toxic.keys() | in_clean.keys())
     if len(types) > params.word_types:
         keep = set(sorted((w for w in types if not in_clean[w]), key=lambda w: (-in_toxic[w], w))[: params.word_types // 2])
         rest = [w for w in types if w not in keep]
         types = sorted(keep | {rest[i] for i in rng.choice(len(rest), min(len(rest), params.word_types - len(keep)), replace=False)})
-    prior = 0.02
-    k = np.array([in_toxic[w] for w in types], np.float64)
-    clean = np.array([in_clean[w] for w in types])
-    y = np.where(clean > 0, 0.0, prior / (prior + (1 - prior) * share**k)).astype(np.float32)
-    weight = (1 + 4 * np.maximum(0, y - 0.5) + np.log1p(clean)).astype(np.float32)
+    k, clean = np.array([in_toxic[w] for w in types], np.float64), np.array([in_clean[w] for w in types], np.float64)
+    y = _sigmoid(np.clip(_evidence(k, clean, share), -30, 30)).astype(np.float32)
+    weight = (1 + 8 * np.maximum(0, y - 0.5) + np.log1p(clean)).astype(np.float32)
     adam = _Adam(model.p, 0.01)
     order = np.array(sorted(range(len(types)), key=lambda i: len(types[i])))
     batches = [order[i : i + 1024] for i in range(0, len(order), 1024)]
-    for epoch in range(params.char_epochs):
-        adam.rate = 0.01 if epoch < params.char_epochs - 1 else 0.003
+    epochs = max(params.char_epochs, -(-params.min_steps // len(batches)))
+    for epoch in range(epochs):
+        adam.rate = 0.01 if epoch < epochs - 1 else 0.003
         for b in rng.permutation(len(batches)):
             part = batches[b]
             codes, lengths = _char_input([types[i] for i in part])
@@ -271,7 +275,11 @@ def _train_chars(model: Model, in_toxic: Counter, in_clean: Counter, share: floa
 
 
 def _train_windows(model: Model, docs: list[list[bytes]], y_doc: np.ndarray, params: TrainParams, rng) -> None:
-    """Windows: of toxic documents the most suspect one, of clean ones the most suspect and a random one."""
+    """Windows: of toxic documents the most suspect one, of clean ones the most suspect and a random one.
+
+    At each step half of the words that are not suspect are replaced by words
+    drawn from clean documents, so that windows can't be learned by heart.
+    """
     types = sorted({w for d in docs for w in d})
     index = {w: i for i, w in enumerate(types)}
     chars = model.chars(types)
@@ -288,19 +296,25 @@ def _train_windows(model: Model, docs: list[list[bytes]], y_doc: np.ndarray, par
         for i in sorted(picks):
             windows.append(at[spans[i][0] : spans[i][0] + spans[i][1]])
             labels.append(y)
+    pool = np.array([index[w] for words, y in zip(docs, y_doc, strict=True) if not y for w in words])
+    pool = pool[rng.integers(len(pool), size=min(len(pool), 200_000))] if len(pool) else np.zeros(1, np.int64)
+    calm = suspect <= 0
     labels, lengths = np.array(labels, np.float32), np.array([len(w) for w in windows])
     weight = np.where(labels == 1, 0.5 / max(1, labels.sum()), 0.5 / max(1, (1 - labels).sum())).astype(np.float32)
     order = np.argsort(lengths, kind="stable")
     batches = [order[i : i + 128] for i in range(0, len(order), 128)]
     adam, n = _Adam(model.p, 0.01), params.hidden
-    for epoch in range(params.window_epochs):
-        adam.rate = 0.01 if epoch < params.window_epochs - 1 else 0.003
+    epochs = max(params.window_epochs, -(-params.min_steps // len(batches)))
+    for epoch in range(epochs):
+        adam.rate = 0.01 if epoch < epochs - 1 else 0.003
         for b in rng.permutation(len(batches)):
             part = batches[b]
             size, t = len(part), int(lengths[part].max())
             ids = np.zeros((t, size), np.int64)
             for j, i in enumerate(part):
                 ids[: lengths[i], j] = windows[i]
+            swap = calm[ids] & (rng.random(ids.shape) < 0.5)
+            ids[swap] = pool[rng.integers(len(pool), size=int(swap.sum()))]
             flip = _reversed_index(lengths[part], t)
             col = np.arange(size)[None, :]
             x = np.concatenate([model.p["we"][rows[ids]], chars[ids]], axis=2)
