@@ -13,6 +13,7 @@ from a range sort with two passes and takes its place from the plan.
 from __future__ import annotations
 
 import bisect
+import functools
 import os
 import re
 import struct
@@ -96,9 +97,15 @@ class WordTokens:
         return [np.frombuffer(b"".join(map(get, parts)), "<u4") for _, parts in split]
 
 
+@functools.lru_cache(maxsize=2)
+def _word_tokens(vocabulary: str) -> WordTokens:
+    """One encoder for all tasks of a worker process."""
+    return WordTokens(vocabulary)
+
+
 def _pieces(vocabulary: str, capacity: int, end_id: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = WordTokens(vocabulary)
+        words = _word_tokens(vocabulary)
         end = np.array([end_id], "<u4")
         for batch in batches:
             ids, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
