@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 
 from weftgraph.llm.ann import nearest
 from weftgraph.llm.exact_dedup import exact_dedup
+from weftgraph.llm.html_text import extract_text
 from weftgraph.llm.line_dedup import line_dedup
 from weftgraph.llm.near_dedup import NearDupParams, near_dup_groups
 from weftgraph.llm.packing import pack_documents
@@ -24,6 +25,10 @@ def op1_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup(table(spark, sf_dir, "documents"))
 
 
+def op2_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return extract_text(table(spark, sf_dir, "pages"))
+
+
 def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     cut = line_dedup(table(spark, sf_dir, "documents"))
     return cut.select("doc_id", "n_lines", "n_dropped", F.sha2("text", 256).alias("kept_sha256"))
@@ -48,6 +53,7 @@ def op8_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_exact_dedup": op1_exact_dedup,
+    "op2_html_text": op2_html_text,
     "op3_line_dedup": op3_line_dedup,
     "op4_toxicity": op4_toxicity,
     "op6_nearest": op6_nearest,
