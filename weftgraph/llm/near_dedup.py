@@ -33,12 +33,13 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from weftgraph.llm.memory import give_back
 from weftgraph.operators.components import connected_components
 from weftgraph.plans.common import cut, other_key, written
 
 BAND_ROWS, MISS, MANTISSA = 6, 1e-7, 10
 BLOCK_DOCS, BLOCK_SHINGLES, PIVOTS = 64, 1 << 20, 8
-_CACHE_WORDS = 300_000
+_CACHE_WORDS = 150_000
 
 
 @dataclass(frozen=True)
@@ -140,6 +141,7 @@ def _signatures(params: NearDupParams):
             offsets = np.concatenate(([0], np.cumsum([len(x) for x in keys]))).astype(np.int32)
             flat = np.concatenate(keys) if keys else np.empty(0, np.int64)
             yield pa.RecordBatch.from_arrays([ids.cast(pa.int64()), pa.array(n, pa.int64()), pa.array(digest, pa.binary()), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(flat, pa.int64()))], names=["_id", "n", "digest", "bands"])
+        give_back()
 
     return run
 
@@ -160,6 +162,7 @@ def _sets(params: NearDupParams):
                     regs.append(registers(s, mult, k).tobytes())
             at = pa.array(good, pa.int64())
             yield pa.RecordBatch.from_arrays([pa.array([nid[i] for i in good], pa.int64()), pa.array(sets, pa.binary()), pa.array(regs, pa.binary()), *[c.take(at) for c in rest]], names=["nid", "shingles", "regs", *batch.schema.names[3:]])
+        give_back()
 
     return run
 
@@ -243,6 +246,7 @@ def _link_groups(params: NearDupParams):
                 rows.append((nid, s, r, active))
         if rows:
             yield emit(rows)
+        give_back()
 
     return run
 

@@ -26,10 +26,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from weftgraph.llm.memory import give_back
 from weftgraph.plans.common import ordinal, written
 
 CAPACITY, END_ID = 4096, 1
-_CACHE_WORDS = 500_000
+_CACHE_WORDS = 250_000
 
 
 def default_vocabulary() -> str:
@@ -62,8 +63,7 @@ class WordTokens:
         from tokenizers.pre_tokenizers import ByteLevel
 
         self.whole, self.limit = Tokenizer.from_file(vocabulary), limit
-        self.letters = Tokenizer.from_file(vocabulary)
-        self.letters.normalizer = None
+        self.letters = Tokenizer(self.whole.model)  # the same model, not a copy
         self.letters.pre_tokenizer = ByteLevel(add_prefix_space=False, use_regex=False)
         self.known: dict[str, bytes] = {}
 
@@ -119,6 +119,7 @@ def _pieces(vocabulary: str, capacity: int, end_id: int):
             cols = list(zip(*rows, strict=True)) if rows else [[]] * 5
             kinds = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64()]
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names=["_id", "piece", "start", "length", "ids_crc32"])
+        give_back()
 
     return run
 

@@ -24,9 +24,11 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from weftgraph.llm.memory import give_back
+
 WINDOW, STRIDE = 64, 48
 PIECE = 24  # bytes; longer words become several, so that all characters count
-_CACHE_WORDS = 150_000
+_CACHE_WORDS = 80_000
 _STRIP = b".,;:!?#*%&$|\"'()[]{}<>=+-_/\\~^`@"
 
 
@@ -398,8 +400,8 @@ class _Scorer:
         spans = [(j, s, n) for j, x in enumerate(ids) if len(x) for s, n in windows_of(len(x))]
         logits = np.full(len(texts), -np.inf)
         spans.sort(key=lambda w: w[2])
-        for at in range(0, len(spans), 1024):
-            part = spans[at : at + 1024]
+        for at in range(0, len(spans), 512):
+            part = spans[at : at + 512]
             lengths = np.array([n for _, _, n in part])
             t = int(lengths.max())
             rows = np.zeros((t, len(part)), np.int64)
@@ -421,11 +423,12 @@ def _score_batches(model: Model | None):
         for batch in batches:
             i = batch.schema.get_field_index("_text")
             out = []
-            for at in range(0, batch.num_rows, 512):
-                texts = batch.column(i).slice(at, 512).to_pylist()
+            for at in range(0, batch.num_rows, 256):
+                texts = batch.column(i).slice(at, 256).to_pylist()
                 out.append(scorer.scores(texts) if scorer else np.zeros(len(texts)))
             score = np.concatenate(out) if out else np.empty(0)
             yield pa.RecordBatch.from_arrays([*batch.columns[:i], *batch.columns[i + 1 :], pa.array(score, pa.float64())], names=[*batch.schema.names[:i], *batch.schema.names[i + 1 :], "_score"])
+        give_back()
 
     return run
 
