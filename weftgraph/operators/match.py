@@ -13,8 +13,7 @@ from pyspark.sql import functions as F
 
 from weftgraph.functions.geo import cell, near_cells, point_segment
 from weftgraph.model import Graph
-from weftgraph.operators.kernels import settle
-from weftgraph.operators.sssp import many_costs, replicate
+from weftgraph.operators.sssp import many_costs, pair_costs, replicate
 
 
 # ------------------------------------------------------------ pairs of ends
@@ -47,47 +46,45 @@ def batch_pairs(graph: Graph, pairs: DataFrame, with_paths: bool = False) -> Dat
     Pairs are gathered by origin: each origin is solved once, and only until
     its destinations are settled. Tasks share the origins.
     """
-    shared = replicate(graph)
     wanted = pairs.select("src", "dst").distinct().groupBy("src").agg(F.collect_list("dst").alias("dsts"))
-    xy = None
-    if with_paths:
-        rows = graph.nodes.select("nid", "x", "y").toPandas()  # the graph's size is checked by replicate
-        xy = graph.spark.sparkContext.broadcast(dict(zip(rows["nid"].tolist(), zip(rows["x"].tolist(), rows["y"].tolist(), strict=True), strict=True)))
+    solved = _pair_lines(graph, wanted) if with_paths else pair_costs(graph, wanted)
+    kind = "double" if dict(graph.edges.dtypes)["weight"] == "double" else "long"
+    return pairs.select("pair_id", "src", "dst").join(solved, ["src", "dst"], "left").withColumn("cost", F.col("cost").cast(kind)).select("pair_id", "src", "dst", "cost", *(["wkt"] if with_paths else []))
+
+
+def _pair_lines(graph: Graph, wanted: DataFrame) -> DataFrame:
+    """(src, dst, cost, wkt) for rows (src, dsts)."""
+    shared = replicate(graph)
+    rows = graph.nodes.select("nid", "x", "y").toPandas()  # the graph's size is checked by replicate
+    text = dict(zip(rows["nid"].tolist(), [f"{x} {y}" for x, y in zip(rows["x"].tolist(), rows["y"].tolist(), strict=True)], strict=True))
+    points = graph.spark.sparkContext.broadcast(text)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         block = shared.value
-        lists = block.lists()
+        lists, at = block.lists(), [points.value.get(n, "") for n in block.ids.tolist()]
         for batch in batches:
             for src, dsts in zip(batch["src"], batch["dsts"], strict=True):
                 dsts = np.asarray(dsts, np.int64)
-                start, ends = int(block.place(np.array([src]))[0]), block.place(dsts)
+                start, ends = int(block.place(np.array([src]))[0]), block.place(dsts).tolist()
                 if start < 0:
-                    yield pd.DataFrame({"src": src, "dst": dsts, "cost": [0.0 if d == src else None for d in dsts], **({"wkt": None} if xy else {})})
+                    yield pd.DataFrame({"src": src, "dst": dsts, "cost": [0.0 if d == src else None for d in dsts], "wkt": None})
                     continue
-                stop = {int(i) for i in ends if i >= 0}
-                if xy is None:
-                    dist = [float("inf")] * len(block.ids)
-                    settle(lists, dist, [(0, start)], stop)
-                    cost = [dist[i] if i >= 0 and dist[i] < float("inf") else None for i in ends]
-                    yield pd.DataFrame({"src": src, "dst": dsts, "cost": cost})
-                    continue
-                dist, before = _tree(lists, start, stop)
+                dist, before = _tree(lists, start, {i for i in ends if i >= 0})
                 wkt = []
                 for i in ends:
-                    if int(i) not in dist:
+                    if i not in dist:
                         wkt.append(None)
                         continue
-                    way = [int(i)]
-                    while way[-1] != start:
-                        way.append(before[way[-1]])
-                    wkt.append("LINESTRING(" + ", ".join("{} {}".format(*xy.value[int(block.ids[k])]) for k in reversed(way)) + ")")
-                yield pd.DataFrame({"src": src, "dst": dsts, "cost": [dist.get(int(i)) for i in ends], "wkt": wkt})
+                    way = [at[i]]
+                    while i != start:
+                        i = before[i]
+                        way.append(at[i])
+                    way.reverse()
+                    wkt.append("LINESTRING(" + ", ".join(way) + ")")
+                yield pd.DataFrame({"src": src, "dst": dsts, "cost": [dist.get(i) for i in ends], "wkt": wkt})
 
-    schema = "src long, dst long, cost double" + (", wkt string" if with_paths else "")
     n = int(graph.spark.conf.get("spark.sql.shuffle.partitions"))
-    solved = wanted.repartition(4 * n, "src").mapInPandas(run, schema)
-    kind = "double" if dict(graph.edges.dtypes)["weight"] == "double" else "long"
-    return pairs.select("pair_id", "src", "dst").join(solved, ["src", "dst"], "left").withColumn("cost", F.col("cost").cast(kind)).select("pair_id", "src", "dst", "cost", *(["wkt"] if with_paths else []))
+    return wanted.select("src", "dsts").repartition(4 * n, "src").mapInPandas(run, "src long, dst long, cost double, wkt string")
 
 
 def od_within(graph: Graph, pairs: DataFrame, max_cost: int, depart: int = 0, arrive_by: str | None = None) -> DataFrame:
@@ -123,10 +120,10 @@ def candidates(graph: Graph, gps: DataFrame, radius: float, keep: int = 4) -> Da
     return scored.withColumn("_r", F.row_number().over(best)).where(F.col("_r") <= keep).select("trip_id", "seq", "eid", F.col("src").alias("u"), F.col("dst").alias("v"), "len", F.col("f.t").alias("t"), F.col("f.x").alias("px"), F.col("f.y").alias("py"), F.col("f.d").alias("d"))
 
 
-def _viterbi(samples: list[tuple], sigma: float, beta: float, near) -> list[int | None]:
+def _viterbi(samples: list[tuple], sigma: float, beta: float, steps) -> list[int | None]:
     """The best candidate of each sample; a chain breaks where no step is possible.
 
-    ``samples``: (x, y, candidates); ``near(c1, c2, limit)`` is the network distance.
+    ``samples``: (x, y, candidates); ``steps(before, after, straight)`` gives network distances.
     """
     choice: list[int | None] = [None] * len(samples)
     score, back, begin = None, [], 0
@@ -150,12 +147,7 @@ def _viterbi(samples: list[tuple], sigma: float, beta: float, near) -> list[int
             continue
         px, py, before = samples[i - 1]
         straight = math.hypot(x - px, y - py)
-        step = np.full((len(before), len(cands)), -np.inf)
-        for a, ca in enumerate(before):
-            for b, cb in enumerate(cands):
-                route = near(ca, cb, 2 * straight + 4)
-                if route < math.inf:
-                    step[a, b] = -abs(route - straight) / beta
+        step = -np.abs(steps(before, cands, straight) - straight) / beta
         total = score[:, None] + step
         if not np.isfinite(total).any():
             finish(i - 1)
@@ -167,43 +159,64 @@ def _viterbi(samples: list[tuple], sigma: float, beta: float, near) -> list[int
     return choice
 
 
-def _network(block_lists, place, ids):
-    """Distance between two points on edges, with searches remembered by node."""
-    memory: dict[tuple[int, float], dict[int, float]] = {}
-    offsets, targets, lengths = block_lists
+class _Network:
+    """Distances between points on edges; searches are remembered by node, for all trips of a worker."""
+
+    MOST = 10_000
+
+    def __init__(self, block):
+        self.offsets, self.targets, self.lengths = block.lists()
+        self.place = {n: i for i, n in enumerate(block.ids.tolist())}
+        self.memory: dict[tuple[int, int], dict[int, float]] = {}
 
-    def around(node: int, limit: float) -> dict[int, float]:
+    @staticmethod
+    def of(block) -> _Network:
+        if not hasattr(block, "network"):
+            block.network = _Network(block)
+        return block.network
+
+    def around(self, node: int, limit: int) -> dict[int, float]:
         key = (node, limit)
-        if key not in memory:
-            if len(memory) > 5000:
-                memory.clear()
-            dist, heap = {node: 0.0}, [(0.0, node)]
+        got = self.memory.get(key)
+        if got is None:
+            if len(self.memory) >= self.MOST:
+                self.memory.clear()
+            got, heap = {node: 0.0}, [(0.0, node)]
             while heap:
                 d, i = heapq.heappop(heap)
-                if d > dist[i]:
+                if d > got[i]:
+                    continue
+                for k in range(self.offsets[i], self.offsets[i + 1]):
+                    e, j = d + self.lengths[k], self.targets[k]
+                    if e <= limit and e < got.get(j, math.inf):
+                        got[j] = e
+                        heapq.heappush(heap, (e, j))
+            self.memory[key] = got
+        return got
+
+    def ends(self, c: dict) -> tuple[tuple[int, float], tuple[int, float]]:
+        along = c["t"] * c["len"]
+        return (self.place[c["u"]], along), (self.place[c["v"]], c["len"] - along)
+
+    def steps(self, before: list[dict], after: list[dict], straight: float) -> np.ndarray:
+        """Network distances between all candidates of two samples; infinite beyond a limit."""
+        limit = 4
+        while limit < 2 * straight + 4:
+            limit *= 2
+        out = np.full((len(before), len(after)), math.inf)
+        to = [self.ends(c) for c in after]
+        for a, ca in enumerate(before):
+            (n1, d1), (n2, d2) = self.ends(ca)
+            r1, r2 = self.around(n1, limit), self.around(n2, limit)
+            for b, cb in enumerate(after):
+                if ca["eid"] == cb["eid"]:
+                    out[a, b] = abs(ca["t"] - cb["t"]) * ca["len"]
                     continue
-                for k in range(offsets[i], offsets[i + 1]):
-                    e = d + lengths[k]
-                    if e <= limit and e < dist.get(targets[k], math.inf):
-                        dist[targets[k]] = e
-                        heapq.heappush(heap, (e, targets[k]))
-            memory[key] = dist
-        return memory[key]
-
-    def near(a: dict, b: dict, limit: float) -> float:
-        if a["eid"] == b["eid"]:
-            return abs(a["t"] - b["t"]) * a["len"]
-        limit = math.ceil(limit)
-        best = math.inf
-        for n1, d1 in ((a["u"], a["t"] * a["len"]), (a["v"], (1 - a["t"]) * a["len"])):
-            reach = around(place[n1], limit)
-            for n2, d2 in ((b["u"], b["t"] * b["len"]), (b["v"], (1 - b["t"]) * b["len"])):
-                d = reach.get(place[n2])
-                if d is not None:
-                    best = min(best, d1 + d + d2)
-        return best
-
-    return near
+                best = math.inf
+                for m, e in to[b]:
+                    best = min(best, d1 + r1.get(m, math.inf) + e, d2 + r2.get(m, math.inf) + e)
+                out[a, b] = best
+        return out
 
 
 def map_match(graph: Graph, gps: DataFrame, radius: float = 0.6, max_radius: float = 2.4, sigma: float = 0.2, beta: float = 0.5, keep: int = 4) -> DataFrame:
@@ -234,11 +247,9 @@ def map_match(graph: Graph, gps: DataFrame, radius: float = 0.6, max_radius: flo
     rows = gps.select("trip_id", "seq", "x", "y").join(packed, ["trip_id", "seq"], "left")
 
     def one(pdf: pd.DataFrame) -> pd.DataFrame:
-        block = shared.value
         pdf = pdf.sort_values("seq")
-        place = {int(n): i for i, n in enumerate(block.ids)}
         samples = [(x, y, [c if isinstance(c, dict) else c.asDict() for c in (cs if cs is not None else [])]) for x, y, cs in zip(pdf["x"], pdf["y"], pdf["c"], strict=True)]
-        picks = _viterbi(samples, sigma, beta, _network(block.lists(), place, block.ids))
+        picks = _viterbi(samples, sigma, beta, _Network.of(shared.value).steps)
         got = [s[2][k] if k is not None else None for s, k in zip(samples, picks, strict=True)]
         return pd.DataFrame({"trip_id": pdf["trip_id"].to_numpy(), "seq": pdf["seq"].to_numpy(), "eid": pd.array([g["eid"] if g else None for g in got], dtype="Int64"), "x": [g["px"] if g else None for g in got], "y": [g["py"] if g else None for g in got], "dist": [g["d"] if g else None for g in got]})
 

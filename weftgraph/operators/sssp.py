@@ -242,6 +242,32 @@ def many_costs(graph: Graph, sources: DataFrame, limit: float | None = None, rev
     return sources.select("nid").distinct().repartition(n, "nid").mapInPandas(run, f"source long, nid long, cost {kind}")
 
 
+def pair_costs(graph: Graph, wanted: DataFrame) -> DataFrame:
+    """(src, dst, cost) for rows (src, dsts): each origin is solved once, until its destinations are settled.
+
+    Destinations that cannot be reached have a null cost. Tasks share the
+    origins, and only the pairs asked for leave the workers.
+    """
+    shared = replicate(graph)
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        block = shared.value
+        lists = block.lists()
+        for batch in batches:
+            for src, dsts in zip(batch["src"], batch["dsts"], strict=True):
+                dsts = np.asarray(dsts, np.int64)
+                start, ends = int(block.place(np.array([src]))[0]), block.place(dsts)
+                if start < 0:
+                    yield pd.DataFrame({"src": src, "dst": dsts, "cost": [0.0 if d == src else None for d in dsts]})
+                    continue
+                dist = [float("inf")] * len(block.ids)
+                settle(lists, dist, [(0, start)], {int(i) for i in ends if i >= 0})
+                yield pd.DataFrame({"src": src, "dst": dsts, "cost": [dist[i] if i >= 0 and dist[i] < float("inf") else None for i in ends]})
+
+    n = int(graph.spark.conf.get("spark.sql.shuffle.partitions"))
+    return wanted.select("src", "dsts").repartition(4 * n, "src").mapInPandas(run, "src long, dst long, cost double")
+
+
 def reversed_edges(edges: DataFrame) -> DataFrame:
     """The same edges passed the other way."""
     return edges.withColumn("direction", F.when(F.col("direction") == 1, 2).when(F.col("direction") == 2, 1).otherwise(F.col("direction")))

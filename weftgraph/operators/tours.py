@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from weftgraph.functions.geo import voronoi_zone
 from weftgraph.model import Graph
-from weftgraph.operators.sssp import many_costs
+from weftgraph.operators.sssp import many_costs, pair_costs
 from weftgraph.plans.common import cut
 
 #: Most stops of one tour or of one depot.
@@ -24,10 +24,13 @@ TOUR_STOPS = 5_000
 def cost_matrix(graph: Graph, stops: DataFrame) -> DataFrame:
     """(tour, a, b, cost): least costs between the stops(tour, nid) of each tour."""
     named = stops.select("tour", "nid").distinct()
-    costs = many_costs(graph, named)
+    lists = named.groupBy("tour").agg(F.collect_list("nid").alias("dsts"))  # at most TOUR_STOPS each
+    # a node may be a stop of several tours; it is solved once for all of them
+    wanted = named.join(lists, "tour").groupBy(F.col("nid").alias("src")).agg(F.array_distinct(F.flatten(F.collect_list("dsts"))).alias("dsts"))
+    found = pair_costs(graph, wanted).where("cost IS NOT NULL")
     a = named.select("tour", F.col("nid").alias("a"))
     b = named.select(F.col("tour").alias("_t"), F.col("nid").alias("b"))
-    return a.join(costs, F.col("a") == F.col("source")).join(b, (F.col("tour") == F.col("_t")) & (F.col("nid") == F.col("b"))).select("tour", "a", "b", "cost")
+    return a.join(found, F.col("a") == F.col("src")).join(b, (F.col("tour") == F.col("_t")) & (F.col("dst") == F.col("b"))).select("tour", "a", "b", "cost")
 
 
 def tour_cost(order: list[int], m: np.ndarray, closed: bool = True) -> float:
