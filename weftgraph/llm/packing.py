@@ -23,6 +23,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -30,7 +31,7 @@ from weftgraph.llm.memory import give_back
 from weftgraph.plans.common import ordinal, written
 
 CAPACITY, END_ID = 4096, 1
-_CACHE_WORDS = 250_000
+_CACHE_WORDS, _CACHE_TEXTS = 400_000, 20_000
 
 
 def default_vocabulary() -> str:
@@ -66,6 +67,7 @@ class WordTokens:
         self.letters = Tokenizer(self.whole.model)  # the same model, not a copy
         self.letters.pre_tokenizer = ByteLevel(add_prefix_space=False, use_regex=False)
         self.known: dict[str, bytes] = {}
+        self.texts: dict[bytes, list[tuple]] = {}
 
     @staticmethod
     def cut(text: str) -> tuple[bool, list[str]]:
@@ -103,6 +105,15 @@ def _word_tokens(vocabulary: str) -> WordTokens:
     return WordTokens(vocabulary)
 
 
+def pieces_of(ids: np.ndarray, capacity: int) -> list[tuple[int, int, int, int]]:
+    """(piece, start, length, checksum) of a document's ids."""
+    out = []
+    for piece, start in enumerate(range(0, len(ids), capacity)):
+        part = ids[start : start + capacity]
+        out.append((piece, start, len(part), zlib.crc32(part.tobytes())))
+    return out
+
+
 def _pieces(vocabulary: str, capacity: int, end_id: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = _word_tokens(vocabulary)
@@ -111,11 +122,16 @@ def _pieces(vocabulary: str, capacity: int, end_id: int):
             ids, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
             rows = []
             for at in range(0, len(texts), 64):  # bounds the words held at once
-                for doc_id, tokens in zip(ids[at : at + 64], words.encode([t or "" for t in texts[at : at + 64]]), strict=True):
-                    full = np.concatenate([tokens, end])
-                    for piece, start in enumerate(range(0, len(full), capacity)):
-                        part = full[start : start + capacity]
-                        rows.append((doc_id, piece, start, len(part), zlib.crc32(part.tobytes())))
+                some = [t or "" for t in texts[at : at + 64]]
+                # copies of a text that is remembered are not cut again
+                keys = [xxhash.xxh3_128_digest(t.encode("utf-8", "surrogatepass")) for t in some]
+                new = {k: t for k, t in zip(keys, some, strict=True) if k not in words.texts}
+                done = dict(zip(new, (pieces_of(np.concatenate([tokens, end]), capacity) for tokens in words.encode(list(new.values()))), strict=True))
+                for doc_id, k in zip(ids[at : at + 64], keys, strict=True):
+                    rows += [(doc_id, *p) for p in done.get(k) or words.texts[k]]
+                if len(words.texts) > _CACHE_TEXTS:
+                    words.texts.clear()
+                words.texts.update((k, p) for k, p in done.items() if len(p) == 1)
             cols = list(zip(*rows, strict=True)) if rows else [[]] * 5
             kinds = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64()]
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names=["_id", "piece", "start", "length", "ids_crc32"])
