@@ -417,17 +417,18 @@ class _Scorer:
         return _sigmoid(np.where(np.isinf(logits), self.m.empty_logit, logits - self.m.shift))
 
 
-def _score_batches(model: Model | None):
+def _score_batches(model: Model | None, text_col: str, carry_text: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         scorer = _Scorer(model) if model else None
         for batch in batches:
-            i = batch.schema.get_field_index("_text")
+            i = batch.schema.get_field_index(text_col)
+            kept = [j for j in range(batch.num_columns) if carry_text or j != i]
             out = []
             for at in range(0, batch.num_rows, 256):
                 texts = batch.column(i).slice(at, 256).to_pylist()
                 out.append(scorer.scores(texts) if scorer else np.zeros(len(texts)))
             score = np.concatenate(out) if out else np.empty(0)
-            yield pa.RecordBatch.from_arrays([*batch.columns[:i], *batch.columns[i + 1 :], pa.array(score, pa.float64())], names=[*batch.schema.names[:i], *batch.schema.names[i + 1 :], "_score"])
+            yield pa.RecordBatch.from_arrays([*[batch.column(j) for j in kept], pa.array(score, pa.float64())], names=[*[batch.schema.names[j] for j in kept], "_score"])
         give_back()
 
     return run
@@ -471,10 +472,8 @@ def score_toxicity(docs: DataFrame, labels: DataFrame, params: TrainParams = Tra
     have one of the new names are replaced.
     """
     model = fit(docs, labels, params, id_col, text_col)
-    rows = docs.drop("score", "predicted", "held_out").withColumn("_text", F.col(text_col))
-    if not carry_text:
-        rows = rows.drop(text_col)
-    fields = [f for f in rows.schema.fields if f.name != "_text"]
+    rows = docs.drop("score", "predicted", "held_out")
+    fields = [f for f in rows.schema.fields if carry_text or f.name != text_col]
     schema = ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in fields] + ["_score double"])
-    out = rows.mapInArrow(_score_batches(model), schema)
+    out = rows.mapInArrow(_score_batches(model, text_col, carry_text), schema)
     return out.withColumnsRenamed({"_score": "score"}).withColumns({"predicted": F.when(F.col("score") >= 0.5, 1).otherwise(0), "held_out": held_out(F.col(id_col))})
