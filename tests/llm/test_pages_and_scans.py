@@ -1,0 +1,162 @@
+"""HTML text, license and secret scans."""
+
+from __future__ import annotations
+
+import html
+import itertools
+import re
+
+import numpy as np
+import pytest
+
+from weftgraph.llm import html_text, licenses, secrets
+from weftgraph.llm.queries import QUERIES
+
+PAGES = "page_id long, url string, html string, text string, _key int"
+
+
+def pages(spark, rows):
+    return spark.createDataFrame([(*r, "clash", 1) for r in rows], PAGES)
+
+
+def text_of(page):
+    return " ".join(html_text.page_lines(page)[0])
+
+
+def test_article_texts_of_all_pages(spark, sf_dir):
+    raw = {r["page_id"]: r["html"] for r in spark.read.parquet(f"{sf_dir}/pages.parquet").collect()}
+    for r in QUERIES["op2_html_text"](spark, sf_dir).collect():
+        inner = re.search(r"<article>(.*)</article>", raw[r["page_id"]], re.S)[1]
+        plain = re.sub(r"<[^>]*>", lambda m: " " if re.match(r"</?(p|br|h1)\b", m[0]) else "", inner)
+        assert r["text"] == " ".join(html.unescape(plain).split()) and r["n_chars"] == len(r["text"])
+
+
+@pytest.mark.parametrize("page,want", [
+    ("<article>a<b>b</b>c<p>d<br>e</p></article>", "abc d e"),
+    ("<body><nav>menu</nav><article>x<aside>side</aside><div class='ad'>buy</div><form>f</form><div id=comments>c</div>y</article><footer>f</footer>", "x y"),
+    ("<main><script>var a='</main>';</script><style>p{}</style>&lt;ok&gt;&nbsp;&eacute;<!-- no --></main>", "<ok> é"),
+    ("<header>top</header><div class='content'>main text</div><div class='sidebar'>s</div>", "main text"),
+    ("<article><header><h1>Title</h1></header><p>unclosed <p>next</article>tail", "Title unclosed next"),
+    ("<div class='cookie-notice'>cookies</div><p>plain", "plain"),
+    ("<article>1 < 2 & 3<p hidden>h</p><span role=navigation>n</span></article>", "1 < 2 & 3"),
+    ("<article>a", "a"), ("", ""), (None, ""), ("<", "<"), ("<article></article><p>outside</p>", "outside"),
+    ("<ARTICLE CLASS=post>Up<TEXTAREA>t</TEXTAREA></ARTICLE>", "Up"),
+])
+def test_reading_of_markup(page, want):
+    assert text_of(page) == want
+
+
+def test_differencing_removes_what_neighbours_share(spark):
+    site = "<body><div>Site name</div><p>{}</p><div>About us</div></body>"
+    rows = [(1, "http://a/x/1", site.format("one")), (2, "http://a/x/2?q", site.format("two")), (3, "http://a/y", site.format("three")), (4, None, None), (5, "http://b/1", site.format("solo")), (5, "http://b/1", site.format("solo")), (None, "http://c/1", "<p>same</p>"), (7, "http://c/2", "<p>same</p>")]
+    got = sorted(((r["page_id"], r["text"], r["n_chars"]) for r in html_text.extract_text(pages(spark, rows)).collect()), key=str)
+    assert got == sorted([(1, "one", 3), (2, "two", 3), (3, "three", 5), (4, "", 0), (5, "Site name solo About us", 23), (5, "Site name solo About us", 23), (None, "same", 4), (7, "same", 4)], key=str)
+    assert html_text.extract_text(pages(spark, [])).count() == 0
+
+
+def test_common_lines_are_a_longest_subsequence():
+    rng = np.random.default_rng(2)
+    for _ in range(60):
+        a, b = ([str(x) for x in rng.integers(0, 4, size=rng.integers(0, 9))] for _ in range(2))
+        got = sorted(html_text.common_lines(a, b))
+        best = max((len(p) for n in range(len(a) + 1) for p in itertools.combinations(range(len(a)), n) if _within([a[i] for i in p], b)), default=0)
+        assert len(got) == best and _within([a[i] for i in got], b)
+
+
+def _within(part, whole):
+    it = iter(whole)
+    return all(x in it for x in part)
+
+
+def test_very_long_page():
+    page = "<article>" + "<p>line of text</p>" * 50_000 + "</article>"
+    assert len(html_text.page_lines(page)[0]) == 50_000
+    lines = [f"l{i}" for i in range(20_000)]
+    assert len(html_text.common_lines(lines, lines[::2])) == 10_000
+
+
+# ---------------------------------------------------------------- licenses
+
+DOCS = "doc_id long, text string, license string, source string"
+
+
+def docs(spark, rows):
+    return spark.createDataFrame([(i, t, "clash", "src") for i, t in rows], DOCS)
+
+
+def test_license_notices_of_all_documents(spark, sf_dir, documents):
+    want = 0
+    for r in documents.select("text").collect():
+        want += len(re.findall(r"Released under the MIT License|Licensed under the Apache License, Version 2\.0|licensed under the GNU General Public License, version 3|Licensed under CC BY-NC 4\.0", r["text"] or ""))
+    got = QUERIES["op10_license_scan"](spark, sf_dir).collect()
+    assert len(got) == want and all(r["coverage"] >= 0.8 for r in got)
+
+
+def test_license_matches_with_edits(spark):
+    mit = licenses.TEMPLATES["MIT"]
+    words = mit.split()
+    edited = " ".join(w for i, w in enumerate(words) if i % 17)
+    rows = [(1, f"Intro text.\n{mit}\nEnd."), (2, f"é é {edited} tail"), (3, None), (4, ""), (5, " ".join(words[: len(words) // 3])), (None, mit), (6, "x " * 100_000 + "Released under the MIT License. " + "y " * 1000)]
+    got = licenses.scan_licenses(docs(spark, rows)).collect()
+    by = {r["doc_id"]: r for r in got}
+    assert by[1]["license"] == "MIT" and by[1]["coverage"] == 1.0
+    text = rows[0][1]
+    assert text[by[1]["start"] : by[1]["end"]].startswith("Permission is") and text[by[1]["start"] : by[1]["end"]].endswith("SOFTWARE")
+    assert by[2]["license"] == "MIT" and 0.8 <= by[2]["coverage"] < 1
+    assert None in by and by[6]["license"] == "MIT-notice" and 5 not in by
+    assert licenses.scan_licenses(docs(spark, [])).count() == 0
+    assert licenses.scan_licenses(docs(spark, rows), {}).count() == 0
+
+
+def test_alignment_against_full_dynamic_programming():
+    rng = np.random.default_rng(4)
+
+    def full(a, b):
+        s = np.zeros((len(a) + 1, len(b) + 1), int)
+        for i in range(1, len(a) + 1):
+            for j in range(1, len(b) + 1):
+                s[i, j] = max(0, s[i - 1, j - 1] + (2 if a[i - 1] == b[j - 1] else -1), s[i - 1, j] - 1, s[i, j - 1] - 1)
+        return s.max()
+
+    for _ in range(30):
+        a = rng.integers(0, 50, size=20).astype(np.uint64)
+        b = np.concatenate([rng.integers(0, 50, size=5), a[:8], rng.integers(0, 50, size=2), a[9:], rng.integers(0, 50, size=4)]).astype(np.uint64)
+        n, lo, hi = licenses.align(a, b, [5, 6], 30)
+        assert n >= 17 and 2 * n - (hi - lo) <= full(a, b)
+
+
+# ----------------------------------------------------------------- secrets
+
+
+def test_secrets_of_all_documents(spark, sf_dir, documents):
+    text = {r["doc_id"]: r["text"] for r in documents.select("doc_id", "text").collect()}
+    known = {(i, m.start(1)) for i, t in text.items() for m in re.finditer(r'(?:token = "|password=)([0-9a-f]{18,40})', t or "")} | {(i, m.start()) for i, t in text.items() for m in re.finditer(r"AKIA[0-9A-Z]{16}", t or "")}
+    got = {(r["doc_id"], r["start"]) for r in QUERIES["op5_secret_scan"](spark, sf_dir).where("is_secret").collect()}
+    assert known <= got
+
+
+def test_forest_on_findings_it_has_not_seen(spark):
+    rows = secrets.features(secrets.labelled_findings(spark, 3000)).collect()
+    x = np.array([[r[f] for f in secrets.FEATURES] for r in rows], float)
+    y = np.array([r["label"] for r in rows], float)
+    trees = secrets.fit_forest(x[:2000], y[:2000])
+    score = np.array([secrets.vote(trees, r) for r in x[2000:]])
+    assert ((score >= 0.5) == y[2000:]).mean() > 0.97
+
+
+def test_sql_equals_votes_and_places_are_right(spark):
+    rows = [(1, 'é token = "24be64439e3e49cf46b2d7c90f3602a3d0b907ff" then commit 24be64439e3e49cf46b2d7c90f3602a3d0b907ff of example'), (2, None), (3, ""), (None, "password=7602ad27cf5550de1c"), (4, "nothing here"), (5, "-----BEGIN RSA PRIVATE KEY-----"), (1, 'é token = "24be64439e3e49cf46b2d7c90f3602a3d0b907ff" then commit 24be64439e3e49cf46b2d7c90f3602a3d0b907ff of example')]
+    table = docs(spark, rows)
+    trees = secrets.train_forest(secrets.labelled_findings(spark))
+    from pyspark.sql import functions as F
+
+    scored = secrets.features(secrets.candidates(table)).withColumn("s", F.expr(secrets.forest_sql(trees))).collect()
+    for r in scored:
+        assert abs(r["s"] - secrets.vote(trees, [r[f] for f in secrets.FEATURES])) < 1e-12
+    got = secrets.scan_secrets(table).collect()
+    assert len(got) == 4  # the repeated row once
+    text = rows[0][1]
+    first = sorted((r for r in got if r["doc_id"] == 1), key=lambda r: r["start"])
+    assert all(text[r["start"] : r["start"] + r["length"]] == r["candidate"] for r in first)
+    assert first[0]["is_secret"] and not first[1]["is_secret"]
+    assert secrets.scan_secrets(docs(spark, [])).count() == 0
