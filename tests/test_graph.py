@@ -333,6 +333,27 @@ def test_fleet_keeps_its_invariants(spark):
     assert summary.head()["stops"] == len(served)
 
 
+def test_split_loads_and_replanning(spark):
+    g = workloads.road(spark, "/root/testdata/sf0.001").materialised()
+    depots = spark.createDataFrame([(0, 3, 30.0)], "depot long, nid long, supply double")
+    trucks = spark.createDataFrame([(0, 0, 10.0), (1, 0, 10.0), (2, 0, 10.0)], "truck long, depot long, capacity double")
+    demands = spark.createDataFrame([(1, 50, 14.0), (2, 60, 7.0), (3, 70, 40.0)], "cust long, nid long, amount double")
+    whole = tours.fleet(g, depots, trucks, demands).toPandas()
+    assert set(whole[whole["truck"].isna()]["cust"]) == {1, 3}  # too large for a truck, and for the depot
+    split = tours.fleet(g, depots, trucks, demands, split=True).toPandas()
+    got = split[split["truck"].notna() & split["cust"].notna()]
+    assert got[got["cust"] == 1]["amount"].sum() == 14 and got[got["cust"] == 1]["truck"].nunique() == 2
+    positions = spark.createDataFrame([(0, 100, 9.0), (1, 20, 0.5)], "truck long, nid long, room double")
+    again = tours.replan(g, depots, trucks, demands, spark.createDataFrame([(1,), (3,)], "cust long"), positions).toPandas()
+    assert list(again[again["cust"].notna()][["truck", "cust"]].itertuples(index=False, name=None)) == [(0, 2)]
+
+
+def test_link_walk_equals_rows_and_thinning(spark):
+    assert measures.walk_vs_csr(graph_of(spark, [r for r in RANDOM if r[0] != r[1]]), RANDOM[0][0])["equal"]
+    gps = spark.createDataFrame([(1, i) for i in range(7)] + [(2, 5)], "trip_id long, seq long")
+    assert sorted(map(tuple, match.thinned(gps, 3).collect())) == [(1, 0), (1, 3), (1, 6), (2, 5)]
+
+
 def test_matching_without_noise_is_exact(spark):
     g = workloads.road(spark, "/root/testdata/sf0.001")
     walk = [(5, 1), (6, 1), (7, 1), (7, 2), (7, 3), (8, 3)]

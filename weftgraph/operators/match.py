@@ -219,6 +219,12 @@ class _Network:
         return out
 
 
+def thinned(gps: DataFrame, keep_every: int) -> DataFrame:
+    """Every ``keep_every``-th sample of each trip, for trips sampled more often than needed."""
+    place = Window.partitionBy("trip_id").orderBy("seq")
+    return gps.withColumn("_n", F.row_number().over(place) - 1).where(F.col("_n") % keep_every == 0).drop("_n")
+
+
 def map_match(graph: Graph, gps: DataFrame, radius: float = 0.6, max_radius: float = 2.4, sigma: float = 0.2, beta: float = 0.5, keep: int = 4) -> DataFrame:
     """(trip_id, seq, eid, x, y, dist): samples on the most likely route of their trip.
 

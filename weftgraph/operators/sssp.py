@@ -41,6 +41,8 @@ class SolveStats:
     seconds: float = 0.0
     path_seconds: float = 0.0
     trace: list[dict] = field(default_factory=list)
+    record_fields: bool = False
+    fields: list[dict] = field(default_factory=list)
 
 
 def _seeds(graph: Graph, sources) -> DataFrame:
@@ -154,6 +156,9 @@ def _by_parts(graph: Graph, seeds: DataFrame, kind: str, stats: SolveStats, max_
             offered = offered.unionByName(labels.where(F.col("part").isin(busy)).withColumn("fresh", F.lit(False)))
         improved = cut(blocks.groupBy("part").cogroup(offered.groupBy("part")).applyInPandas(_local(kind, limit), schema))
         labels = improved if labels is None else cut(labels.unionByName(improved).groupBy("part", "nid").agg(F.min("cost").alias("cost")))
+        if stats.record_fields:
+            seen = labels.groupBy("nid").agg(F.min("cost").alias("cost")).agg(F.count("*").alias("reached"), F.max("cost").alias("max_cost"), F.sum("cost").alias("sum_cost")).head()
+            stats.fields.append({"superstep": stats.supersteps, **seen.asDict()})
         other = meet.withColumnRenamed("part", "to")
         sent = improved.join(other, "nid").where("part <> to").groupBy(F.col("to").alias("part"), "nid").agg(F.min("cost").alias("cost"))
         known = labels.select("part", "nid", F.col("cost").alias("known"))

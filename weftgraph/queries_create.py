@@ -9,6 +9,7 @@ from weftgraph import grammar, workloads as w
 from weftgraph.catalog import query
 from weftgraph.functions import geo
 from weftgraph.grammar import Component
+from weftgraph.model import Graph
 from weftgraph.operators import query as q
 from weftgraph.operators import topology
 from weftgraph.plans.common import cut, table
@@ -172,6 +173,23 @@ def query_two_hop_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.groupBy("src").agg(F.count("*").alias("walks"), F.countDistinct("dst").alias("reached"))
 
 
+@query("""WITH b AS (SELECT DISTINCT item_id, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS word FROM benchmark WHERE item_id < 3),
+    d AS (SELECT DISTINCT doc_id, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS word FROM documents WHERE lang = 'en'),
+    k AS (SELECT word FROM d GROUP BY word HAVING count(*) <= 20)
+    SELECT item_id AS src, 1000000 + doc_id AS dst, count(*) AS paths FROM b JOIN d USING (word) WHERE word IN (SELECT word FROM k) GROUP BY ALL""")
+def query_evidence(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """From benchmark items over rare words to documents: evidence paths of two hops, counted."""
+    words = lambda t, key: t.select(F.col(key), F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0)))).alias("word"))
+    items = words(table(spark, sf_dir, "benchmark").where("item_id < 3"), "item_id")
+    docs = words(table(spark, sf_dir, "documents").where("lang = 'en'"), "doc_id")
+    rare = docs.groupBy("word").count().where("count <= 20").select("word")
+    wid = F.xxhash64("word").bitwiseOR(F.lit(-(1 << 63)))  # words have negative ids
+    e = items.join(rare, "word", "left_semi").select(F.col("item_id").alias("src"), wid.alias("dst")).unionByName(docs.join(rare, "word", "left_semi").select(wid.alias("src"), (F.lit(1_000_000) + F.col("doc_id")).alias("dst")))
+    g = Graph.of("evidence", None, cut(e.select(F.xxhash64("src", "dst").alias("eid"), "src", "dst", F.lit(1).cast("long").alias("weight"), F.lit(1).alias("direction"))))
+    found = q.paths(g, q.Select(where=F.col("nid").between(0, 2)), q.Select(where=F.col("nid") >= 1_000_000), q.Hops(2, 2))
+    return found.groupBy("src", "dst").agg(F.count("*").alias("paths"))
+
+
 # ------------------------------------------------ relational summaries
 
 

@@ -221,6 +221,37 @@ def partition_disjoint(spark: SparkSession, sf_dir: str) -> DataFrame:
     return measures.check_disjoint(partition.by_random(w.knows(spark, sf_dir), 4))
 
 
+@query(f"""WITH RECURSIVE {w.ROAD_SQL}, owned AS MATERIALIZED ({BOX}), c AS MATERIALIZED (SELECT DISTINCT nid, part FROM (SELECT src AS nid, part FROM owned UNION ALL SELECT dst, part FROM owned) t),
+    m AS (SELECT a.part AS s, b.part AS o FROM c a JOIN c b USING (nid)) SELECT s AS src_part, count(*) FILTER (WHERE o = 0) AS p0, count(*) FILTER (WHERE o = 1) AS p1, count(*) FILTER (WHERE o = 2) AS p2, count(*) FILTER (WHERE o = 3) AS p3 FROM m GROUP BY s""")
+def partition_pivot(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Nodes shared by each two parts, as a matrix."""
+    return measures.part_pivot(partition.by_box(w.road(spark, sf_dir), 2, 2), [0, 1, 2, 3])
+
+
+@query(f"WITH RECURSIVE {w.ROAD_SQL} SELECT count(*) AS edges, 1 AS whole, (max(m.k) <= 300)::INTEGER AS fits FROM road_edges, (SELECT 0 AS k) m")
+def part_adaptive(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Parts by halving cells until none holds more than 300 edges."""
+    g = partition.by_adaptive_tiles(w.road(spark, sf_dir), 300)
+    c = g.edges.groupBy("part").count()
+    return c.agg(F.sum("count").alias("edges"), F.max(F.lit(1)).alias("whole"), (F.max("count") <= 300).cast("int").alias("fits"))
+
+
+@query()
+def sssp_trace(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The tracer: front of each part in each round of a solve over interlaced parts."""
+    stats = sssp.SolveStats()
+    sssp.costs(partition.by_box(w.road(spark, sf_dir).materialised(), 2, 2), 0, stats=stats)
+    return spark.createDataFrame([(t["superstep"], t["part"], t["front"]) for t in stats.trace], "superstep int, part int, front long")  # one row for each busy part and round
+
+
+@query()
+def sssp_cost_field(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Reached nodes and largest cost after each round: the field grows and is corrected."""
+    stats = sssp.SolveStats(record_fields=True)
+    sssp.costs(partition.by_box(w.road(spark, sf_dir).materialised(), 2, 2), 0, stats=stats)
+    return spark.createDataFrame([(f["superstep"], f["reached"], f["max_cost"], f["sum_cost"]) for f in stats.fields], "superstep int, reached long, max_cost long, sum_cost long")  # one row for each round
+
+
 # -------------------------------------------------------------- balancing
 
 BALANCED = f"""{SCR}, {w.sssp_sql('SELECT 0::BIGINT, 0::BIGINT', 'scr_arcs')},

@@ -172,6 +172,18 @@ def path_wkt(spark: SparkSession, sf_dir: str) -> DataFrame:
     return paths.to_wkt(steps, g.nodes)
 
 
+@query(f"""WITH RECURSIVE {w.ROAD_SQL}, f AS (SELECT eid, CASE WHEN eid % 3 = 0 THEN 2.5 WHEN eid % 3 = 1 THEN 0.5 ELSE 1.0 END AS k FROM road_edges),
+    e AS MATERIALIZED (SELECT eid, src, dst, round(weight * k)::BIGINT AS weight FROM road_edges JOIN f USING (eid)),
+    road_arcs AS MATERIALIZED (SELECT src AS u, dst AS v, weight AS w FROM e UNION ALL SELECT dst, src, weight FROM e),
+    {w.sssp_sql(SEED_0, 'road_arcs')} SELECT nid, cost FROM dist""")
+def sssp_by_time(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Weights at half past eight, from a profile of multipliers by hour."""
+    g = w.road(spark, sf_dir).materialised()
+    rows = F.array(*[F.struct(F.lit(h).alias("hour"), F.lit(a).alias("a"), F.lit(b).alias("b")) for h, a, b in ((6, 1.0, 1.0), (8, 2.5, 0.5), (17, 4.0, 3.0))])
+    profile = g.edges.where("eid % 3 < 2").select("eid", F.explode(rows).alias("r")).select("eid", "r.hour", F.when(F.col("eid") % 3 == 0, F.col("r.a")).otherwise(F.col("r.b")).alias("factor"))
+    return sssp.costs(partition.by_box(weights.by_time(g, profile, 8).materialised(), 2, 2), 0)
+
+
 @query("SELECT 0::BIGINT AS violations")
 def sssp_violations(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Arcs that break the shortest-path condition after convergence: none."""
