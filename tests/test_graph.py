@@ -342,7 +342,8 @@ def test_split_loads_and_replanning(spark):
     assert set(whole[whole["truck"].isna()]["cust"]) == {1, 3}  # too large for a truck, and for the depot
     split = tours.fleet(g, depots, trucks, demands, split=True).toPandas()
     got = split[split["truck"].notna() & split["cust"].notna()]
-    assert got[got["cust"] == 1]["amount"].sum() == 14 and got[got["cust"] == 1]["truck"].nunique() == 2
+    assert got[got["cust"] == 1]["amount"].sum() == 14 and got[got["cust"] == 1]["truck"].nunique() >= 2
+    assert (got.groupby("truck")["amount"].sum() <= 10).all()
     positions = spark.createDataFrame([(0, 100, 9.0), (1, 20, 0.5)], "truck long, nid long, room double")
     again = tours.replan(g, depots, trucks, demands, spark.createDataFrame([(1,), (3,)], "cust long"), positions).toPandas()
     assert list(again[again["cust"].notna()][["truck", "cust"]].itertuples(index=False, name=None)) == [(0, 2)]

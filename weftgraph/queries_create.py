@@ -157,12 +157,14 @@ def query_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
     return q.neighbours(w.knows(spark, sf_dir), q.Select(where=F.col("nid") < 5), 2)
 
 
-@query()
+@query(f"""WITH RECURSIVE {SINCE}, walk(here, hops, p) AS (SELECT nid, 0, [nid] FROM (SELECT c_custkey AS nid FROM customer WHERE c_custkey < 3) s UNION ALL SELECT v, hops + 1, list_append(p, v) FROM walk JOIN ok ON u = here WHERE hops < 2 AND NOT list_contains(p, v)),
+    f AS (SELECT p FROM walk WHERE hops > 0 AND here IN ({BUILDING})) SELECT p[1] AS src, p[-1] AS dst, unnest(range(len(p)))::INTEGER AS step, unnest(p) AS nid FROM f""")
 def query_long_form(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One row for each node of a path."""
     base = w.knows_base(spark, sf_dir)
     since = q.Restriction.edge(base, F.col("a") * 1_000_000 + F.col("b"), F.col("since") >= 1998)
-    return q.long_form(q.paths(w.knows(spark, sf_dir), q.Select(where=F.col("nid") < 3), q.Select(labels=["BUILDING"]), q.Hops(2), [since]))
+    found = q.paths(w.knows(spark, sf_dir), q.Select(where=F.col("nid") < 3), q.Select(labels=["BUILDING"]), q.Hops(2), [since])
+    return q.long_form(found).select("src", "dst", "step", "nid")
 
 
 @query(f"WITH {w.KNOWS_SQL}, n AS (SELECT a.u AS src, b.v AS dst FROM know_arcs a JOIN know_arcs b ON b.u = a.v WHERE a.u < 20 AND b.v <> a.u) SELECT src, count(*) AS walks, count(DISTINCT dst) AS reached FROM n GROUP BY src")
