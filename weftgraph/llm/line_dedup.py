@@ -11,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from weftgraph.plans.common import other_key
+from weftgraph.plans.common import other_key, written
 
 MIN_CHARS, MIN_DOCS = 40, 5
 _SPACE = " \t\n\x0b\x0c\r"
@@ -40,7 +40,11 @@ def shared_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     A document is a distinct pair of id and text, so that repeated rows and
     lines that recur inside a text count once.
     """
-    once = _eligible(docs, id_col, text_col, min_chars).groupBy("h1", "h2", "_id", "_row").agg(F.lit(1).alias("x"))
+    return _shared(_eligible(docs, id_col, text_col, min_chars), min_docs)
+
+
+def _shared(lines: DataFrame, min_docs: int) -> DataFrame:
+    once = lines.groupBy("h1", "h2", "_id", "_row").agg(F.lit(1).alias("x"))
     return once.groupBy("h1", "h2").agg(F.count("*").alias("n_docs"), F.max("_id").alias("keep_id")).where(F.col("n_docs") >= min_docs)
 
 
@@ -53,8 +57,9 @@ def line_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     treated as the row it repeats. Extra columns stay as they are, except
     columns named n_lines or n_dropped, which are replaced.
     """
-    gone = shared_lines(docs, id_col, text_col, min_chars, min_docs).select(other_key(F.col("h1")).alias("j1"), other_key(F.col("h2")).alias("j2"), "keep_id")
-    lines = _eligible(docs, id_col, text_col, min_chars).withColumns({"j1": other_key(F.col("h1")), "j2": other_key(F.col("h2"))})
+    hashed = written(_eligible(docs, id_col, text_col, min_chars), "lines")  # hashes and places, read twice
+    gone = _shared(hashed, min_docs).select(other_key(F.col("h1")).alias("j1"), other_key(F.col("h2")).alias("j2"), "keep_id")
+    lines = hashed.withColumns({"j1": other_key(F.col("h1")), "j2": other_key(F.col("h2"))})
     hits = lines.join(gone, ["j1", "j2"]).where(~F.col("_id").eqNullSafe(F.col("keep_id")))
     cuts = hits.groupBy("_id", "_row").agg(F.collect_set("_pos").alias("_cuts")).withColumnsRenamed({"_id": "_cid", "_row": "_crow"})
     rows = docs.drop("n_lines", "n_dropped").withColumn("_row", F.xxhash64(text_col))
