@@ -64,8 +64,8 @@ def line_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     cuts = hits.groupBy("_id", "_row").agg(F.collect_set("_pos").alias("_cuts")).withColumnsRenamed({"_id": "_cid", "_row": "_crow"})
     rows = docs.drop("n_lines", "n_dropped").withColumn("_row", F.xxhash64(text_col))
     met = rows.join(cuts, rows[id_col].eqNullSafe(cuts["_cid"]) & (rows["_row"] == cuts["_crow"]), "left")
-    parts = _lines(docs, id_col, text_col)
-    # positions become a map so that each line is looked up once
-    lost = F.map_from_arrays("_cuts", F.transform("_cuts", lambda _: F.lit(True)))
-    kept = F.when(F.col("_cuts").isNull(), F.coalesce(F.col(text_col), F.lit(""))).otherwise(F.array_join(F.filter(parts, lambda _, i: ~F.map_contains_key(lost, i)), "\n"))
-    return met.withColumns({text_col: kept, "n_lines": F.size(parts).cast("long"), "n_dropped": F.coalesce(F.size("_cuts"), F.lit(0)).cast("long")}).drop("_row", "_cid", "_crow", "_cuts")
+    # columns of their own: inside the lambda they must not be computed for each line
+    split = met.withColumn("_parts", _lines(docs, id_col, text_col))
+    placed = split.withColumn("_keep", F.when(F.col("_cuts").isNotNull(), F.array_except(F.sequence(F.lit(0), F.size("_parts") - 1), "_cuts")))
+    kept = F.when(F.col("_cuts").isNull(), F.coalesce(F.col(text_col), F.lit(""))).otherwise(F.array_join(F.transform("_keep", lambda i: F.get("_parts", i)), "\n"))
+    return placed.withColumns({text_col: kept, "n_lines": F.size("_parts").cast("long"), "n_dropped": F.coalesce(F.size("_cuts"), F.lit(0)).cast("long")}).drop("_row", "_cid", "_crow", "_cuts", "_parts", "_keep")
