@@ -8,8 +8,10 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+import zipfile
 from collections.abc import Iterator
 from contextlib import contextmanager
+from pathlib import Path
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -18,6 +20,24 @@ from pyspark.sql import functions as F
 BROADCAST_ROWS = 200_000
 
 
+def ship(spark: SparkSession) -> None:
+    """Send this package to the executors, once for each Spark context.
+
+    Python workers import it by name; where it is not installed or on their
+    path, this is how they find it.
+    """
+    sc = spark.sparkContext
+    if getattr(sc, "_weftgraph_shipped", False):
+        return
+    top = Path(__file__).resolve().parents[1]
+    archive = Path(tempfile.mkdtemp(prefix="weft-")) / "weftgraph.zip"
+    with zipfile.ZipFile(archive, "w") as z:
+        for path in sorted(top.rglob("*.py")):
+            z.write(path, path.relative_to(top.parent))
+    sc.addPyFile(str(archive))
+    sc._weftgraph_shipped = True
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """One of the given tables, read by Spark from any store it knows."""
     return spark.read.parquet(f"{sf_dir.rstrip('/')}/{name}.parquet")
