@@ -104,6 +104,27 @@ def test_held_out_accuracy_on_documents(spark):
     assert clean > 0.99 and caught > 0.85
 
 
+def test_rare_words_that_mark_toxic_documents_have_vectors():
+    calm = [" ".join(f"w{j}" for j in range(i % 7, 40)) for i in range(160)]
+    rows = [(t + " zork" * (i % 20 == 0), int(i % 20 == 0)) for i, t in enumerate(calm)]
+    got = toxicity.train([t for t, _ in rows], [y for _, y in rows], toxicity.TrainParams(vocabulary=10, char_epochs=1, window_epochs=1, min_steps=1))
+    assert b"zork" in got.vocabulary and len(got.vocabulary) == 10
+
+
+def test_held_out_recall_of_other_languages(spark):
+    base = "/root/testdata/sf0.1"
+    d = spark.read.parquet(f"{base}/documents.parquet").select("doc_id", "text", "lang")
+    labels = spark.read.parquet(f"{base}/labels.parquet")
+    known = labels.where(toxicity.held_out(F.col("doc_id"))).select("doc_id", "toxic")
+    model = toxicity.fit(d.select("doc_id", "text"), labels)
+    rows = d.where("lang <> 'en'").join(known, "doc_id").collect()
+    p = toxicity._Scorer(model).scores([r["text"] for r in rows]) >= 0.5
+    y = np.array([r["toxic"] for r in rows])
+    by = {x: (int(p[at & (y == 1)].sum()), int((at & (y == 1)).sum())) for x in ("de", "fr", "es") for at in [np.array([r["lang"] == x for r in rows])]}
+    assert all(caught / n >= 0.75 for caught, n in by.values()), by
+    assert p[y == 0].mean() < 0.02
+
+
 # -------------------------------------------------------------- neighbours
 
 

@@ -213,8 +213,8 @@ def train(texts: list[str], toxic: list[int], params: TrainParams = TrainParams(
     for d, y in zip(docs, y_doc, strict=True):
         (in_toxic if y else in_clean).update(set(d))
     share = float(y_doc.mean())
-    frequent = sorted((w for w in in_toxic.keys() | in_clean.keys() if in_toxic[w] + in_clean[w] >= 3), key=lambda w: (-(in_toxic[w] + in_clean[w]), w))[: params.vocabulary]
-    vocabulary = {w: i + 1 for i, w in enumerate(frequent)}
+    known = vocabulary_of(in_toxic, in_clean, share, params.vocabulary)
+    vocabulary = {w: i + 1 for i, w in enumerate(known)}
     h, ch, d = params.hidden, params.char_hidden, params.word_dim + 2 * params.char_hidden + 1
     p: dict[str, np.ndarray] = {"ce": (0.3 * rng.standard_normal((256, params.char_dim))).astype(np.float32), "ch.w": np.zeros(2 * ch, np.float32), "ch.b": np.zeros(1, np.float32)}
     for name, size, hid in (("cf", params.char_dim, ch), ("cb", params.char_dim, ch), ("wf", d, h), ("wb", d, h)):
@@ -223,7 +223,7 @@ def train(texts: list[str], toxic: list[int], params: TrainParams = TrainParams(
     model = Model(p, vocabulary, 0.0, 0.0)
     _train_chars(model, in_toxic, in_clean, share, params, rng)
     # a word's own vector starts from the evidence that the word itself is toxic
-    p["we"][1:, 0] = np.clip(_evidence(np.array([in_toxic[w] for w in frequent]), np.array([in_clean[w] for w in frequent]), share), -6, 6) / 6
+    p["we"][1:, 0] = np.clip(_evidence(np.array([in_toxic[w] for w in known]), np.array([in_clean[w] for w in known]), share), -6, 6) / 6
     _train_windows(model, docs, y_doc, params, rng)
     scorer = _Scorer(model)
     best = np.concatenate([scorer.logits(texts[i : i + 512]) for i in range(0, len(texts), 512)])
@@ -232,6 +232,18 @@ def train(texts: list[str], toxic: list[int], params: TrainParams = TrainParams(
     return model
 
 
+def vocabulary_of(in_toxic: Counter, in_clean: Counter, share: float, size: int) -> list[bytes]:
+    """Words with a vector of their own: all that mark toxic documents, then the most frequent up to ``size``.
+
+    Words that mark toxic documents can be rare, the more so in languages with
+    few labelled documents, and by frequency alone they would be left out.
+    """
+    words = sorted((w for w in in_toxic.keys() | in_clean.keys() if in_toxic[w] + in_clean[w] >= 3), key=lambda w: (-(in_toxic[w] + in_clean[w]), w))
+    marks = {w for w in words if _evidence(in_toxic[w], in_clean[w], share) > 0}
+    rest = [w for w in words if w not in marks]
+    return [w for w in words if w in marks] + rest[: max(0, size - len(marks))]
+
+
 def _evidence(k: np.ndarray, c: np.ndarray, share: float) -> np.ndarray:
     """Log odds that a word in k toxic and c clean documents marks toxic ones.
 
