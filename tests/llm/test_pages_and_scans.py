@@ -108,6 +108,15 @@ def test_license_matches_with_edits(spark):
     assert licenses.scan_licenses(docs(spark, rows), {}).count() == 0
 
 
+@pytest.mark.parametrize("name,between,copies", [("MIT-notice", "\n", 5), ("MIT-notice", " and ", 9), ("MIT", "\n", 2), ("MIT", "\n\nnotice of part two\n\n", 4), ("ISC", "\n", 3)])
+def test_adjacent_copies_are_all_reported(name, between, copies):
+    one = licenses.TEMPLATES[name]
+    text = "intro " + between.join([one] * copies) + " end"
+    got = sorted(licenses.Index(licenses.TEMPLATES, licenses.LicenseParams()).matches(text), key=lambda m: m[1])
+    bare = one.rstrip(".")
+    assert [(m[0], m[1], m[2], m[3]) for m in got] == [(name, at, at + len(bare), 1.0) for i in range(copies) for at in [6 + i * len(one + between)]]
+
+
 def test_alignment_against_full_dynamic_programming():
     rng = np.random.default_rng(4)
 

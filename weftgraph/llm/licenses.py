@@ -11,7 +11,7 @@ lie in the text.
 from __future__ import annotations
 
 import re
-from collections import defaultdict
+from collections import Counter, defaultdict
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -115,9 +115,7 @@ class Index:
                 if region and (i is None or i - region[-1][0] > size + band or region[-1][0] - region[0][0] > 2 * size + band):
                     lo = max(0, min(a - b for a, b in region) - band)
                     hi = min(len(ids), max(a - b for a, b in region) + size + band)
-                    got = align(self.ids[t], ids[lo:hi], [a - b - lo for a, b in region], band)
-                    if got and got[0] / size >= self.params.coverage:
-                        found.append((got[0], self.names[t], lo + got[1], lo + got[2], got[0] / size))
+                    found += [(n, self.names[t], a, b, n / size) for n, a, b in self._copies(t, ids, lo, hi, region)]
                     region = []
                 if i is not None:
                     region.append((i, p))
@@ -133,6 +131,27 @@ class Index:
             out.append((name, spans[a][0], spans[b - 1][1], share, n))
         return out
 
+    def _copies(self, t: int, ids: np.ndarray, lo: int, hi: int, region: list[tuple[int, int]]) -> Iterator[tuple[int, int, int]]:
+        """(matched words, first, end) of each copy of a template in a region.
+
+        The best alignment splits the region, and both sides are searched again
+        as long as they have hits and words enough for another copy.
+        """
+        template, params = self.ids[t], self.params
+        wanted = Counter(template.tolist())
+        left = [(lo, hi, region)]
+        while left:
+            lo, hi, hits = left.pop()
+            if not hits or (Counter(ids[lo:hi].tolist()) & wanted).total() / len(template) < params.coverage:
+                continue
+            got = align(template, ids[lo:hi], [i - p - lo for i, p in hits], params.band)
+            if not got:
+                continue
+            n, a, b = got[0], lo + got[1], lo + got[2]
+            if n / len(template) >= params.coverage:
+                yield n, a, b
+            left += [(lo, a, [h for h in hits if h[0] < a]), (b, hi, [h for h in hits if h[0] >= b])]
+
 
 def align(template: np.ndarray, part: np.ndarray, diagonals: list[int], band: int) -> tuple[int, int, int] | None:
     """(matched words, first, end) of the best local alignment within a band.
