@@ -163,6 +163,30 @@ def test_neighbour_cases(spark):
     assert ann.nearest(rows(spark, values).where("vec_id = 100"), F.lit(True)).count() == 0
 
 
+@pytest.mark.parametrize("spread", [0.0, 1e-6])
+def test_copies_do_not_push_out_better_rows(spread):
+    import pandas as pd
+
+    rng = np.random.default_rng(2)
+    params = ann.AnnParams(k=5, shortlist=10)
+    query = np.array([[1.0, 0, 0, 0]])
+    # copies, and near ones with the best at the end, have a code that ranks above that of better rows
+    words = np.array([[[0, 0], [0.8, 0], [0.9, 0], *[[-1.0, j] for j in range(13)]], [[0, 0]] * 16], float)
+    book = ann.Codebook(words, 1.0)
+    copies = np.array([[0.5 + spread * i, 0, 0, 0] for i in range(300)])
+    better = np.array([[0.7 + 0.01 * i, 0, 0, 0] for i in range(5)])
+    x = np.concatenate([copies, better, rng.uniform(-1, 0, (20, 4))]).astype(np.float32)
+    codes = np.zeros((len(x), 2), np.uint8)
+    codes[:300, 0], codes[300:305, 0], codes[305:, 0] = 2, 1, 3
+    ids = np.arange(len(x)) + 1
+    rows = pd.DataFrame({"id": ids, "vec": list(x), "code": [c.tobytes() for c in ann.pack_codes(codes)]})
+    for n in (len(x), 300):  # with the better rows, and the copies alone
+        score = ann.exact_scores(x[:n].astype(float), query[0])
+        want = ids[np.lexsort((ids[:n], -score))[:5]]
+        got = ann._search_block(book, params)(rows[:n], pd.DataFrame({"id": [999], "vec": list(query)}))
+        assert got["vec_id"].tolist() == want.tolist()
+
+
 def test_tables_give_inner_products_with_codewords():
     rng = np.random.default_rng(3)
     x = rng.standard_normal((300, 7))

@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 
 @dataclass(frozen=True)
 class AnnParams:
-    """``train_rows`` bounds the fitting sample; ``shortlist`` is per query and block."""
+    """``train_rows`` bounds the fitting sample; ``shortlist`` counts distinct codes per query and block."""
 
     k: int = 20
     sub_dim: int = 2
@@ -130,12 +130,10 @@ def pack_codes(codes: np.ndarray) -> np.ndarray:
 
 
 def _shortlist(scores: np.ndarray, n: int) -> np.ndarray:
-    """The n best of a row; rows at the border go by their place, which is by id."""
+    """The n best of a row and all that tie with the last of them."""
     if len(scores) <= n:
         return np.arange(len(scores))
-    border = np.partition(scores, len(scores) - n)[len(scores) - n]
-    above = np.flatnonzero(scores > border)
-    return np.concatenate([above, np.flatnonzero(scores == border)[: n - len(above)]])
+    return np.flatnonzero(scores >= np.partition(scores, len(scores) - n)[len(scores) - n])
 
 
 def exact_scores(x: np.ndarray, q: np.ndarray) -> np.ndarray:
@@ -169,16 +167,23 @@ def _search_block(book: Codebook, params: AnnParams):
             return none
         rows = rows.sort_values("id", kind="stable").drop_duplicates("id")  # rows of an id share a block
         queries = queries.drop_duplicates("id")
+        # equal vectors score alike and ties go to the smaller id: k copies, and one for a query among them
+        rows = rows[rows.groupby(rows["vec"].map(lambda v: v.tobytes())).cumcount() <= params.k]
         ids = rows["id"].to_numpy()
         x = np.stack(rows["vec"].to_numpy()).astype(np.float64)
-        packed = np.stack([np.frombuffer(c, np.uint8) for c in rows["code"]])
+        # rows of one code rank alike: each code is scanned once, and its rows are scored together
+        packed, code = np.unique(np.stack([np.frombuffer(c, np.uint8) for c in rows["code"]]), axis=0, return_inverse=True)
+        by_code = np.argsort(code, kind="stable")
+        ends = np.cumsum(np.bincount(code, minlength=len(packed)))
+        members = np.split(by_code, ends[:-1])
         out = []
         for at in range(0, len(queries), 256):
             part = queries.iloc[at : at + 256]
             q = np.stack(part["vec"].to_numpy()).astype(np.float64)
             near = scan(book, q, packed)
             for qid, vec, approx in zip(part["id"].to_numpy(), q, near, strict=True):
-                pick = _shortlist(np.where(ids == qid, -np.inf, approx), params.shortlist)
+                # one more, since the query's own code may be among them
+                pick = np.concatenate([members[c] for c in _shortlist(approx, params.shortlist + 1)])
                 pick = pick[ids[pick] != qid]
                 score = exact_scores(x[pick], vec)
                 best = np.lexsort((ids[pick], -score))[: params.k]
