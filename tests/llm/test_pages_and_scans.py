@@ -20,7 +20,7 @@ def pages(spark, rows):
 
 
 def text_of(page):
-    return " ".join(html_text.page_lines(page)[0])
+    return html_text.kept_text(*html_text.page_lines(page))
 
 
 def test_article_texts_of_all_pages(spark, sf_dir):
@@ -41,6 +41,14 @@ def test_article_texts_of_all_pages(spark, sf_dir):
     ("<article>1 < 2 & 3<p hidden>h</p><span role=navigation>n</span></article>", "1 < 2 & 3"),
     ("<article>a", "a"), ("", ""), (None, ""), ("<", "<"), ("<article></article><p>outside</p>", "outside"),
     ("<ARTICLE CLASS=post>Up<TEXTAREA>t</TEXTAREA></ARTICLE>", "Up"),
+    ('<main><article class="card">Related A</article><p>Main body of the page</p></main>', "Main body of the page"),
+    ('<div class="story">Story text</div><article class="teaser">a teaser that is longer than the story</article>', "Story text"),
+    ("<article class=card>only</article>", "only"),
+    ('<article>a<p class="share-price">12 EUR</p><p class="notice-of-appeal">filed</p></article>', "a 12 EUR filed"),
+    ("<main><header><h1>Head</h1></header><p>x</p></main>", "Head x"),
+    ('<article><a href="x>link</a> text <p class="y">next</p></article>', "link text next"),
+    ('<article>foo<span hidden>x</span>bar <div title="a > b">c</div></article>', "foobar c"),
+    ('<article>t<div class="comment-body">c</div><div class="related-posts">r</div></article>', "t"),
 ])
 def test_reading_of_markup(page, want):
     assert text_of(page) == want
@@ -54,13 +62,57 @@ def test_differencing_removes_what_neighbours_share(spark):
     assert html_text.extract_text(pages(spark, [])).count() == 0
 
 
-def test_common_lines_are_a_longest_subsequence():
+def brute_texts(rows):
+    """Texts by a plain reading of the rules: sort, look at both neighbours, align, delete."""
+    read = {i: html_text.page_lines(p) for i, (_, p) in rows.items()}
+    split = {i: html_text.split_url(u) for i, (u, _) in rows.items()}
+    order = sorted(rows, key=lambda i: (*split[i], i))
+    out = {}
+    for at, i in enumerate(order):
+        beside = [j for j in (order[at - 1] if at else None, order[at + 1] if at + 1 < len(order) else None) if j is not None and split[j][0] == split[i][0]]
+        lines, kinds = read[i]
+        gone = set()
+        if beside:
+            alike = lambda j: sum(1 for _ in itertools.takewhile(lambda x: x[0] == x[1], zip(split[i][1].split("/"), split[j][1].split("/"))))  # noqa: E731, B023
+            gone = html_text.common_lines(lines, read[max(beside, key=alike)][0])
+        own = [x for n, (x, k) in enumerate(zip(lines, kinds)) if k == "g" or k == "o" and n not in gone]
+        out[i] = " ".join(own or [x for x, k in zip(lines, kinds) if k == "o"])
+    return out
+
+
+def test_differencing_against_brute_force(spark, sf_dir):
+    """The given pages without the element that marks the article: shared lines of articles go."""
+    rows = {r["page_id"]: (r["url"], r["html"].replace("article>", "section>")) for r in spark.read.parquet(f"{sf_dir}/pages.parquet").collect()}
+    site = "<body><div>{0}</div><div>All news</div><p>{1}</p><p>Written by the desk of {0}</p><div>Imprint</div></body>"
+    rows |= {10_000 + i: (f"http://s{i % 3}/{i % 4}/{i % 5}/{i}", site.format(f"Site {i % 3}", " ".join([f"text{i}"] * (i % 4)))) for i in range(60)}
+    got = {r["page_id"]: r["text"] for r in html_text.extract_text(pages(spark, [(i, *r) for i, r in rows.items()])).collect()}
+    assert got == brute_texts(rows)
+    structure_only = {i: text_of(p) for i, (_, p) in rows.items()}
+    assert any(got[i] != structure_only[i] for i in rows if i < 10_000)
+    assert sum("Imprint" in t for t in got.values()) <= 15  # those without a text of their own
+
+
+def test_guarded_lines_stay_and_join_by_shuffle(spark, monkeypatch):
+    monkeypatch.setattr(html_text, "SHARED_ROWS", 0)
+    same = "<div>Site</div><article><p>shared passage</p><p>{}</p></article><main><article>shared passage</article>x{}</main>"
+    rows = [(i, f"http://a/{i}", f"<div>Top</div><main><p>Banner</p><article><p>shared passage</p><p>own {i}</p></article></main>") for i in range(4)]
+    rows += [(9, "http://b/1", same.format("a", 1)), (None, "http://b/2", same.format("b", 2))]
+    got = {r["page_id"]: r["text"] for r in html_text.extract_text(pages(spark, rows)).collect()}
+    assert got == {**{i: f"shared passage own {i}" for i in range(4)}, 9: "a shared passage x1", None: "b shared passage x2"}
+
+
+def test_common_lines_are_a_longest_subsequence(monkeypatch):
     rng = np.random.default_rng(2)
-    for _ in range(60):
-        a, b = ([str(x) for x in rng.integers(0, 4, size=rng.integers(0, 9))] for _ in range(2))
-        got = sorted(html_text.common_lines(a, b))
-        best = max((len(p) for n in range(len(a) + 1) for p in itertools.combinations(range(len(a)), n) if _within([a[i] for i in p], b)), default=0)
-        assert len(got) == best and _within([a[i] for i in got], b)
+    for most in (1 << 40, -1):  # over equal pairs, and bit by bit
+        monkeypatch.setattr(html_text, "MOST_PAIRS", most)
+        for _ in range(60):
+            a, b = ([str(x) for x in rng.integers(0, 4, size=rng.integers(0, 9))] for _ in range(2))
+            got = sorted(html_text.common_lines(a, b))
+            best = max((len(p) for n in range(len(a) + 1) for p in itertools.combinations(range(len(a)), n) if _within([a[i] for i in p], b)), default=0)
+            assert len(got) == best and _within([a[i] for i in got], b)
+    monkeypatch.undo()
+    a, b = (rng.integers(0, 3, size=8_000).tolist() for _ in range(2))
+    assert len(html_text.common_lines(a, b)) > 5_000
 
 
 def _within(part, whole):
@@ -70,7 +122,7 @@ def _within(part, whole):
 
 def test_very_long_page():
     page = "<article>" + "<p>line of text</p>" * 50_000 + "</article>"
-    assert len(html_text.page_lines(page)[0]) == 50_000
+    assert html_text.page_lines(page) == (["line of text"] * 50_000, "g" * 50_000)
     lines = [f"l{i}" for i in range(20_000)]
     assert len(html_text.common_lines(lines, lines[::2])) == 10_000
 
