@@ -186,6 +186,71 @@ def test_alignment_against_full_dynamic_programming():
         assert n >= 17 and 2 * n - (hi - lo) <= full(a, b)
 
 
+def brute_matches(text, templates, least):
+    """The best local alignment of each template with a whole text, by the full table, then both sides of it."""
+    spans = [(m[0].lower(), *m.span()) for m in re.finditer("[A-Za-z0-9]+", text)]
+    found = []
+    for name, template in templates.items():
+        want, todo = re.findall("[a-z0-9]+", template.lower()), [(0, len(spans))]
+        while todo:
+            lo, hi = todo.pop()
+            rows = [[(0, 0, j) for j in range(hi - lo + 1)]]
+            best = (0, 0, 0, 0)
+            for w in want:
+                row = [(0, 0, 0)]
+                for j in range(1, hi - lo + 1):
+                    same, d, u, left = w == spans[lo + j - 1][0], rows[-1][j - 1], rows[-1][j], row[-1]
+                    options = [(d[0] + (2 if same else -1), d[1] + same, d[2] if d[0] > 0 else j - 1), (u[0] - 1, u[1], u[2]), (left[0] - 1, left[1], left[2])]
+                    top = max(options, key=lambda o: (o[0], o[1]))
+                    row.append(top if top[0] > 0 else (0, 0, j))
+                    if top[0] > 0 and top[:2] > best[:2]:
+                        best = (top[0], top[1], top[2], j)
+                rows.append(row)
+            score, n, a, b = best
+            if n / len(want) < least:
+                continue
+            found.append((n, name, lo + a, lo + b, n / len(want)))
+            todo += [(lo, lo + a), (lo + b, hi)]
+    out, taken = [], []
+    for n, name, a, b, share in sorted(found, key=lambda x: (-x[0], x[2], x[1])):
+        if not any(a < y and x < b for x, y in taken):
+            taken.append((a, b))
+            out.append((name, spans[a][1], spans[b - 1][2], round(share, 9), n))
+    return sorted(out)
+
+
+def test_spans_and_coverage_against_brute_force(spark):
+    rng = np.random.default_rng(8)
+    templates = {k: v for k, v in licenses.TEMPLATES.items() if k != "MIT"} | {"public-domain": "Public Domain", "two": "All rights reserved by the maker of this thing", "one": "Unlicense"}
+    fill = ["the", "software", "license", "mit", "under", "copy", "é", "x", "words", "rights"]
+
+    def edited(template):
+        words = template.split()
+        for _ in range(int(rng.integers(0, 1 + len(words) // 8))):
+            i = int(rng.integers(len(words)))
+            words[i : i + 1] = [] if rng.random() < 0.5 else ["changed"]
+        return " ".join(words)
+
+    texts = []
+    for _ in range(40):
+        parts = []
+        for _ in range(int(rng.integers(1, 6))):
+            parts.append(" ".join(rng.choice(fill, size=int(rng.integers(0, 12)))))
+            parts.append(edited(str(rng.choice(list(templates.values())))))
+        texts.append(" | ".join(parts))
+    got = {}
+    for r in licenses.scan_licenses(docs(spark, list(enumerate(texts))), templates).collect():
+        got.setdefault(r["doc_id"], []).append((r["license"], r["start"], r["end"], round(r["coverage"], 9), r["matched"]))
+    for i, text in enumerate(texts):
+        assert sorted(got.get(i, [])) == brute_matches(text, templates, 0.8), text
+
+
+def test_templates_shorter_than_a_shingle(spark):
+    got = licenses.scan_licenses(docs(spark, [(1, "in the PUBLIC domain, public-domain"), (2, "public or domain")]), {"pd": "Public Domain"}).collect()
+    assert sorted((r["doc_id"], r["start"], r["end"]) for r in got) == [(1, 7, 20), (1, 22, 35)]
+    assert licenses.lengths_for(1, licenses.LicenseParams()) == (1, 1) and licenses.lengths_for(163, licenses.LicenseParams()) == (3, 2)
+
+
 # ----------------------------------------------------------------- secrets
 
 

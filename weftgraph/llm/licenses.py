@@ -6,10 +6,15 @@ up in it; hits of one template close to one another in the document make a
 candidate region, which a banded local alignment of words compares with the
 template. Matches report how much of the template they cover and where they
 lie in the text.
+
+Shingle and window shrink for short templates, so that a text that changes or
+leaves out as many words as the coverage allows, and adds none between them,
+still has a run of words that holds a fingerprint.
 """
 
 from __future__ import annotations
 
+import math
 import re
 from collections import Counter, defaultdict
 from collections.abc import Iterator
@@ -37,7 +42,7 @@ _TO_WORDS = bytes(c if chr(c).isascii() and chr(c).isalnum() else 32 for c in ra
 
 @dataclass(frozen=True)
 class LicenseParams:
-    """Words in a shingle, shingles in a winnowing window, half width of the band, least coverage."""
+    """Most words in a shingle, most shingles in a winnowing window, half width of the band, least coverage."""
 
     shingle: int = 3
     window: int = 2
@@ -75,38 +80,50 @@ def winnow(h: np.ndarray, w: int) -> list[int]:
     return out
 
 
+def lengths_for(words: int, params: LicenseParams) -> tuple[int, int]:
+    """(shingle, window) of a template with so many words.
+
+    ``lost`` words may be missing from a match, so the others hold a run of at
+    least ``run`` words; a run of shingle + window - 1 words holds a fingerprint.
+    """
+    lost = words - math.ceil(words * params.coverage - 1e-9)
+    run = -(-(words - lost) // (lost + 1))
+    shingle = max(1, min(params.shingle, run))
+    return shingle, max(1, min(params.window, run - shingle + 1))
+
+
 class Index:
     """Vocabulary, templates as word ids, and the inverted index of their fingerprints."""
 
     def __init__(self, templates: dict[str, str], params: LicenseParams):
         self.params, self.names = params, sorted(templates)
         self.vocabulary: dict[bytes, int] = {}
-        self.ids, self.places = [], defaultdict(list)
+        self.ids = []
+        places: dict[int, dict[int, list[tuple[int, int]]]] = defaultdict(lambda: defaultdict(list))  # by shingle length
         for t, name in enumerate(self.names):
             words = _words(templates[name])
             ids = np.array([self.vocabulary.setdefault(w, xxhash.xxh3_64_intdigest(w) | 1) for w in words], np.uint64)
             self.ids.append(ids)
-            h = _hashes(ids, min(params.shingle, max(1, len(ids))))
-            for p in winnow(h, params.window):
-                self.places[int(h[p])].append((t, p))
-        self.keys = np.array(sorted(self.places), np.uint64)
+            shingle, window = lengths_for(len(ids), params)
+            h = _hashes(ids, shingle)
+            for p in winnow(h, window):
+                places[shingle][int(h[p])].append((t, p))
+        self.tables = [(k, np.array(sorted(table), np.uint64), table) for k, table in sorted(places.items())]
 
     def matches(self, text: str) -> list[tuple[str, int, int, float, int]]:
         """(template, start, end, coverage, matched words), best ones first where they overlap."""
         get = self.vocabulary.get
         words = _words(text)
         ids = np.fromiter((get(w, 0) for w in words), np.uint64, len(words))
-        if not ids.any() or not len(self.keys):
-            return []
-        h = _hashes(ids, self.params.shingle)
-        at = np.searchsorted(self.keys, h)
-        hit = np.flatnonzero((h > 0) & (self.keys[np.minimum(at, len(self.keys) - 1)] == h))
-        if not len(hit):
+        if not ids.any():
             return []
         by = defaultdict(list)
-        for i in hit:
-            for t, p in self.places[int(h[i])]:
-                by[t].append((int(i), p))
+        for k, keys, table in self.tables:
+            h = _hashes(ids, k)
+            at = np.searchsorted(keys, h)
+            for i in np.flatnonzero((h > 0) & (keys[np.minimum(at, len(keys) - 1)] == h)):
+                for t, p in table[int(h[i])]:
+                    by[t].append((int(i), p))
         found = []
         for t, hits in by.items():
             size, band = len(self.ids[t]), self.params.band
