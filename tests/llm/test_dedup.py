@@ -50,6 +50,13 @@ def test_exact_empty_and_drop(spark):
     assert kept.columns == ["doc_id", "text", "keep_id", "_id"]
 
 
+def test_exact_drop_keeps_one_row_of_repeated_ids(spark):
+    rows = [(1, "a b"), (1, "a b"), (1, "a  b"), (1, "other"), (2, "a b"), (None, "n"), (None, "n"), (None, "a b"), (3, None), (3, "")]
+    got = sorted(((r["doc_id"], " ".join((r["text"] or "").split())) for r in drop_exact_duplicates(table(spark, rows)).collect()), key=str)
+    assert got == sorted([(1, "a b"), (1, "other"), (None, "n"), (3, "")], key=str)
+    assert drop_exact_duplicates(table(spark, [])).count() == 0
+
+
 # ------------------------------------------------------------------- lines
 
 
@@ -150,7 +157,7 @@ def test_near_cases(spark):
     assert got == [(1, 1, True)] * 3 + [(2, 1, False), (None, None, True)]
     assert near_dup_groups(table(spark, [])).count() == 0
     kept = drop_near_duplicates(table(spark, rows))
-    assert sorted(str(r["doc_id"]) for r in kept.collect()) == ["1", "1", "1", "None"]
+    assert sorted((str(r["doc_id"]), r["text"][:5]) for r in kept.collect()) == [("1", "a b c"), ("1", "quite"), ("None", "a b c")]
     assert kept.columns == ["doc_id", "text", "keep_id", "_id"]
     with pytest.raises(ValueError):
         near_dup_groups(table(spark, rows), NearDupParams(3, 0, 100))
@@ -159,6 +166,20 @@ def test_near_cases(spark):
     assert [r["component_id"] for r in pair] == [1, 1]
 
 
+def test_ids_with_several_texts(spark):
+    """An id's texts are one document for components, and rows of their own where rows are dropped."""
+    a, b = " ".join(f"a{i}" for i in range(40)), " ".join(f"b{i}" for i in range(40))
+    rows = [(1, a), (1, b), (2, b + " more"), (3, a + " more"), (4, "alone in the world of words"), (4, ""), (4, None), (2, ""), (5, a), (5, a.upper())]
+    got = {(r["doc_id"], r["n_shingles"]): (r["component_id"], r["kept"]) for r in near_dup_groups(table(spark, rows), NearDupParams(3, 85, 100)).collect()}
+    assert got == {(1, 38): (1, True), (2, 39): (1, False), (3, 39): (1, False), (4, 4): (4, True), (4, 0): (4, True), (2, 0): (1, False), (5, 38): (1, False)}
+    kept = drop_near_duplicates(table(spark, rows), NearDupParams(3, 85, 100)).collect()
+    assert sorted((r["doc_id"], len((r["text"] or "").split())) for r in kept) == [(1, 40), (1, 40), (2, 0), (4, 0), (4, 6)]
+    # the representative of a set is another id than that of its neighbours
+    chain = [(7, a), (7, b), (6, a), (8, b + " x"), (9, "p q r s t u v"), (9, a + " y")]
+    got = {r["doc_id"]: r["component_id"] for r in near_dup_groups(table(spark, chain), NearDupParams(3, 85, 100)).collect()}
+    assert got == {6: 6, 7: 6, 8: 6, 9: 6}
+
+
 def test_registers_estimate_similarity():
     rng = np.random.default_rng(0)
     mult = near_dedup._multipliers(210)

@@ -20,6 +20,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from weftgraph.llm.rows import one_row_each
 from weftgraph.plans.common import BROADCAST_ROWS, checked_broadcast, cut
 
 PREFIX_CHARS = 256
@@ -47,13 +48,17 @@ def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     """
     norm = normalised(F.col(text_col))
     base = docs.select(F.col(id_col).alias("_id"), norm.alias("_t"))
-    lengths = checked_broadcast(cut(base.groupBy(F.length("_t").alias("_n")).agg(F.count("*").alias("c")).where("c > 1").select("_n")), broadcast_rows)
+    lengths = cut(base.groupBy(F.length("_t").alias("_n")).agg(F.count("*").alias("c")).where("c > 1").select("_n"))
+    hinted_lengths = checked_broadcast(lengths, broadcast_rows)
     prefix = F.xxhash64(F.substring("_t", 1, prefix_chars))
-    shared = base.withColumn("_n", F.length("_t")).join(lengths, "_n", "left_semi").select("_n", prefix.alias("_p"))
+    if hinted_lengths is lengths:  # hashes first, for the same reason
+        shared = base.select(F.length("_t").alias("_n"), prefix.alias("_p")).join(lengths, "_n", "left_semi")
+    else:
+        shared = base.withColumn("_n", F.length("_t")).join(hinted_lengths, "_n", "left_semi").select("_n", prefix.alias("_p"))
     pairs = cut(shared.groupBy("_n", "_p").agg(F.count("*").alias("c")).where("c > 1").select("_n", "_p"))
     hinted = checked_broadcast(pairs, broadcast_rows)
     wide = base.select("_id", "_t", F.length("_t").alias("_n"), prefix.alias("_p"))
-    if hinted is pairs:
+    if hinted is pairs:  # digests first, so that the shuffle of the join carries no texts
         rows = wide.select("_id", "_n", "_p", F.unhex(F.sha2("_t", 256)).alias("_h")).join(pairs, ["_n", "_p"], "left_semi")
     else:
         rows = wide.join(hinted, ["_n", "_p"], "left_semi").select("_id", "_n", "_p", F.unhex(F.sha2("_t", 256)).alias("_h"))
@@ -65,6 +70,19 @@ def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
 
 def drop_exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The input rows whose text is the first of its group, once each."""
-    kept = exact_dedup(docs, id_col, text_col).where("kept").select(F.col(id_col).alias("_keep")).distinct()
-    return docs.join(kept, docs[id_col].eqNullSafe(kept["_keep"]), "left_semi")
+    """The input rows that stay: one row of each group of equal texts, that of the smallest id.
+
+    Rows are judged by their texts: of rows that repeat an id those with other
+    texts are not affected. Null text is empty text; a row whose id is null
+    stays where no row of its group has an id. Of rows that repeat both id and
+    text one stays, any of them. Columns pass unchanged, whatever their names;
+    an empty table gives an empty result.
+    """
+    kept = exact_dedup(docs, id_col, text_col).where("kept").select(F.col(id_col).alias("_keep"), F.col("text_sha256").alias("_sha")).distinct()
+    repeats = docs.groupBy(id_col).count().where("count > 1").limit(1).count()
+    if not repeats:
+        return docs.join(kept, docs[id_col].eqNullSafe(kept["_keep"]), "left_semi")
+    same = docs[id_col].eqNullSafe(kept["_keep"]) & (F.sha2(normalised(docs[text_col]), 256) == kept["_sha"])
+    # texts that differ in white space only are equal, so rows are told apart by the normalised text
+    shown = docs.join(kept, same, "left_semi").withColumn("_equal_text", normalised(F.col(text_col)))
+    return one_row_each(shown, id_col, "_equal_text").drop("_equal_text")

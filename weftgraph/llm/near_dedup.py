@@ -34,8 +34,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from weftgraph.llm.memory import give_back
+from weftgraph.llm.rows import one_row_each
 from weftgraph.operators.components import connected_components
-from weftgraph.plans.common import cut, other_key, written
+from weftgraph.plans.common import cut, ordinal, other_key, written
 
 BAND_ROWS, MISS, MANTISSA = 6, 1e-7, 10
 BLOCK_DOCS, BLOCK_SHINGLES, PIVOTS = 64, 1 << 20, 8
@@ -140,7 +141,7 @@ def _signatures(params: NearDupParams):
                 keys.append(band_keys(registers(s, mult, k), bands) if len(s) else np.empty(0, np.int64))
             offsets = np.concatenate(([0], np.cumsum([len(x) for x in keys]))).astype(np.int32)
             flat = np.concatenate(keys) if keys else np.empty(0, np.int64)
-            yield pa.RecordBatch.from_arrays([ids.cast(pa.int64()), pa.array(n, pa.int64()), pa.array(digest, pa.binary()), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(flat, pa.int64()))], names=["_id", "n", "digest", "bands"])
+            yield pa.RecordBatch.from_arrays([ids.cast(pa.int64()), batch.column(2), pa.array(n, pa.int64()), pa.array(digest, pa.binary()), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(flat, pa.int64()))], names=["_id", "_row", "n", "digest", "bands"])
         give_back()
 
     return run
@@ -257,34 +258,44 @@ def _grouped(rows: DataFrame, params: NearDupParams) -> DataFrame:
     return dealt.mapInArrow(_link_groups(params), "u long, v long")
 
 
-def near_dup_groups(docs: DataFrame, params: NearDupParams = NearDupParams(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row per input row: id, n_shingles, component_id, kept.
+def _named(sig: DataFrame) -> DataFrame | None:
+    """(_id, digest, name): a number for each id and set, in the order of ids; None if no id has two sets.
 
-    ``component_id`` is the smallest id that links reach. Texts without words
-    (null, empty, white space) have an empty set and are linked with nothing.
-    A text with fewer words than a shingle has one shingle, all its words.
-    Rows that repeat an id stay separate rows and share its component. Rows
-    whose id is null are linked with nothing, have a null component and are
-    kept. An empty table gives an empty result; extra columns are ignored.
+    Rows that repeat an id may differ in their texts. Then ids cannot stand
+    for sets, and these numbers do.
     """
-    t = params.num / params.den
-    if not 0 < t <= 1:
-        raise ValueError("the threshold must lie in (0, 1]")
-    base = docs.select(F.col(id_col).cast("long").alias("_id"), F.col(text_col).alias("_text"))
-    sig = written(base.mapInArrow(_signatures(params), "_id long, n long, digest binary, bands array<long>"), "sig")
-    reps = written(sig.where("n > 0 AND _id IS NOT NULL").groupBy("digest").agg(F.min("_id").alias("rep"), F.any_value("n").alias("n"), F.any_value("bands").alias("bands")), "reps")
+    with_set = sig.where("n > 0 AND _id IS NOT NULL")
+    several = with_set.groupBy("_id").agg(F.min("digest").alias("a"), F.max("digest").alias("b")).where("a <> b")
+    if not several.limit(1).count():
+        return None
+    return ordinal(with_set.select("_id", "digest").distinct(), ["_id", "digest"], "name")
+
+
+def _components(base: DataFrame, sig: DataFrame, names: DataFrame | None, params: NearDupParams, tie_ids: bool) -> DataFrame:
+    """(digest, name, component): the least name that links reach, for one name of each set.
+
+    A name is an id, or a number of ``names``. ``tie_ids`` joins the sets of
+    one id.
+    """
+    if names is None:
+        whose = sig.where("n > 0 AND _id IS NOT NULL").withColumn("name", F.col("_id"))
+    else:
+        whose = sig.where("n > 0").join(names, ["_id", "digest"])
+    # a text is fetched again by the id of its representative
+    first = F.min(F.struct("name", "_id")).alias("r")
+    reps = written(whose.groupBy("digest").agg(first, F.any_value("n").alias("n"), F.any_value("bands").alias("bands")).select("digest", F.col("r.name").alias("rep"), F.col("r._id").alias("rid"), "n", "bands"), "reps")
     spread = reps.select("rep", F.explode("bands").alias("band"))
     leads = spread.groupBy("band").agg(F.min("rep").alias("lead"), F.count("*").alias("c")).where("c > 1").select(other_key(F.col("band")).alias("jb"), "lead")
     ties = spread.withColumn("jb", other_key(F.col("band"))).join(leads, "jb").where("rep <> lead").select(F.col("rep").alias("u"), F.col("lead").alias("v")).distinct()
     family = connected_components(ties).withColumnsRenamed({"component": "family"})
     # members of families, dealt into blocks of bounded size
-    member = cut(family.join(reps.select(F.col("rep").alias("nid"), "n", "digest"), "nid"))
+    member = cut(family.join(reps.select(F.col("rep").alias("nid"), "rid", "n", "digest"), "nid"))
     sizes = member.groupBy("family").agg(F.greatest(F.ceil(F.count("*") / BLOCK_DOCS), F.ceil(F.sum("n") / BLOCK_SHINGLES)).cast("int").alias("s"))
     sized = member.join(sizes.select(other_key(F.col("family")).alias("jf"), "s"), other_key(F.col("family")) == F.col("jf")).drop("jf")
     spot = F.xxhash64("nid", F.lit(7))
     few = F.pmod(F.shiftright(spot, 40), F.col("s") * BLOCK_DOCS) < PIVOTS  # about PIVOTS of a family
     sized = sized.withColumns({"block": F.pmod(spot, F.col("s")).cast("int"), "pivot": (F.col("s") > 1) & few})
-    texts = base.join(sized.withColumnRenamed("nid", "mid"), F.col("_id") == F.col("mid")).select("_id", "_text", "digest", "family", "s", "block", "pivot")
+    texts = base.join(sized, F.col("_id") == F.col("rid")).select("nid", "_text", "digest", "family", "s", "block", "pivot")
     full = written(texts.mapInArrow(_sets(params), "nid long, shingles binary, regs binary, family long, s int, block int, pivot boolean"), "sets")
     homes = F.when(F.col("pivot"), F.sequence(F.lit(0), F.col("s") - 1)).otherwise(F.array("block"))
     first = full.withColumns({"g1": F.col("family"), "g2": F.explode(homes), "g3": F.lit(0), "active": F.lit(True)})
@@ -292,14 +303,55 @@ def near_dup_groups(docs: DataFrame, params: NearDupParams = NearDupParams(), id
     large = full.where("s > 1")
     if large.limit(1).count():
         links = links.unionByName(_outside_main(large, links, params))
+    if names is not None:
+        # equal sets of several ids, and with tie_ids the sets of one id, hold together
+        links = links.unionByName(names.join(reps.select("digest", "rep"), "digest").where("name <> rep").select(F.col("name").alias("u"), F.col("rep").alias("v")))
+        if tie_ids:
+            leads = names.groupBy("_id").agg(F.min("name").alias("lead"))
+            links = links.unionByName(names.join(leads, "_id").where("name <> lead").select(F.col("name").alias("u"), F.col("lead").alias("v")))
     found = connected_components(links)
-    named = reps.select("digest", "rep").join(found, F.col("rep") == F.col("nid"), "left").select("digest", F.coalesce("component", "rep").alias("component_id"))
+    return reps.select("digest", F.col("rep").alias("name")).join(found, F.col("name") == F.col("nid"), "left").select("digest", "name", F.coalesce("component", "name").alias("component"))
+
+
+def near_dup_groups(docs: DataFrame, params: NearDupParams = NearDupParams(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row per input row: id, n_shingles, component_id, kept.
+
+    ``component_id`` is the smallest id that links reach. Texts without words
+    (null, empty, white space) have an empty set and are linked with nothing.
+    A text with fewer words than a shingle has one shingle, all its words.
+    Rows that repeat an id stay separate rows of one document: what any of
+    their texts is linked with is in its component. Rows whose id is null are
+    linked with nothing, have a null component and are kept. An empty table
+    gives an empty result; extra columns are ignored.
+    """
+    base, sig = _signed(docs, params, id_col, text_col)
+    names = _named(sig)
+    placed = _components(base, sig, names, params, tie_ids=True)
+    if names is None:
+        of_id = None
+        named = placed.select("digest", F.col("component").alias("component_id"))
+    else:
+        back = names.select(F.col("name").alias("component"), F.col("_id").alias("component_id"))
+        named = placed.join(back, "component").select("digest", "component_id")
+        # a row without words shares the component of its id
+        of_id = names.join(named, "digest").groupBy("_id").agg(F.min("component_id").alias("of_id"))
     out = sig.select("_id", "n", "digest").join(named, "digest", "left")
     component = F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("_id"))
+    if of_id is not None:
+        out = out.join(of_id, "_id", "left")
+        component = F.coalesce("of_id", component)
     component = F.when(F.col("_id").isNotNull(), component)
     return out.select(F.col("_id").alias(id_col), F.col("n").alias("n_shingles"), component.alias("component_id"), F.coalesce(F.col("_id") == component, F.lit(True)).alias("kept"))
 
 
+def _signed(docs: DataFrame, params: NearDupParams, id_col: str, text_col: str) -> tuple[DataFrame, DataFrame]:
+    """The texts by id, and the written signatures of all rows."""
+    if not 0 < params.num / params.den <= 1:
+        raise ValueError("the threshold must lie in (0, 1]")
+    base = docs.select(F.col(id_col).cast("long").alias("_id"), F.col(text_col).alias("_text"), F.xxhash64(text_col).alias("_row"))
+    return base, written(base.mapInArrow(_signatures(params), "_id long, _row long, n long, digest binary, bands array<long>"), "sig")
+
+
 def _outside_main(large: DataFrame, links: DataFrame, params: NearDupParams) -> DataFrame:
     """Links of members outside their family's largest component, looked for in every block."""
     place = connected_components(links)
@@ -319,6 +371,24 @@ def _outside_main(large: DataFrame, links: DataFrame, params: NearDupParams) ->
 
 
 def drop_near_duplicates(docs: DataFrame, params: NearDupParams = NearDupParams(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The input rows that stay: one document of each group."""
-    kept = near_dup_groups(docs, params, id_col, text_col).where("kept").select(F.col(id_col).alias("_keep")).distinct()
-    return docs.join(kept, docs[id_col].eqNullSafe(kept["_keep"]), "left_semi")
+    """The input rows that stay: of each group of linked texts one row, that of the smallest id.
+
+    Rows are judged by their texts: rows that repeat an id and whose texts are
+    not alike all stay, and of rows that repeat an id with equal sets of
+    shingles (the empty set as well) one stays. All rows whose id is null
+    stay. Columns pass unchanged, whatever their names; an empty table gives
+    an empty result.
+    """
+    base, sig = _signed(docs, params, id_col, text_col)
+    known = sig.where("_id IS NOT NULL")
+    if not known.groupBy("_id").count().where("count > 1").limit(1).count():
+        placed = _components(base, sig, None, params, tie_ids=False)
+        gone = known.join(placed, "digest").where("_id <> component").select(F.col("_id").alias("_gone"))
+        return docs.join(gone, docs[id_col].cast("long") == gone["_gone"], "left_anti")
+    names = ordinal(known.where("n > 0").select("_id", "digest").distinct(), ["_id", "digest"], "name")
+    placed = _components(base, sig, names, params, tie_ids=False)
+    # the first name of each set, if it is also the first of its group
+    stay = placed.where("name = component").select("digest", "name").join(names, ["digest", "name"]).select("_id", "digest")
+    alive = known.join(stay.unionByName(known.where("n = 0").select("_id", "digest").distinct()), ["_id", "digest"]).groupBy("_id", "digest").agg(F.min("_row").alias("_stay")).select(F.col("_id").alias("_alive"), "_stay")
+    kept = docs.join(alive, (docs[id_col].cast("long") == alive["_alive"]) & (F.xxhash64(docs[text_col]) == alive["_stay"]), "left_semi")
+    return one_row_each(kept, id_col, text_col).unionByName(docs.where(F.col(id_col).isNull()))
