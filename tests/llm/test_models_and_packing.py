@@ -321,9 +321,84 @@ def test_large_rates_and_order(spark):
     assert out.columns == ["doc_id", "text", "source", "score", "copy", "order_key"]
 
 
+@pytest.mark.parametrize("rate", [0.3, 90.0, 145.0, 700.0, 16_000.0, 1e6])
+def test_distribution_at_any_rate(spark, rate):
+    """The table around the rate against sums of exact terms, and counts against a search from the far end."""
+    rates = spark.createDataFrame([("a", 1, rate), (None, 1, rate)], "_source string, n long, rate double")
+    rows = {r["_source"]: r for r in mixing.distributions(rates).collect()}
+    assert set(rows) == {"a", None}
+    first, cdf = rows[None]["_first"], np.array(rows[None]["_cdf"])
+    k = np.arange(first, first + len(cdf))
+    exact = np.cumsum(np.exp(-rate + k * math.log(rate) - np.array([math.lgamma(x + 1) for x in k])))
+    assert np.abs(cdf - exact).max() < 1e-8 and abs(cdf[-1] - 1) < 1e-8 and len(cdf) < 20 * math.sqrt(rate) + 64
+    n = 40 if rate < 1e5 else 1
+    table = docs(spark, [(i, "t", "a") for i in range(n)])
+    u = {r["doc_id"]: r["u"] for r in table.select("doc_id", mixing.hash_uniform(F.lit(mixing.SEED), F.col("doc_id")).alias("u")).collect()}
+    got = {r["doc_id"]: r["count"] for r in mixing.mix_sources(table, size=n * rate, shuffle=False).groupBy("doc_id").count().collect()}
+    assert got == {i: c for i, x in u.items() if (c := int(first + np.searchsorted(cdf, x)))}
+
+
 # ---------------------------------------------------------------- pipeline
 
 
+LONG = " ".join(f"word{i}" for i in range(20_000))
+
+
+def odd_documents(spark):
+    """Nulls in every column, empty and very long texts, ties, repeated rows, and columns whose names operators use."""
+    line = "a line that is shared by six of the documents of this table"
+    rows = [(i, f"{line}\nown words of document {i} and {i * 7} more of them", "en", "a" if i < 4 else None, 1) for i in range(6)]
+    rows += [(None, "no id here at all in this row", None, None, None), (10, None, "en", "b", None), (11, "", "en", "b", 0), (12, LONG, "en", "b", len(LONG)), (13, f"{LONG} x", "en", "b", len(LONG) + 2)]
+    rows += [(20, "twice the same row with its id", "en", "b", 30)] * 2 + [(20, "the same id with quite another text", "en", "b", 35), (21, " \t\n ", "en", "c", 4)]
+    schema = "doc_id long, text string, lang string, source string, n_chars long"
+    wide = spark.createDataFrame([(*r, "clash", 0.5, True, 9) for r in rows], f"{schema}, component string, score double, kept boolean, copy int")
+    return wide, rows
+
+
+def test_stages_on_odd_rows(spark, sf_dir):
+    import corpus_pipeline
+    from test_dedup import brute_lines
+
+    wide, rows = odd_documents(spark)
+    tox = corpus_pipeline.drop_toxic(spark, wide, sf_dir)
+    assert tox.columns == corpus_pipeline.COLUMNS and collections.Counter(map(tuple, tox.collect())) == collections.Counter(rows)
+    cut = corpus_pipeline.drop_shared_lines(spark, wide, sf_dir)
+    assert cut.columns == corpus_pipeline.COLUMNS
+    got = {(r["doc_id"], r["text"]): r["n_chars"] for r in cut.collect()}
+    assert all(n == len(t) for (_, t), n in got.items())
+    unique = {i: t for i, t, *_ in rows if i is not None and i < 20}
+    assert {k for k in got if k[0] is not None and k[0] < 20} == {(i, t) for i, (t, _, _) in brute_lines(list(unique.items()), 40, 5).items()}
+    assert cut.count() == len(rows)
+    near = corpus_pipeline.drop_near_copies(spark, wide, sf_dir)
+    assert near.columns == corpus_pipeline.COLUMNS
+    assert sorted((str(r["doc_id"]), len(r["text"] or "")) for r in near.collect()) == sorted([(str(i), len(f"a line that is shared by six of the documents of this table\nown words of document {i} and {i * 7} more of them")) for i in range(6)] + [("None", 29), ("10", 0), ("11", 0), ("12", len(LONG)), ("20", 30), ("20", 35), ("21", 4)])
+    mixed = corpus_pipeline.mix(spark, wide, sf_dir)
+    assert mixed.columns == corpus_pipeline.COLUMNS and {r["doc_id"] for r in mixed.collect()} <= {r[0] for r in rows}
+    packed = corpus_pipeline.pack(spark, wide, sf_dir).toPandas()
+    assert len(packed[packed["piece"] == 0]) == len(rows) and packed["length"].max() <= 4096
+    for _, stage in corpus_pipeline.STAGES:
+        assert stage(spark, wide.limit(0), sf_dir).count() == 0
+
+
+def test_stages_against_brute_force(spark, sf_dir, documents):
+    """The rows that each stage keeps of the given table, from plain versions of its rule."""
+    import corpus_pipeline
+    from test_dedup import brute_groups, brute_lines
+
+    rows = {r["doc_id"]: r for r in documents.collect()}
+    judged = {r["doc_id"]: r["predicted"] for r in QUERIES["op4_toxicity"](spark, sf_dir).collect()}
+    kept = {r["doc_id"] for r in corpus_pipeline.drop_toxic(spark, documents, sf_dir).collect()}
+    assert kept == {i for i, p in judged.items() if not p} and kept != set(rows)
+    texts = {i: t for i, (t, _, _) in brute_lines([(i, r["text"]) for i, r in rows.items()], 40, 5).items()}
+    assert {r["doc_id"]: r["text"] for r in corpus_pipeline.drop_shared_lines(spark, documents, sf_dir).collect()} == texts
+    groups = brute_groups([(i, r["text"]) for i, r in rows.items()], 5, 80, 100)
+    assert {r["doc_id"] for r in corpus_pipeline.drop_near_copies(spark, documents, sf_dir).collect()} == {i for i, (_, c) in groups.items() if c == i}
+    sources = collections.Counter(r["source"] for r in rows.values())
+    u = {r["doc_id"]: r["u"] for r in documents.select("doc_id", mixing.hash_uniform(F.lit(mixing.SEED), F.col("doc_id")).alias("u")).collect()}
+    want = {i: mixing.expected_counts(len(rows) / len(sources) / sources[r["source"]], u[i]) for i, r in rows.items()}
+    assert collections.Counter(r["doc_id"] for r in corpus_pipeline.mix(spark, documents, sf_dir).collect()) == +collections.Counter(want)
+
+
 def test_pipeline_stages_take_effect(spark, sf_dir):
     import corpus_pipeline
 

@@ -3,7 +3,8 @@
 Each source has a mean repetition rate, its target share of the output over
 its share of the input. Each document gets a uniform number from a hash of a
 seed and its id, and the count at which the Poisson distribution function of
-its source's rate first reaches that number. Documents are exploded by their
+its source's rate first reaches that number: found by halving in a table around
+the rate. Documents are exploded by their
 count and put into the global order of another hash. The same seed gives the
 same mixture on any cluster.
 """
@@ -12,7 +13,7 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from weftgraph.plans.common import checked_broadcast, cut
@@ -47,13 +48,37 @@ def source_rates(docs: DataFrame, targets: dict[str, float] | None = None, size:
     return weighed.select("_source", "n", rate.alias("rate"))
 
 
-def _distribution(rate: Column) -> Column:
-    """The Poisson distribution function from 0 to a bound whose tail is under 2^-53."""
-    last = F.ceil(rate + 9 * F.sqrt(rate) + 30).cast("int")
-    term = F.transform(F.sequence(F.lit(0), last), lambda k: k.cast("double"))
-    # log terms grow by log(rate / k); running sums keep large rates finite
-    logs = F.aggregate(term, F.array().cast("array<double>"), lambda acc, k: F.concat(acc, F.array(F.when(k == 0, -rate).otherwise(F.element_at(acc, -1) + F.log(rate) - F.log(k)))))
-    return F.aggregate(logs, F.array().cast("array<double>"), lambda acc, x: F.concat(acc, F.array(F.coalesce(F.when(F.size(acc) > 0, F.element_at(acc, -1)), F.lit(0.0)) + F.exp(x))))
+def _log_factorial(k: Column) -> Column:
+    """log k! by a series, exact to a double for k of 100 or more; smaller ones are summed."""
+    x = k.cast("double")
+    series = (x + 0.5) * F.log(x) - x + 0.5 * math.log(2 * math.pi) + 1 / (12 * x) - 1 / (360 * x * x * x) + 1 / (1260 * x * x * x * x * x)
+    return F.when(k >= 100, series).otherwise(F.aggregate(F.sequence(F.lit(1).cast("long"), F.greatest(k, F.lit(1))), F.lit(0.0), lambda acc, i: acc + F.log(i.cast("double"))))
+
+
+def distributions(rates: DataFrame) -> DataFrame:
+    """(_source, _first, _cdf): the Poisson distribution function of each source's rate, from the count ``_first`` on.
+
+    Counts reach nine deviations and thirty around the rate; what lies below
+    has a chance under 2^-53. The work is linear in the width of that range,
+    which grows with the root of the rate.
+    """
+    reach = 9 * F.sqrt("rate") + 30
+    first = F.greatest(F.floor(F.col("rate") - reach), F.lit(0)).cast("long")
+    base = rates.withColumns({"_first": first, "_last": F.ceil(F.col("rate") + reach).cast("long")})
+    start = F.when(F.col("_first") == 0, -F.col("rate")).otherwise(F.col("_first") * F.log("rate") - F.col("rate") - _log_factorial(F.col("_first")))
+    each = base.withColumn("_start", start).select("_source", "_first", "_start", "rate", F.explode(F.sequence("_first", "_last")).alias("k"))
+    # log of the chance of each count, summed up from the first; rates are told apart by their source
+    step = F.when(F.col("k") == F.col("_first"), F.col("_start")).otherwise(F.log("rate") - F.log(F.col("k").cast("double")))
+    so_far = Window.partitionBy("_source").orderBy("k").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    summed = each.withColumn("_log", F.sum(step).over(so_far)).withColumn("c", F.sum(F.exp("_log")).over(so_far))
+    return summed.groupBy("_source").agg(F.first("_first").alias("_first"), F.transform(F.array_sort(F.collect_list(F.struct("k", "c"))), lambda x: x["c"]).alias("_cdf"))
+
+
+def _below(cdf: Column, u: Column, most: int) -> Column:
+    """How many entries of a rising array lie under ``u``, by halving."""
+    powers = [1 << i for i in reversed(range(max(1, most.bit_length())))]
+    found = F.lit(0)
+    return F.aggregate(F.array(*[F.lit(p) for p in powers]), found, lambda low, p: F.when((low + p <= F.size(cdf)) & (F.get(cdf, low + p - 1) < u), low + p).otherwise(low))
 
 
 def mix_sources(docs: DataFrame, targets: dict[str, float] | None = None, size: float | None = None, seed: int = SEED, id_col: str = "doc_id", source_col: str = "source", shuffle: bool = True) -> DataFrame:
@@ -66,13 +91,16 @@ def mix_sources(docs: DataFrame, targets: dict[str, float] | None = None, size:
     ``order_key`` over all partitions.
     """
     rates = source_rates(docs, targets, size, source_col).where("rate > 0")
-    table = checked_broadcast(cut(rates.select("_source", _distribution(F.col("rate")).alias("_cdf"))), 10_000)
+    found = cut(distributions(rates))
+    most = found.agg(F.max(F.size("_cdf"))).head()[0] or 1
+    table = checked_broadcast(found, 10_000)
     rows = docs.drop("copy", "order_key")
     met = rows.join(table, rows[source_col].eqNullSafe(table["_source"]))
     u = hash_uniform(F.lit(seed), F.col(id_col))
-    count = F.size(F.filter("_cdf", lambda c: c < u))
-    out = met.withColumn("_n", count).where("_n > 0").withColumn("copy", F.explode(F.sequence(F.lit(0), F.col("_n") - 1)))
-    keyed = out.withColumn("order_key", F.md5(F.concat_ws(":", F.lit(str(seed)), F.coalesce(F.col(id_col).cast("string"), F.lit("null")), F.col("copy").cast("string")))).drop("_source", "_cdf", "_n")
+    # no count lies under the first one that has a chance
+    count = F.col("_first") + _below(F.col("_cdf"), u, most)
+    out = met.withColumn("_n", count).where("_n > 0").withColumn("copy", F.explode(F.sequence(F.lit(0), (F.col("_n") - 1).cast("int"))))
+    keyed = out.withColumn("order_key", F.md5(F.concat_ws(":", F.lit(str(seed)), F.coalesce(F.col(id_col).cast("string"), F.lit("null")), F.col("copy").cast("string")))).drop("_source", "_first", "_cdf", "_n")
     if not shuffle:
         return keyed
     return keyed.orderBy("order_key")
