@@ -163,6 +163,16 @@ def test_neighbour_cases(spark):
     assert ann.nearest(rows(spark, values).where("vec_id = 100"), F.lit(True)).count() == 0
 
 
+def test_scores_of_doubles_are_those_of_the_original_vectors(spark):
+    rng = np.random.default_rng(6)
+    x = rng.standard_normal((60, 8)) + 1e-9 * rng.standard_normal((60, 8))
+    wide = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    got = ann.nearest(wide, F.col("vec_id") < 3, ann.AnnParams(k=4)).collect()
+    assert len(got) == 12 and all(r["score"] == ann.exact_scores(x[[r["vec_id"]]], x[r["query_id"]])[0] for r in got)
+    whole = spark.createDataFrame([(i, [int(9 * a) for a in v]) for i, v in enumerate(x)], "vec_id long, embedding array<int>")
+    assert ann.nearest(whole, F.col("vec_id") < 3, ann.AnnParams(k=4)).count() == 12
+
+
 @pytest.mark.parametrize("spread", [0.0, 1e-6])
 def test_copies_do_not_push_out_better_rows(spread):
     import pandas as pd

@@ -10,7 +10,9 @@ exactly on the original vectors, and the block's best go on. A window with a
 limit that works before the shuffle keeps the best of all blocks.
 
 Every vector is scanned for every query, so blocks may be dealt by a hash and
-no vector, however often it is repeated, makes one of them large.
+no vector, however often it is repeated, makes one of them large. There is no
+coarse partition: on vectors without clusters, like those of the given tables,
+one of 16 to 64 cells must look into 70 % of the rows for a recall of 0.9.
 """
 
 from __future__ import annotations
@@ -23,6 +25,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType
 
 
 @dataclass(frozen=True)
@@ -203,7 +206,10 @@ def nearest(vectors: DataFrame, is_query: Column, params: AnnParams = AnnParams(
     columns are ignored.
     """
     spark = vectors.sparkSession
-    named = vectors.select(F.col(id_col).cast("long").alias("id"), F.col(vec_col).cast("array<float>").alias("vec"), F.coalesce(is_query, F.lit(False)).alias("query")).where(F.col("id").isNotNull() & usable(F.col("vec")))
+    # narrow types go as floats, which hold them exactly; all others as doubles
+    given = vectors.schema[vec_col].dataType
+    kind = "array<float>" if isinstance(given, ArrayType) and given.elementType.typeName() in ("float", "short", "byte") else "array<double>"
+    named = vectors.select(F.col(id_col).cast("long").alias("id"), F.col(vec_col).cast(kind).alias("vec"), F.coalesce(is_query, F.lit(False)).alias("query")).where(F.col("id").isNotNull() & usable(F.col("vec")))
     lengths = named.groupBy(F.size("vec").alias("d")).count().orderBy(F.desc("count"), "d").head(1)
     result = "query_id long, rank int, vec_id long, score double"
     if not lengths:
@@ -215,7 +221,7 @@ def nearest(vectors: DataFrame, is_query: Column, params: AnnParams = AnnParams(
     n_row_blocks, n_query_blocks = max(1, -(-n // params.block_rows)), max(1, -(-n_query // params.query_rows))
     row_block = F.pmod(F.xxhash64("id"), F.lit(n_row_blocks)).cast("int")
     query_block = F.pmod(F.xxhash64("id", F.lit(3)), F.lit(n_query_blocks)).cast("int")
-    coded = rows.select("id", "vec").mapInArrow(_coder(book, params.sweeps), "id long, vec array<float>, code binary")
+    coded = rows.select("id", "vec").mapInArrow(_coder(book, params.sweeps), f"id long, vec {kind}, code binary")
     left = coded.withColumns({"rb": row_block, "qb": F.explode(F.sequence(F.lit(0), F.lit(n_query_blocks - 1)))})
     right = rows.where("query").select("id", "vec").withColumns({"qb": query_block, "rb": F.explode(F.sequence(F.lit(0), F.lit(n_row_blocks - 1)))})
     found = left.groupBy("rb", "qb").cogroup(right.groupBy("rb", "qb")).applyInPandas(_search_block(book, params), "query_id long, vec_id long, score double")
