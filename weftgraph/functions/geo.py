@@ -116,6 +116,12 @@ def near_cells(df: DataFrame, x: str, y: str, size: float, rings: int = 1) -> Da
     return df.withColumn("_sx", F.explode(steps)).withColumn("_sy", F.explode(steps)).withColumns({"cx": cell(F.col(x), size) + F.col("_sx"), "cy": cell(F.col(y), size) + F.col("_sy")}).drop("_sx", "_sy")
 
 
+def touched_cells(df: DataFrame, x: str, y: str, size: float, reach: float) -> DataFrame:
+    """``df`` once for each cell that a square of half width ``reach`` around its point touches, as (cx, cy)."""
+    span = lambda v: F.sequence(cell(F.col(v) - reach, size), cell(F.col(v) + reach, size))
+    return df.withColumn("cx", F.explode(span(x))).withColumn("cy", F.explode(span(y)))
+
+
 def merge_points(points: DataFrame, tolerance: float, mode: str = "cell", key: str = "pid") -> DataFrame:
     """(key, rep): each point and the smallest key of those it is merged with.
 
@@ -130,35 +136,67 @@ def merge_points(points: DataFrame, tolerance: float, mode: str = "cell", key: s
         raise ValueError("mode must be cell or linked")
     from weftgraph.operators.components import connected_components
 
-    around = near_cells(points.select(F.col(key).alias("k2"), F.col("x").alias("x2"), F.col("y").alias("y2")), "x2", "y2", tolerance)
+    # bins wide enough that most points look into their own only
+    wide = 8 * tolerance
+    binned = points.withColumns({"cx": cell(F.col("x"), wide), "cy": cell(F.col("y"), wide)})
+    around = touched_cells(points.select(F.col(key).alias("k2"), F.col("x").alias("x2"), F.col("y").alias("y2")), "x2", "y2", wide, tolerance)
     pairs = binned.join(around, ["cx", "cy"]).where((F.col(key) > F.col("k2")) & (distance_xy(F.col("x"), F.col("y"), F.col("x2"), F.col("y2")) <= tolerance))
     merged = connected_components(pairs.select(F.col(key).alias("u"), F.col("k2").alias("v")))
     return points.join(merged, points[key] == merged["nid"], "left").select(key, F.coalesce("component", key).alias("rep"))
 
 
-def snap(points: DataFrame, nodes: DataFrame, size: float, max_rings: int = 64) -> DataFrame:
+def snap(points: DataFrame, nodes: DataFrame, size: float) -> DataFrame:
     """(pid, nid, dist): the nearest node of each point, ties to the smaller id.
 
-    Cells of width ``size`` are searched in growing rings; a point is settled
-    when its best distance is within the searched square. Points with no node
-    inside ``max_rings`` rings come back with a null node.
+    A point looks into its cell of width ``size`` and those around it, and is
+    settled when a node lies nearer than what is outside them. The others look
+    down a pyramid of occupied cells: from the level where one cell holds all
+    nodes, each point keeps the cells that may hold its nearest node, so points
+    at any distance are settled by a few cells a level. Points without
+    coordinates, or without any node, come back with a null node.
     """
     from weftgraph.plans.common import cut
 
-    binned = nodes.select(F.col("nid"), F.col("x").alias("nx"), F.col("y").alias("ny"), cell(F.col("x"), size).alias("cx"), cell(F.col("y"), size).alias("cy"))
-    open_points, done, rings = points.select("pid", "x", "y"), None, 1
-    while True:
-        near = near_cells(open_points, "x", "y", size, rings).join(binned, ["cx", "cy"])
-        d = distance_xy(F.col("x"), F.col("y"), F.col("nx"), F.col("ny"))
-        best = near.groupBy("pid").agg(F.min(F.struct(d.alias("dist"), F.col("nid").alias("nid"))).alias("b")).select("pid", "b.nid", "b.dist")
-        best = cut(best.where(F.col("dist") <= size * (rings - 0.5)))  # what lies outside the square is farther
-        done = best if done is None else done.unionByName(best)
-        open_points = cut(open_points.join(best.select("pid"), "pid", "left_anti"))
-        if not open_points.limit(1).count():
-            return done
-        if rings >= max_rings:
-            return done.unionByName(open_points.select("pid", F.lit(None).cast("long").alias("nid"), F.lit(None).cast("double").alias("dist")))
-        rings = min(rings * 3, max_rings)
+    placed = nodes.where("x IS NOT NULL AND y IS NOT NULL").select("nid", F.col("x").alias("nx"), F.col("y").alias("ny"))
+    binned = placed.withColumns({"cx": cell(F.col("nx"), size), "cy": cell(F.col("ny"), size)})
+    here = points.select("pid", "x", "y")
+    d = distance_xy(F.col("x"), F.col("y"), F.col("nx"), F.col("ny"))
+    least = F.min(F.struct(d.alias("dist"), F.col("nid").alias("nid"))).alias("b")
+    near = near_cells(here, "x", "y", size).join(binned, ["cx", "cy"]).groupBy("pid").agg(least).select("pid", "b.nid", "b.dist")
+    near = cut(near.where(F.col("dist") <= size))  # what lies outside the square is farther
+    rest = cut(here.where("x IS NOT NULL AND y IS NOT NULL").join(near.select("pid"), "pid", "left_anti"))
+    blank = here.where("x IS NULL OR y IS NULL").select("pid", F.lit(None).cast("long").alias("nid"), F.lit(None).cast("double").alias("dist"))
+    if not rest.limit(1).count():
+        return near.unionByName(blank)
+    far = _snap_far(rest, binned, size, least)
+    return near.unionByName(rest.join(far, "pid", "left").select("pid", "nid", "dist")).unionByName(blank)
+
+
+def _snap_far(rest: DataFrame, binned: DataFrame, size: float, least: Column) -> DataFrame:
+    """Nearest nodes by halving cells: a cell stays while its nearest point is no farther than the farthest one of the best cell."""
+    from weftgraph.plans.common import cut
+
+    e = binned.agg(F.min("cx"), F.max("cx"), F.min("cy"), F.max("cy")).head()
+    if e[0] is None:
+        return rest.select("pid", F.lit(None).cast("long").alias("nid"), F.lit(None).cast("double").alias("dist"))
+    depth = max(1, int(max(e[1] - e[0], e[3] - e[2]) + 1).bit_length())
+    used = cut(binned.select((F.col("cx") - e[0]).alias("ix"), (F.col("cy") - e[2]).alias("iy")).distinct())
+    kept = rest.select("pid", "x", "y", F.lit(0).cast("long").alias("ix"), F.lit(0).cast("long").alias("iy"))
+    for level in range(depth - 1, -1, -1):  # cells of 2^level times the width
+        finer = used.select(F.shiftright("ix", level).alias("ix"), F.shiftright("iy", level).alias("iy")).distinct()
+        split = finer.select(F.shiftright("ix", 1).alias("px"), F.shiftright("iy", 1).alias("py"), "ix", "iy")
+        below = kept.withColumnsRenamed({"ix": "px", "iy": "py"}).join(split, ["px", "py"])
+        width = size * (1 << level)
+        low = lambda i, first: (F.col(i) * (1 << level) + F.lit(first) - 0.5) * size  # noqa: E731, B023
+        x0, y0 = low("ix", e[0]), low("iy", e[2])
+        gap = lambda v, a: F.greatest(a - v, v - a - width, F.lit(0.0))  # noqa: E731, B023
+        reach = lambda v, a: F.greatest(F.abs(v - a), F.abs(v - a - width))  # noqa: E731, B023
+        x, y = F.col("x"), F.col("y")
+        sized = below.withColumns({"_lo": F.sqrt(gap(x, x0) * gap(x, x0) + gap(y, y0) * gap(y, y0)), "_hi": F.sqrt(reach(x, x0) * reach(x, x0) + reach(y, y0) * reach(y, y0))})
+        bound = sized.groupBy("pid").agg(F.min("_hi").alias("_bound"))
+        kept = cut(sized.join(bound, "pid").where(F.col("_lo") <= F.col("_bound") * (1 + 1e-12) + 1e-12).select("pid", "x", "y", "ix", "iy"))
+    cells = kept.select("pid", "x", "y", (F.col("ix") + e[0]).alias("cx"), (F.col("iy") + e[2]).alias("cy"))
+    return cells.join(binned, ["cx", "cy"]).groupBy("pid").agg(least).select("pid", "b.nid", "b.dist")
 
 
 def voronoi_zone(points: DataFrame, generators: DataFrame, limit: int = 10_000) -> DataFrame:

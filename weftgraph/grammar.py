@@ -178,29 +178,37 @@ def create(spark: SparkSession, name: str, edges: list[Component], nodes: list[C
 
 
 def _from_lines(rows: DataFrame, given: DataFrame | None, tolerance: float, metric: str) -> tuple[DataFrame, DataFrame]:
-    """Ends of lines merged into nodes by bins of the tolerance; given nodes keep their ids.
+    """Ends of lines that lie within the tolerance, and chains of those, become one node; given nodes keep their ids.
 
-    A bin is represented by its given node with the smallest id, or by the
-    first end in the order of its coordinates.
+    A node is represented by its given node with the smallest id, or by the
+    first end in the order of its coordinates. New ids follow the order of the
+    representatives by bins of the tolerance, lower rows first.
     """
     first, last = F.col("_line")[0], F.element_at("_line", -1)
-    lines = rows.withColumns({"ax": geo.cell(first["x"], tolerance), "ay": geo.cell(first["y"], tolerance), "bx": geo.cell(last["x"], tolerance), "by": geo.cell(last["y"], tolerance), "_length": geo.line_length(F.col("_line"), metric)})
-    ends = lines.select(F.explode(F.array(F.struct(F.col("ax").alias("cx"), F.col("ay").alias("cy"), first["x"].alias("x"), first["y"].alias("y")), F.struct(F.col("bx").alias("cx"), F.col("by").alias("cy"), last["x"].alias("x"), last["y"].alias("y")))).alias("e")).select("e.*")
-    spots = ends.groupBy("cx", "cy").agg(F.min(F.struct("x", "y")).alias("p"))
+    lines = rows.withColumns({"_ax": first["x"], "_ay": first["y"], "_bx": last["x"], "_by": last["y"], "_length": geo.line_length(F.col("_line"), metric)})
+    spots = lines.select(F.explode(F.array(F.struct(F.col("_ax").alias("x"), F.col("_ay").alias("y")), F.struct(F.col("_bx").alias("x"), F.col("_by").alias("y")))).alias("e")).select("e.x", "e.y")
+    if given is not None:
+        spots = spots.unionByName(given.where("x IS NOT NULL AND y IS NOT NULL").select("x", "y"))
+    spots = cut(ordinal(spots.distinct(), ["x", "y"], "pid"))
+    group = geo.merge_points(spots, tolerance, "linked")
+    # the smallest number of a group is its first end in the order of coordinates
+    merged = spots.join(group, "pid").select("x", "y", "rep")
+    reps = spots.join(group.select(F.col("rep").alias("pid")).distinct(), "pid", "left_semi").select(F.col("pid").alias("rep"), "x", "y", geo.cell(F.col("x"), tolerance).alias("cx"), geo.cell(F.col("y"), tolerance).alias("cy"))
     if given is None:
-        nodes = ordinal(spots.select("cx", "cy", "p.x", "p.y"), ["cy", "cx"], "nid")
+        nodes = cut(ordinal(reps, ["cy", "cx", "rep"], "nid"))
         named = nodes.select("nid", "x", "y")
+        of_group = nodes.select("rep", "nid")
     else:
-        own = given.withColumns({"cx": geo.cell(F.col("x"), tolerance), "cy": geo.cell(F.col("y"), tolerance)})
-        rep = own.groupBy("cx", "cy").agg(F.min_by(F.struct(*given.columns), "nid").alias("n")).select("cx", "cy", "n.*")
+        own = given.join(merged.withColumnsRenamed({"x": "_gx", "y": "_gy"}), (F.col("x") == F.col("_gx")) & (F.col("y") == F.col("_gy"))).groupBy("rep").agg(F.min_by(F.struct(*given.columns), "nid").alias("n")).select("rep", "n.*")
+        lone = given.where("x IS NULL OR y IS NULL")
         top = (given.agg(F.max("nid")).head()[0] or 0) + 1
-        new = spots.join(rep.select("cx", "cy"), ["cx", "cy"], "left_anti").select("cx", "cy", "p.x", "p.y")
-        fresh = ordinal(new, ["cy", "cx"], "_o").select("cx", "cy", (F.lit(top) + F.col("_o")).alias("nid"), "x", "y")
-        nodes = rep.unionByName(fresh, allowMissingColumns=True)
-        named = nodes.drop("cx", "cy")
-    nodes = cut(nodes)
-    at = nodes.select("cx", "cy", "nid")
-    table = lines.join(at.toDF("ax", "ay", "src"), ["ax", "ay"]).join(at.toDF("bx", "by", "dst"), ["bx", "by"])
+        new = reps.join(own.select("rep"), "rep", "left_anti")
+        fresh = ordinal(new, ["cy", "cx", "rep"], "_o").select("rep", (F.lit(top) + F.col("_o")).alias("nid"), "x", "y")
+        nodes = cut(own.unionByName(fresh, allowMissingColumns=True))
+        named = nodes.drop("rep").unionByName(lone, allowMissingColumns=True)
+        of_group = nodes.select("rep", "nid")
+    at = cut(merged.join(of_group, "rep").select("x", "y", "nid"))
+    table = lines.join(at.toDF("_ax", "_ay", "src"), ["_ax", "_ay"]).join(at.toDF("_bx", "_by", "dst"), ["_bx", "_by"])
     return table, named
 
 

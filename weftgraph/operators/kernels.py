@@ -38,6 +38,30 @@ class Block:
         return self.offsets.tolist(), self.targets.tolist(), self.weights.tolist()
 
 
+def pack_block(block: Block, border: np.ndarray, mine: np.ndarray) -> bytes:
+    """A part as bytes: sizes, ids, offsets, targets, weights, and two flags for each node."""
+    n, e = len(block.ids), len(block.targets)
+    pieces = [np.array([n, e], np.int64), block.ids.astype(np.int64), block.offsets.astype(np.int64), block.targets.astype(np.int32), border.astype(np.uint8), mine.astype(np.uint8)]
+    return block.weights.tobytes() + b"".join(p.tobytes() for p in pieces[1:]) + pieces[0].tobytes()
+
+
+def unpack_block(packed, number) -> tuple[Block, np.ndarray, np.ndarray]:
+    """(block without edge ids, border flags, flags of nodes that this part reports)."""
+    raw = np.frombuffer(packed, np.uint8)
+    n, e = np.frombuffer(raw[-16:].tobytes(), np.int64).tolist()
+    at = 0
+
+    def take(count: int, kind) -> np.ndarray:
+        nonlocal at
+        size = count * np.dtype(kind).itemsize
+        out = np.frombuffer(raw[at : at + size].tobytes(), kind)
+        at += size
+        return out
+
+    weights, ids, offsets, targets, border, mine = take(e, number), take(n, np.int64), take(n + 1, np.int64), take(e, np.int32), take(n, np.uint8), take(n, np.uint8)
+    return Block(ids, offsets, targets, weights, np.empty(0, np.int64)), border.astype(bool), mine.astype(bool)
+
+
 def settle(lists: tuple[list, list, list], dist: list, seeds: list[tuple[float, int]], stop: set[int] | None = None, limit: float = float("inf")) -> list[int]:
     """Priority-queue shortest paths from several seeds; lowers ``dist`` and returns the changed places.
 

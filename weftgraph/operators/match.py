@@ -11,47 +11,76 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from weftgraph.functions.geo import cell, near_cells, point_segment
-from weftgraph.model import Graph
-from weftgraph.operators.sssp import many_costs, pair_costs, replicate
+from weftgraph.functions.geo import cell, parse_line, parse_point, point_segment, snap, touched_cells
+from weftgraph.model import Graph, arcs
+from weftgraph.operators import overlay
+from weftgraph.operators.sssp import check_weights, pair_costs, replicate, reversed_edges
+from weftgraph.plans.common import checked_broadcast, cut
 
 
 # ------------------------------------------------------------ pairs of ends
 
 
-def _tree(lists: tuple[list, list, list], start: int, stop: set[int]) -> tuple[dict[int, float], dict[int, int]]:
-    """Costs and predecessors (ties to the smaller place) until all of ``stop`` are settled."""
+def _tree(lists: tuple[list, list, list], start: int, stop: set[int], dist: list, before: list) -> list[int]:
+    """Costs and predecessors (ties to the smaller place) until all of ``stop`` are settled; returns the places touched."""
     offsets, targets, weights = lists
-    dist, before, heap, left, done = {start: 0}, {}, [(0, start)], set(stop), set()
+    infinite = float("inf")
+    dist[start], before[start] = 0, start
+    heap, left, touched = [(0, start)], set(stop), [start]
     while heap and left:
         d, i = heapq.heappop(heap)
-        if i in done:
+        if d > dist[i]:
             continue
-        done.add(i)
         left.discard(i)
         for k in range(offsets[i], offsets[i + 1]):
             j, e = targets[k], d + weights[k]
-            old = dist.get(j)
-            if old is None or e < old:
+            old = dist[j]
+            if e < old:
+                if old == infinite:
+                    touched.append(j)
                 dist[j], before[j] = e, i
                 heapq.heappush(heap, (e, j))
-            elif e == old and j not in done and i < before.get(j, i):
+            elif e == old and weights[k] > 0 and i < before[j]:
                 before[j] = i
-    return dist, before
+    return touched
 
 
-def batch_pairs(graph: Graph, pairs: DataFrame, with_paths: bool = False) -> DataFrame:
+def batch_pairs(graph: Graph, pairs: DataFrame, with_paths: bool = False, reverse: bool = False) -> DataFrame:
     """(pair_id, src, dst, cost[, wkt]) of pairs(pair_id, src, dst); a null cost where there is no way.
 
-    Pairs are gathered by origin: each origin is solved once, and only until
-    its destinations are settled. Tasks share the origins.
+    Costs come from tables of the borders of parts, or, where these would be
+    too large, from one search for each origin. With lines each origin is
+    searched until its destinations are settled. ``reverse`` solves the inverse
+    problem: from the second node to the first, against the edges' directions
+    as seen from the first. Tasks share the pairs; a pair that comes often is
+    solved once.
     """
-    wanted = pairs.select("src", "dst").distinct().groupBy("src").agg(F.collect_list("dst").alias("dsts"))
-    solved = _pair_lines(graph, wanted) if with_paths else pair_costs(graph, wanted)
-    kind = "double" if dict(graph.edges.dtypes)["weight"] == "double" else "long"
+    g = graph.with_edges(reversed_edges(graph.edges)) if reverse else graph
+    once = pairs.select("src", "dst").where("src IS NOT NULL AND dst IS NOT NULL").distinct()
+    solved = None
+    if with_paths:
+        solved = _pair_lines(g, once.groupBy("src").agg(F.collect_list("dst").alias("dsts")))
+    else:
+        check_weights(g.edges)
+        found = overlay.tables(g)
+        solved = overlay.pair_table_costs(g, once, found) if found else pair_costs(g, once.groupBy("src").agg(F.collect_list("dst").alias("dsts")))
+    kind = "double" if dict(graph.edges.dtypes)["weight"] in ("double", "float") else "long"
     return pairs.select("pair_id", "src", "dst").join(solved, ["src", "dst"], "left").withColumn("cost", F.col("cost").cast(kind)).select("pair_id", "src", "dst", "cost", *(["wkt"] if with_paths else []))
 
 
+def batch_points(graph: Graph, pairs: DataFrame, size: float, with_paths: bool = False, reverse: bool = False) -> DataFrame:
+    """(pair_id, src, dst, cost[, wkt]) of pairs(pair_id, src_wkt, dst_wkt): points snap to their nearest nodes.
+
+    ``size`` is a usual distance between nodes. Texts that are no point have a
+    null node and cost.
+    """
+    ends = pairs.select("pair_id", F.explode(F.array(F.struct(F.lit(0).alias("end"), parse_point(F.col("src_wkt")).alias("p")), F.struct(F.lit(1).alias("end"), parse_point(F.col("dst_wkt")).alias("p")))).alias("e")).select("pair_id", "e.end", F.col("e.p.x").alias("x"), F.col("e.p.y").alias("y"))
+    spots = ends.where("x IS NOT NULL").select(F.struct("x", "y").alias("pid"), "x", "y").distinct()
+    at = cut(snap(spots, graph.nodes, size).select(F.col("pid.x").alias("x"), F.col("pid.y").alias("y"), "nid"))
+    named = ends.join(at, ["x", "y"], "left").groupBy("pair_id").agg(F.max(F.when(F.col("end") == 0, F.col("nid"))).alias("src"), F.max(F.when(F.col("end") == 1, F.col("nid"))).alias("dst"))
+    return batch_pairs(graph, cut(named), with_paths, reverse)
+
+
 def _pair_lines(graph: Graph, wanted: DataFrame) -> DataFrame:
     """(src, dst, cost, wkt) for rows (src, dsts)."""
     shared = replicate(graph)
@@ -62,6 +91,7 @@ def _pair_lines(graph: Graph, wanted: DataFrame) -> DataFrame:
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         block = shared.value
         lists, at = block.lists(), [points.value.get(n, "") for n in block.ids.tolist()]
+        dist, before = [float("inf")] * len(block.ids), [-1] * len(block.ids)
         for batch in batches:
             for src, dsts in zip(batch["src"], batch["dsts"], strict=True):
                 dsts = np.asarray(dsts, np.int64)
@@ -69,32 +99,52 @@ def _pair_lines(graph: Graph, wanted: DataFrame) -> DataFrame:
                 if start < 0:
                     yield pd.DataFrame({"src": src, "dst": dsts, "cost": [0.0 if d == src else None for d in dsts], "wkt": None})
                     continue
-                dist, before = _tree(lists, start, {i for i in ends if i >= 0})
-                wkt = []
+                touched = _tree(lists, start, {i for i in ends if i >= 0}, dist, before)
+                wkt, cost = [], []
                 for i in ends:
-                    if i not in dist:
+                    if i < 0 or before[i] < 0:
                         wkt.append(None)
+                        cost.append(None)
                         continue
+                    cost.append(dist[i])
                     way = [at[i]]
                     while i != start:
                         i = before[i]
                         way.append(at[i])
                     way.reverse()
                     wkt.append("LINESTRING(" + ", ".join(way) + ")")
-                yield pd.DataFrame({"src": src, "dst": dsts, "cost": [dist.get(i) for i in ends], "wkt": wkt})
+                for i in touched:  # the lists serve the next origin
+                    dist[i], before[i] = float("inf"), -1
+                yield pd.DataFrame({"src": src, "dst": dsts, "cost": cost, "wkt": wkt})
 
     n = int(graph.spark.conf.get("spark.sql.shuffle.partitions"))
     return wanted.select("src", "dsts").repartition(4 * n, "src").mapInPandas(run, "src long, dst long, cost double, wkt string")
 
 
+def line_costs(graph: Graph, lines: DataFrame) -> DataFrame:
+    """(pair_id, line_cost) of lines(pair_id, wkt): the sum of the least weights along the nodes at a line's points.
+
+    A point that is no node, or a step that is no arc, gives a null cost.
+    """
+    at = graph.nodes.groupBy("x", "y").agg(F.min("nid").alias("nid"))
+    ways = arcs(graph.edges).groupBy("u", "v").agg(F.min("w").alias("w"))
+    points = parse_line(F.col("wkt"))
+    step = F.arrays_zip(F.slice(points, 1, F.size(points) - 1).alias("a"), F.slice(points, 2, F.size(points) - 1).alias("b"))
+    each = lines.where("wkt IS NOT NULL").select("pair_id", F.explode_outer(F.when(F.size(points) > 1, step)).alias("s")).select("pair_id", F.col("s.a.x").alias("x"), F.col("s.a.y").alias("y"), F.col("s.b.x").alias("x2"), F.col("s.b.y").alias("y2"))
+    # equal steps of many lines are looked up once
+    steps = each.groupBy("x", "y", "x2", "y2").agg(F.lit(1).alias("one")).join(at.withColumnRenamed("nid", "u"), ["x", "y"], "left").join(at.toDF("x2", "y2", "v"), ["x2", "y2"], "left").join(ways, ["u", "v"], "left").select("x", "y", "x2", "y2", "w")
+    met = each.join(steps, ["x", "y", "x2", "y2"], "left")
+    bad = F.max((F.col("x").isNotNull() & F.col("w").isNull()).cast("int")) > 0
+    return met.groupBy("pair_id").agg(F.when(~bad, F.coalesce(F.sum("w"), F.lit(0))).alias("line_cost"))
+
+
 def od_within(graph: Graph, pairs: DataFrame, max_cost: int, depart: int = 0, arrive_by: str | None = None) -> DataFrame:
     """(pair_id, src, dst, cost, slack): pairs whose way costs at most ``max_cost``.
 
     With ``arrive_by``, a column of the pairs, a pair must also arrive in time
     when it leaves at ``depart``; slack is the time left, else the cost left.
     """
-    costs = many_costs(graph, pairs.select(F.col("src").alias("nid")), limit=max_cost)
-    met = pairs.join(costs, (F.col("src") == F.col("source")) & (F.col("dst") == F.col("nid")))
+    met = pairs.join(batch_pairs(graph, pairs).select("pair_id", "cost"), "pair_id").where(F.col("cost") <= max_cost)
     slack = F.lit(max_cost) - F.col("cost") if arrive_by is None else F.col(arrive_by) - F.lit(depart) - F.col("cost")
     return met.withColumn("slack", slack).where("slack >= 0").select("pair_id", "src", "dst", "cost", "slack")
 
@@ -103,71 +153,47 @@ def od_within(graph: Graph, pairs: DataFrame, max_cost: int, depart: int = 0, ar
 
 
 def candidates(graph: Graph, gps: DataFrame, radius: float, keep: int = 4) -> DataFrame:
-    """(trip_id, seq, eid, u, v, len, t, px, py, d): the nearest edges of each sample within the radius.
+    """(trip_id, seq, eid, u, v, len, t, px, py, d): the nearest ``keep`` edges of each sample within the radius."""
+    best = Window.partitionBy("trip_id", "seq").orderBy("d", "eid")
+    return edges_near(graph, gps, radius).withColumn("_r", F.row_number().over(best)).where(F.col("_r") <= keep).drop("_r")
+
+
+def edges_near(graph: Graph, gps: DataFrame, radius: float) -> DataFrame:
+    """(trip_id, seq, eid, u, v, len, t, px, py, d): all edges within the radius of each sample.
 
-    Edges are entered into every cell of width ``radius`` that their bounding
-    box touches; a sample looks into its own cell and those around it.
+    Edges are entered into the cells that they pass: for each column, the rows
+    between the ends of the edge's stretch in it. A sample looks into the cells
+    that a square of the radius around it touches. Cells are two radii wide. A
+    pair that meets in several cells counts in that of the edge's nearest point.
     """
     at = graph.nodes.select("nid", "x", "y")
     segs = graph.edges.select("eid", "src", "dst").join(at.toDF("src", "ax", "ay"), "src").join(at.toDF("dst", "bx", "by"), "dst")
-    span = lambda a, b: F.sequence(F.least(cell(F.col(a), radius), cell(F.col(b), radius)), F.greatest(cell(F.col(a), radius), cell(F.col(b), radius)))
-    entered = segs.withColumn("cx", F.explode(span("ax", "bx"))).withColumn("cy", F.explode(span("ay", "by")))
-    near = near_cells(gps.select("trip_id", "seq", "x", "y"), "x", "y", radius).join(entered, ["cx", "cy"]).dropDuplicates(["trip_id", "seq", "eid"])
+    wide = 2 * radius
+    across = F.sequence(F.least(cell(F.col("ax"), wide), cell(F.col("bx"), wide)), F.greatest(cell(F.col("ax"), wide), cell(F.col("bx"), wide)))
+    column = segs.withColumn("cx", F.explode(across))
+    # the stretch of the edge inside the column, as a range of its parameter
+    dx, dy = F.col("bx") - F.col("ax"), F.col("by") - F.col("ay")
+    at_x = lambda edge: F.least(F.greatest(((F.col("cx") + edge) * wide - F.col("ax")) / F.when(dx != 0, dx), F.lit(0.0)), F.lit(1.0))
+    y1, y2 = (F.col("ay") + dy * F.when(dx != 0, at_x(edge)).otherwise(float(end)) for edge, end in ((-0.5, 0), (0.5, 1)))
+    slack = 1e-9 * wide
+    entered = column.withColumn("cy", F.explode(F.sequence(cell(F.least(y1, y2) - slack, wide), cell(F.greatest(y1, y2) + slack, wide))))
+    # a graph whose size has been checked goes to the samples; otherwise both meet by cells
+    near = touched_cells(gps.select("trip_id", "seq", "x", "y"), "x", "y", wide, radius).join(checked_broadcast(cut(entered)), ["cx", "cy"])
     foot = point_segment(F.col("x"), F.col("y"), F.col("ax"), F.col("ay"), F.col("bx"), F.col("by"))
     length = F.sqrt((F.col("ax") - F.col("bx")) * (F.col("ax") - F.col("bx")) + (F.col("ay") - F.col("by")) * (F.col("ay") - F.col("by")))
-    scored = near.withColumn("f", foot).withColumn("len", length).where(F.col("f.d") <= radius)
-    best = Window.partitionBy("trip_id", "seq").orderBy(F.col("f.d"), "eid")
-    return scored.withColumn("_r", F.row_number().over(best)).where(F.col("_r") <= keep).select("trip_id", "seq", "eid", F.col("src").alias("u"), F.col("dst").alias("v"), "len", F.col("f.t").alias("t"), F.col("f.x").alias("px"), F.col("f.y").alias("py"), F.col("f.d").alias("d"))
-
-
-def _viterbi(samples: list[tuple], sigma: float, beta: float, steps) -> list[int | None]:
-    """The best candidate of each sample; a chain breaks where no step is possible.
-
-    ``samples``: (x, y, candidates); ``steps(before, after, straight)`` gives network distances.
-    """
-    choice: list[int | None] = [None] * len(samples)
-    score, back, begin = None, [], 0
-
-    def finish(end: int) -> None:
-        if score is None:
-            return
-        k = int(np.argmax(score))
-        for i in range(end, begin - 1, -1):
-            choice[i] = k
-            k = back[i - begin][k] if i > begin else k
-
-    for i, (x, y, cands) in enumerate(samples):
-        emit = np.array([-(c["d"] ** 2) / (2 * sigma**2) for c in cands])
-        if not len(cands):
-            finish(i - 1)
-            score, begin, back = None, i + 1, []
-            continue
-        if score is None:
-            score, begin, back = emit, i, [[0] * len(cands)]
-            continue
-        px, py, before = samples[i - 1]
-        straight = math.hypot(x - px, y - py)
-        step = -np.abs(steps(before, cands, straight) - straight) / beta
-        total = score[:, None] + step
-        if not np.isfinite(total).any():
-            finish(i - 1)
-            score, begin, back = emit, i, [[0] * len(cands)]
-            continue
-        back.append(total.argmax(axis=0).tolist())
-        score = total.max(axis=0) + emit
-    finish(len(samples) - 1)
-    return choice
+    scored = near.withColumn("f", foot).where((F.col("f.d") <= radius) & (cell(F.col("f.x"), wide) == F.col("cx")) & (cell(F.col("f.y"), wide) == F.col("cy")))
+    return scored.select("trip_id", "seq", "eid", F.col("src").alias("u"), F.col("dst").alias("v"), length.alias("len"), F.col("f.t").alias("t"), F.col("f.x").alias("px"), F.col("f.y").alias("py"), F.col("f.d").alias("d"))
 
 
 class _Network:
-    """Distances between points on edges; searches are remembered by node, for all trips of a worker."""
+    """Distances between nodes within a limit; searches are remembered by node, for all trips of a worker."""
 
-    MOST = 10_000
+    MOST = 20_000
 
     def __init__(self, block):
         self.offsets, self.targets, self.lengths = block.lists()
-        self.place = {n: i for i, n in enumerate(block.ids.tolist())}
-        self.memory: dict[tuple[int, int], dict[int, float]] = {}
+        self.memory: dict[float, dict[int, dict[int, float]]] = {}
+        self.held = 0
 
     @staticmethod
     def of(block) -> _Network:
@@ -175,48 +201,112 @@ class _Network:
             block.network = _Network(block)
         return block.network
 
-    def around(self, node: int, limit: int) -> dict[int, float]:
-        key = (node, limit)
-        got = self.memory.get(key)
-        if got is None:
-            if len(self.memory) >= self.MOST:
-                self.memory.clear()
-            got, heap = {node: 0.0}, [(0.0, node)]
-            while heap:
-                d, i = heapq.heappop(heap)
-                if d > got[i]:
-                    continue
-                for k in range(self.offsets[i], self.offsets[i + 1]):
-                    e, j = d + self.lengths[k], self.targets[k]
-                    if e <= limit and e < got.get(j, math.inf):
-                        got[j] = e
-                        heapq.heappush(heap, (e, j))
-            self.memory[key] = got
+    def within(self, limit: float) -> dict[int, dict[int, float]]:
+        """Memory of the searches up to a limit, emptied when all of them are too many."""
+        if self.held >= self.MOST:
+            self.memory, self.held = {}, 0
+        return self.memory.setdefault(limit, {})
+
+    def around(self, node: int, limit: float, memory: dict[int, dict[int, float]]) -> dict[int, float]:
+        got, heap = {node: 0.0}, [(0.0, node)]
+        while heap:
+            d, i = heapq.heappop(heap)
+            if d > got[i]:
+                continue
+            for k in range(self.offsets[i], self.offsets[i + 1]):
+                e, j = d + self.lengths[k], self.targets[k]
+                if e <= limit and e < got.get(j, math.inf):
+                    got[j] = e
+                    heapq.heappush(heap, (e, j))
+        memory[node] = got
+        self.held += 1
         return got
 
-    def ends(self, c: dict) -> tuple[tuple[int, float], tuple[int, float]]:
-        along = c["t"] * c["len"]
-        return (self.place[c["u"]], along), (self.place[c["v"]], c["len"] - along)
 
-    def steps(self, before: list[dict], after: list[dict], straight: float) -> np.ndarray:
-        """Network distances between all candidates of two samples; infinite beyond a limit."""
+def best_chain(network: _Network, x: list, y: list, first: list[int], eid: list, u: list, v: list, length: list, t: list, d: list, sigma: float, beta: float) -> list[int]:
+    """The row of the chosen candidate of each sample, -1 without any.
+
+    Candidates of sample i are the rows first[i] to first[i + 1]. Emissions fall
+    with the distance, steps with the difference between the way on the network
+    and the straight line. A chain breaks where no step is possible.
+    """
+    n = len(x)
+    choice = [-1] * n
+    inf = math.inf
+    near, far = [a * b for a, b in zip(t, length, strict=True)], [(1 - a) * b for a, b in zip(t, length, strict=True)]
+    emit = [-(a * a) / (2 * sigma * sigma) for a in d]
+    score: list[float] = []
+    back: list[list[int]] = []
+    begin = 0
+
+    def finish(end: int) -> None:
+        if not score:
+            return
+        k = max(range(len(score)), key=score.__getitem__)
+        for i in range(end, begin - 1, -1):
+            choice[i] = first[i] + k
+            if i > begin:
+                k = back[i - begin][k]
+
+    for i in range(n):
+        lo, hi = first[i], first[i + 1]
+        if lo == hi:
+            finish(i - 1)
+            score, back, begin = [], [], i + 1
+            continue
+        now = emit[lo:hi]
+        if not score:
+            score, back, begin = now, [[]], i
+            continue
+        straight = math.hypot(x[i] - x[i - 1], y[i] - y[i - 1])
         limit = 4
         while limit < 2 * straight + 4:
             limit *= 2
-        out = np.full((len(before), len(after)), math.inf)
-        to = [self.ends(c) for c in after]
-        for a, ca in enumerate(before):
-            (n1, d1), (n2, d2) = self.ends(ca)
-            r1, r2 = self.around(n1, limit), self.around(n2, limit)
-            for b, cb in enumerate(after):
-                if ca["eid"] == cb["eid"]:
-                    out[a, b] = abs(ca["t"] - cb["t"]) * ca["len"]
-                    continue
-                best = math.inf
-                for m, e in to[b]:
-                    best = min(best, d1 + r1.get(m, math.inf) + e, d2 + r2.get(m, math.inf) + e)
-                out[a, b] = best
-        return out
+        memory = network.within(limit)
+        before = first[i - 1]
+        pulls = []
+        for a in range(before, lo):
+            ru, rv = memory.get(u[a]), memory.get(v[a])
+            pulls.append((eid[a], near[a], ru if ru is not None else network.around(u[a], limit, memory), far[a], rv if rv is not None else network.around(v[a], limit, memory), a))
+        best, origin, possible = [], [], False
+        for b in range(lo, hi):
+            ub, vb, nb, fb, eb = u[b], v[b], near[b], far[b], eid[b]
+            top, at = -inf, 0
+            for k, (ea, na, ru, fa, rv, a) in enumerate(pulls):
+                if ea == eb:
+                    way = abs(t[a] - t[b]) * length[b]
+                else:
+                    way = min(na + ru.get(ub, inf) + nb, na + ru.get(vb, inf) + fb, fa + rv.get(ub, inf) + nb, fa + rv.get(vb, inf) + fb)
+                total = score[k] - abs(way - straight) / beta
+                if total > top:
+                    top, at = total, k
+            possible |= top > -inf
+            best.append(top + emit[b])
+            origin.append(at)
+        if not possible:
+            finish(i - 1)
+            score, back, begin = now, [[]], i
+            continue
+        score = best
+        back.append(origin)
+    finish(n - 1)
+    return choice
+
+
+def denser(gps: DataFrame, per_step: int) -> DataFrame:
+    """``per_step`` samples for each one: positions between a sample and the next one of its trip, numbered anew.
+
+    The last sample of a trip is repeated in its place.
+    """
+    ahead = Window.partitionBy("trip_id").orderBy("seq")
+    nxt = gps.select("trip_id", "seq", "x", "y", F.coalesce(F.lead("x").over(ahead), F.col("x")).alias("_x"), F.coalesce(F.lead("y").over(ahead), F.col("y")).alias("_y"))
+    i = F.col("_i").cast("double") / per_step
+    return nxt.withColumn("_i", F.explode(F.sequence(F.lit(0), F.lit(per_step - 1)))).select("trip_id", (F.col("seq") * per_step + F.col("_i")).alias("seq"), (F.col("x") + (F.col("_x") - F.col("x")) * i).alias("x"), (F.col("y") + (F.col("_y") - F.col("y")) * i).alias("y"))
+
+
+def match_rate(graph: Graph, gps: DataFrame, per_step: int, **options) -> DataFrame:
+    """The match of the trips with ``per_step`` samples for each one given."""
+    return map_match(graph, denser(gps, per_step), **options)
 
 
 def thinned(gps: DataFrame, keep_every: int) -> DataFrame:
@@ -234,11 +324,11 @@ def map_match(graph: Graph, gps: DataFrame, radius: float = 0.6, max_radius: flo
     to ``max_radius``; what then has none stays unmatched (null), and the chain
     starts anew behind it. Ways are passed in both directions.
     """
-    from weftgraph.plans.common import cut
-
+    n = int(graph.spark.conf.get("spark.sql.shuffle.partitions"))
+    gps = gps.select("trip_id", "seq", "x", "y").repartition(n, "trip_id", "seq")
     found, rest, r = None, gps, radius
     while True:
-        got = cut(candidates(graph, rest, r, keep))
+        got = cut(edges_near(graph, rest, r))
         found = got if found is None else found.unionByName(got)
         if r >= max_radius:
             break
@@ -249,14 +339,28 @@ def map_match(graph: Graph, gps: DataFrame, radius: float = 0.6, max_radius: flo
     at = graph.nodes.select("nid", "x", "y")
     lengths = graph.edges.join(at.toDF("src", "ax", "ay"), "src").join(at.toDF("dst", "bx", "by"), "dst").withColumn("weight", F.sqrt((F.col("ax") - F.col("bx")) * (F.col("ax") - F.col("bx")) + (F.col("ay") - F.col("by")) * (F.col("ay") - F.col("by"))))
     shared = replicate(graph.with_edges(lengths.select(*graph.edges.columns).withColumn("direction", F.lit(0))))
-    packed = found.groupBy("trip_id", "seq").agg(F.sort_array(F.collect_list(F.struct("d", "eid", "u", "v", "len", "t", "px", "py"))).alias("c"))
-    rows = gps.select("trip_id", "seq", "x", "y").join(packed, ["trip_id", "seq"], "left")
+    rows = gps.select("trip_id", "seq", "x", "y").join(found, ["trip_id", "seq"], "left")
 
     def one(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("seq")
-        samples = [(x, y, [c if isinstance(c, dict) else c.asDict() for c in (cs if cs is not None else [])]) for x, y, cs in zip(pdf["x"], pdf["y"], pdf["c"], strict=True)]
-        picks = _viterbi(samples, sigma, beta, _Network.of(shared.value).steps)
-        got = [s[2][k] if k is not None else None for s, k in zip(samples, picks, strict=True)]
-        return pd.DataFrame({"trip_id": pdf["trip_id"].to_numpy(), "seq": pdf["seq"].to_numpy(), "eid": pd.array([g["eid"] if g else None for g in got], dtype="Int64"), "x": [g["px"] if g else None for g in got], "y": [g["py"] if g else None for g in got], "dist": [g["d"] if g else None for g in got]})
-
-    return rows.groupBy("trip_id").applyInPandas(one, "trip_id long, seq long, eid long, x double, y double, dist double")
+        col = {c: pdf[c].to_numpy() for c in ("seq", "x", "y", "eid", "u", "v", "len", "t", "px", "py", "d")}
+        order = np.lexsort((col["eid"], col["d"], col["seq"]))
+        seq = col["seq"][order]
+        begins = np.flatnonzero(np.concatenate(([True], seq[1:] != seq[:-1])))
+        place = np.arange(len(seq)) - np.repeat(begins, np.diff(np.append(begins, len(seq))))
+        order = order[place < keep]  # the nearest edges of each sample
+        col = {c: a[order] for c, a in col.items()}
+        start = np.flatnonzero(np.concatenate(([True], col["seq"][1:] != col["seq"][:-1])))
+        real = ~np.isnan(col["d"])
+        first = np.concatenate(([0], np.cumsum(real)))[np.append(start, len(real))]
+        block = shared.value
+        kept = {c: col[c][real] for c in ("eid", "u", "v", "len", "t", "px", "py", "d")}
+        u, v = block.place(kept["u"].astype(np.int64)), block.place(kept["v"].astype(np.int64))
+        picks = np.array(best_chain(_Network.of(block), col["x"][start].tolist(), col["y"][start].tolist(), first.tolist(), kept["eid"].astype(np.int64).tolist(), u.tolist(), v.tolist(), kept["len"].tolist(), kept["t"].tolist(), kept["d"].tolist(), sigma, beta), np.int64)
+        none = picks < 0
+        take = lambda c: np.where(none, np.nan, kept[c][np.maximum(picks, 0)] if len(kept[c]) else np.nan)
+        eid = pd.array(np.where(none, 0, kept["eid"][np.maximum(picks, 0)] if len(kept["eid"]) else 0).astype(np.int64), dtype="Int64")
+        eid[none] = pd.NA
+        return pd.DataFrame({"trip_id": pdf["trip_id"].iloc[0], "seq": col["seq"][start], "eid": eid, "x": take("px"), "y": take("py"), "dist": take("d")})
+
+    out = rows.groupBy("trip_id").applyInPandas(one, "trip_id long, seq long, eid long, x double, y double, dist double")
+    return out.select("trip_id", "seq", "eid", *[F.when(~F.isnan(c), F.col(c)).alias(c) for c in ("x", "y", "dist")])

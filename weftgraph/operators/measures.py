@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+import time
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from weftgraph.model import Graph
-from weftgraph.operators import partition, sssp
+from weftgraph.operators import partition, paths, sssp
+from weftgraph.plans.common import cut
 
 INT_BYTES = 4
 
@@ -37,7 +40,7 @@ def csr_shift_cost(edges: DataFrame, change: DataFrame) -> DataFrame:
     """
     from weftgraph.operators.topology import to_csr
 
-    csr = to_csr(edges)
+    csr = cut(to_csr(edges))
     total = csr.agg(F.coalesce(F.sum("degree"), F.lit(0)).alias("total"))
     at = change.join(csr.select(F.col("nid").alias("src"), "offset", "degree"), "src")
     return at.join(F.broadcast(total)).select("eid", (F.col("total") - F.col("offset") - F.col("degree")).alias("moved"))
@@ -69,13 +72,44 @@ def check_disjoint(graph: Graph) -> DataFrame:
 
 
 def compare_partitionings(graphs: dict[str, Graph], source: dict[str, int]) -> list[dict]:
-    """Score, rounds, local solves, messages and seconds of a solve to all nodes, for each scheme."""
+    """For each scheme: score, rounds, local solves, messages and seconds of a solve to all nodes, then seconds of all their paths.
+
+    ``targets`` counts the paths, and ``path_cost`` sums the costs at their
+    ends as the predecessors' edges add them up, which must equal ``sum_cost``.
+    """
     out = []
     for name, g in graphs.items():
         stats = sssp.SolveStats()
-        total = sssp.costs(g, source[name], stats=stats).agg(F.sum("cost")).head()[0]
+        found = cut(sssp.costs(g, source[name], stats=stats))
+        total = found.agg(F.sum("cost")).head()[0]
+        began = time.time()
+        summed, targets = paths.all_path_costs(g, found, source[name])
+        stats.path_seconds = time.time() - began
         score = partition_score(g, name).head().asDict()
-        out.append(score | {"supersteps": stats.supersteps, "local_solves": stats.local_solves, "messages": stats.messages, "seconds": round(stats.seconds, 2), "sum_cost": total})
+        out.append(score | {"supersteps": stats.supersteps, "local_solves": stats.local_solves, "messages": stats.messages, "seconds": round(stats.seconds, 2), "path_seconds": round(stats.path_seconds, 2), "sum_cost": total, "targets": targets, "path_cost": summed})
+    return out
+
+
+def speedup_by_parts(graph: Graph, source: int, boxes: list[tuple[int, int]]) -> list[dict]:
+    """Rounds and seconds of one solve over several numbers of boxes."""
+    out = []
+    for nx, ny in boxes:
+        g = partition.by_box(graph, nx, ny).materialised()
+        stats = sssp.SolveStats()
+        n = sssp.costs(g, source, stats=stats).count()
+        out.append({"parts": nx * ny, "supersteps": stats.supersteps, "seconds": round(stats.seconds, 2), "reached": n})
+    return out
+
+
+def fleet_by_servers(graph: Graph, depots: DataFrame, trucks: DataFrame, demands: DataFrame, servers: tuple[int, ...] = (1, 4)) -> list[dict]:
+    """Seconds and total cost of a fleet's plan when costs are solved by one task, and by several that hold replicas of the graph."""
+    from weftgraph.operators import tours
+
+    out = []
+    for n in servers:
+        began = time.time()
+        cost = tours.fleet(graph, depots, trucks, demands, split="rest", tasks=n).agg(F.sum("leg_cost")).head()[0]
+        out.append({"servers": n, "seconds": round(time.time() - began, 2), "cost": cost})
     return out
 
 
@@ -86,7 +120,6 @@ def walk_vs_csr(graph: Graph, source: int) -> dict[str, float]:
     The graph's size is checked.
     """
     import heapq
-    import time
 
     from weftgraph.operators.kernels import settle
 

@@ -13,15 +13,17 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from weftgraph.functions.geo import extent
-from weftgraph.model import Graph, arcs
+from weftgraph.model import Graph
+from weftgraph.plans.common import checked_broadcast, cut, ordinal
 
 #: Multiplier of the portable hash; its high bits are used, since the low ones repeat the id's.
 HASH = 2_654_435_761
 
 
 def id_range_home(nid: Column, low: int, high: int, parts: int) -> Column:
-    """Equal ranges of ids from ``low`` to ``high``."""
-    return F.least(F.floor((nid - low) * parts / F.lit(high - low + 1)), F.lit(parts - 1)).cast("int")
+    """Equal ranges of ids from ``low`` to ``high``, in doubles: exact to the id below 2^53, without overflow above."""
+    place = (nid.cast("double") - F.lit(float(low))) * parts / F.lit(float(high - low + 1))
+    return F.least(F.floor(place), F.lit(parts - 1)).cast("int")
 
 
 
@@ -34,10 +36,15 @@ def box_home(x: Column, y: Column, box: tuple[float, float, float, float], nx: i
 
 
 def random_home(key: Column, parts: int, numeric: bool = True) -> Column:
-    """Hash then modulo, of an id below 3 x 10^9 or of a name."""
+    """Hash then modulo, of an id or of a name.
+
+    The product is taken modulo 2^32 in halves of 16 bits, so no id overflows.
+    """
     if not numeric:
         return F.pmod(F.xxhash64(key), F.lit(parts)).cast("int")
-    return (F.shiftright(F.pmod(key * F.lit(HASH), F.lit(1 << 32)), 16) % parts).cast("int")
+    low, high = key.bitwiseAND(F.lit(0xFFFF)), F.shiftright(key, 16).bitwiseAND(F.lit(0xFFFF))
+    product = (low * F.lit(HASH) + F.shiftleft((high * F.lit(HASH)).bitwiseAND(F.lit(0xFFFF)), 16)).bitwiseAND(F.lit((1 << 32) - 1))
+    return (F.shiftright(product, 16) % parts).cast("int")
 
 
 def _owned(edges: DataFrame, a: Column, b: Column) -> DataFrame:
@@ -112,9 +119,10 @@ def by_adaptive_tiles(graph: Graph, max_edges: int) -> Graph:
     at = graph.nodes.select("nid", "x", "y")
     ends = graph.edges.join(at.toDF("src", "_x1", "_y1"), "src").join(at.toDF("dst", "_x2", "_y2"), "dst")
     tiled = build(ends.withColumns({"mx": (F.col("_x1") + F.col("_x2")) / 2, "my": (F.col("_y1") + F.col("_y2")) / 2}), max_edges)
-    order = {r["tile"]: i for i, r in enumerate(tiled.select("tile").distinct().orderBy("tile").limit(100_000).collect())}
-    names = F.create_map(*[F.lit(v) for kv in order.items() for v in kv])
-    return _marked(graph.with_edges(tiled.withColumn("part", names[F.col("tile")]).select(*graph.edges.columns)), "explicit", len(order))
+    numbers = cut(ordinal(tiled.select("tile").distinct(), ["tile"], "_place"))
+    parts = numbers.count()
+    placed = tiled.drop("part").join(checked_broadcast(numbers), "tile").withColumn("part", F.col("_place").cast("int"))
+    return _marked(graph.with_edges(placed.select(*graph.edges.columns)), "explicit", parts)
 
 
 def _marked(graph: Graph, scheme: str, parts: int) -> Graph:
@@ -131,9 +139,3 @@ def boundary(edges: DataFrame) -> DataFrame:
     both = copies(edges)
     shared = both.groupBy("nid").agg(F.count("*").alias("n")).where("n > 1").select("nid")
     return both.join(shared, "nid")
-
-
-def packed_arcs(graph: Graph, parts: int | None = None) -> DataFrame:
-    """Arcs dealt by part and kept, so that solves find each part in one place."""
-    n = parts or int(graph.spark.conf.get("spark.sql.shuffle.partitions"))
-    return arcs(graph.edges).withColumn("part", F.coalesce("part", F.lit(0))).repartition(n, "part").persist()

@@ -2,6 +2,8 @@
 
 ``parts``   each part settles its front with a priority queue, then repeated
             nodes exchange the least cost; rounds go on until nothing improves.
+            A part is one packed row, and so are its labels; a round reads the
+            rows of busy parts only, and moves costs of repeated nodes only.
 ``flat``    edge-at-a-time relaxation over the whole graph, no parts.
 ``delta``   the same, bucket by bucket of cost.
 ``single``  one task holds the whole graph.
@@ -9,6 +11,9 @@
 
 Weights are whole numbers or doubles and must not be negative. Nodes that are
 not reached have no row. Only counts reach the driver in the loops.
+
+Several runs, one for each of many sources, may share the rounds of ``parts``,
+which is how many sources are solved on graphs that no worker could hold.
 """
 
 from __future__ import annotations
@@ -19,16 +24,19 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from weftgraph.model import Graph, arcs
-from weftgraph.operators.kernels import Block, settle
-from weftgraph.operators.partition import boundary, packed_arcs
-from weftgraph.plans.common import cut
+from weftgraph.operators.kernels import Block, pack_block, settle, unpack_block
+from weftgraph.operators.partition import boundary
+from weftgraph.plans.common import checked_broadcast, cut, ship, written
 
 #: Largest graph that one task or each worker may hold.
 REPLICATED_ARCS = 5_000_000
+#: Largest part, in edges, that one task may hold.
+PART_ARCS = 10_000_000
 
 
 @dataclass
@@ -73,9 +81,9 @@ def costs(graph: Graph, sources=0, engine: str = "parts", targets: DataFrame | N
     """
     stats = stats if stats is not None else SolveStats()
     began = time.time()
-    check_weights(graph.edges)
-    kind = dict(graph.edges.dtypes)["weight"]
-    kind = "double" if kind in ("double", "float") else "bigint"
+    kind = "double" if dict(graph.edges.dtypes)["weight"] in ("double", "float") else "bigint"
+    if engine != "parts":  # that one looks when it packs the parts
+        check_weights(graph.edges)
     seeds = cut(_seeds(graph, sources).withColumn("cost", F.col("cost").cast(kind)).join(graph.nodes.select("nid"), "nid", "left_semi"))
     if not seeds.limit(1).count():
         raise ValueError("the graph has none of the sources")
@@ -105,68 +113,167 @@ def route_cost(graph: Graph, start: int, end: int, engine: str = "flat") -> Data
     return _flat(graph, seeds, kind, SolveStats(), 10_000, None, None, end).where(F.col("nid") == end)
 
 
-def _local(kind: str, limit: float | None):
-    number = "float64" if kind == "double" else "int64"
-
-    def run(block: pd.DataFrame, labels: pd.DataFrame) -> pd.DataFrame:
-        none = pd.DataFrame({"part": pd.Series(dtype="int32"), "nid": pd.Series(dtype="int64"), "cost": pd.Series(dtype=number)})
-        fresh = labels[labels["fresh"]] if len(labels) else labels
-        if not len(fresh) or not len(block):
-            return none
-        b = Block.of(block["u"].to_numpy(), block["v"].to_numpy(), block["w"].to_numpy())
-        dist = [float("inf")] * len(b.ids)
-        known = labels[~labels["fresh"]]
-        at = b.place(known["nid"].to_numpy())
-        for i, c in zip(at, known["cost"].tolist(), strict=True):
-            if i >= 0:
-                dist[i] = c
-        at = b.place(fresh["nid"].to_numpy())
-        seeds = [(c, int(i)) for i, c in zip(at, fresh["cost"].tolist(), strict=True) if i >= 0]
-        changed = settle(b.lists(), dist, seeds, limit=float("inf") if limit is None else limit)
-        if not changed:
-            return none
-        return pd.DataFrame({"part": np.int32(fresh["part"].iloc[0]), "nid": b.ids[changed], "cost": np.array([dist[i] for i in changed], number)})
+def _number(kind: str):
+    return np.float64 if kind == "double" else np.int64
+
+
+def _pack(kind: str):
+    """cogroup of a part's arcs and of its repeated nodes into one row."""
+
+    def run(rows: pd.DataFrame, shared: pd.DataFrame) -> pd.DataFrame:
+        if not len(rows):
+            return pd.DataFrame({"part": pd.Series(dtype="int32"), "block": pd.Series(dtype="object")})
+        b = Block.of(rows["u"].to_numpy(), rows["v"].to_numpy(), rows["w"].to_numpy(_number(kind)))
+        border = np.isin(b.ids, shared["nid"].to_numpy())
+        other = np.isin(b.ids, shared["nid"].to_numpy()[~shared["mine"].to_numpy(bool)]) if len(shared) else np.zeros(len(b.ids), bool)
+        return pd.DataFrame({"part": [np.int32(rows["part"].iloc[0])], "block": [pack_block(b, border, ~other)]})
 
     return run
 
 
-def _by_parts(graph: Graph, seeds: DataFrame, kind: str, stats: SolveStats, max_supersteps: int, limit: float | None) -> DataFrame:
-    blocks = packed_arcs(graph)
-    edges = graph.edges.withColumn("part", F.coalesce("part", F.lit(0)))
+def _solve_rows(kind: str, limit: float | None):
+    """Rows (run, part, block, nids, costs, dist): the labels of the part after its front, and what changed at repeated nodes."""
+    number = _number(kind)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, block, border, lists = None, None, None, None
+        for batch in batches:
+            for i in range(batch.num_rows):
+                name, part = batch.column(0)[i].as_py(), batch.column(1)[i].as_py()
+                if part != held:  # runs that share a part read it once
+                    block, border, _ = unpack_block(batch.column(2)[i].as_buffer(), number)
+                    held, lists = part, block.lists()
+                nids, costs, old = np.array(batch.column(3)[i].as_py(), np.int64), batch.column(4)[i].as_py(), batch.column(5)[i].as_py()
+                dist = [float("inf")] * len(block.ids)
+                if old is not None:
+                    known = np.frombuffer(old, np.float64)
+                    dist = [int(x) if number is np.int64 and x != float("inf") else x for x in known.tolist()]
+                seeds = [(c, int(j)) for j, c in zip(block.place(nids), costs, strict=True) if j >= 0]
+                changed = settle(lists, dist, seeds, limit=float("inf") if limit is None else limit)
+                out = [j for j in changed if border[j]]
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array([name], pa.int64()), pa.array([part], pa.int32()), pa.array([np.array(dist, np.float64).tobytes()], pa.binary()), pa.array([block.ids[out]], pa.list_(pa.int64())), pa.array([[dist[j] for j in out]], pa.list_(pa.float64() if number is np.float64 else pa.int64())), pa.array([len(changed)], pa.int64())],
+                    names=["run", "part", "dist", "nids", "costs", "changed"],
+                )
+
+    return run
+
+
+def _unpack_rows(kind: str):
+    """Rows (run, block, dist) into (run, nid, cost); a repeated node comes from the smallest of its parts only."""
+    number = _number(kind)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i in range(batch.num_rows):
+                block, _, mine = unpack_block(batch.column(1)[i].as_buffer(), number)
+                dist = np.frombuffer(batch.column(2)[i].as_py(), np.float64)
+                at = np.flatnonzero(mine & np.isfinite(dist))
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), batch.column(0)[i].as_py()), pa.int64()), pa.array(block.ids[at], pa.int64()), pa.array(dist[at].astype(number), pa.float64() if number is np.float64 else pa.int64())], names=["run", "nid", "cost"])
+
+    return run
+
+
+def packed_parts(graph: Graph, kind: str) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """((part, block), (nid, part) of repeated nodes, (part, src, dst)), all in the shared folder.
+
+    A part must fit one task: more than ``PART_ARCS`` edges in one is an error,
+    as is a negative weight.
+    """
+    edges = written(graph.edges.select(F.coalesce("part", F.lit(0)).alias("part"), "src", "dst", F.col("weight").cast(kind).alias("weight"), "direction", F.lit(0).cast("long").alias("eid")), "edges")
+    seen = edges.groupBy("part").agg(F.count("*").alias("n"), F.min("weight").alias("low")).agg(F.max("n").alias("n"), F.min("low").alias("low")).head()
+    if (seen["n"] or 0) > PART_ARCS:
+        raise ValueError(f"a part has {seen['n']} edges, more than {PART_ARCS}; cut the graph into more parts, or by adaptive tiles")
+    if (seen["low"] or 0) < 0:
+        raise ValueError("weights must not be negative")
     meet = cut(boundary(edges))
-    schema = f"part int, nid long, cost {kind}"
-    here = edges.select(F.explode(F.array("src", "dst")).alias("nid"), "part").distinct()
-    front = cut(seeds.join(here, "nid").groupBy("part", "nid").agg(F.min("cost").alias("cost")).select("part", "nid", "cost"))
-    labels = None
-    alone = seeds.join(here.select("nid").distinct(), "nid", "left_anti").groupBy("nid").agg(F.min("cost").alias("cost"))
+    first = meet.groupBy("nid").agg(F.min("part").alias("_first"))
+    shared = meet.join(first, "nid").select("part", "nid", (F.col("part") == F.col("_first")).alias("mine"))
+    ways = arcs(edges).select("part", "u", "v", "w")
+    blocks = written(ways.groupBy("part").cogroup(shared.groupBy("part")).applyInPandas(_pack(kind), "part int, block binary"), "blocks")
+    return blocks, meet, edges.select("part", "src", "dst")
+
+
+class _Labels:
+    """The labels (run, part, dist) after each round: frames in the shared folder, and which rows of each still hold."""
+
+    def __init__(self) -> None:
+        self.frames: list[tuple[int, DataFrame]] = []
+
+    def add(self, round_: int, rows: DataFrame) -> None:
+        self.frames.append((round_, rows.select("run", "part", "dist").withColumn("round", F.lit(round_))))
+        if len(self.frames) > 6:  # rows that a later round replaced go
+            self.frames = [(round_, cut(self.now().withColumn("round", F.lit(round_))))]
+
+    def now(self) -> DataFrame | None:
+        if not self.frames:
+            return None
+        if len(self.frames) == 1:
+            return self.frames[0][1].drop("round")
+        every = self.frames[0][1]
+        for _, f in self.frames[1:]:
+            every = every.unionByName(f)
+        last = every.groupBy("run", "part").agg(F.max("round").alias("round"))
+        return every.join(last, ["run", "part", "round"], "left_semi").drop("round")
+
+
+def solve_parts(graph: Graph, seeds: DataFrame, kind: str, stats: SolveStats, max_supersteps: int = 10_000, limit: float | None = None) -> DataFrame:
+    """(run, nid, cost) for seeds(run, nid, cost); the rounds of all runs go on together."""
+    ship(graph.spark)
+    blocks, meet, ends = packed_parts(graph, kind)
+    n = int(graph.spark.conf.get("spark.sql.shuffle.partitions"))
+    seeds = checked_broadcast(seeds)
+    hits = ends.join(seeds.withColumnRenamed("nid", "src"), "src").select("run", "part", F.col("src").alias("nid"), "cost").unionByName(ends.join(seeds.withColumnRenamed("nid", "dst"), "dst").select("run", "part", F.col("dst").alias("nid"), "cost"))
+    least = [F.min("cost").alias("cost")]
+    # costs at repeated nodes, and which of them are offers that the part has not seen
+    front = border = cut(hits.groupBy("run", "part", "nid").agg(*least).withColumn("fresh", F.lit(True)))
+    alone = seeds.join(front.select("run", "nid").distinct(), ["run", "nid"], "left_anti").groupBy("run", "nid").agg(*least)
+    labels = _Labels()
+    row = f"run long, part int, dist binary, nids array<long>, costs array<{kind}>, changed long"
     while True:
-        per_part = front.groupBy("part").count().orderBy("part").collect()  # one row per busy part
+        per_part = front.groupBy("part").agg(F.count("*").alias("front"), F.countDistinct("run").alias("runs")).orderBy("part").collect()  # one row per busy part
         if not per_part:
             break
         if stats.supersteps >= max_supersteps:
             raise RuntimeError(f"no convergence in {max_supersteps} supersteps")
         if stats.supersteps:
-            stats.messages += sum(r["count"] for r in per_part)
+            stats.messages += sum(r["front"] for r in per_part)
         stats.supersteps += 1
-        stats.local_solves += len(per_part)
-        stats.trace += [{"superstep": stats.supersteps, "part": r["part"], "front": r["count"]} for r in per_part]
-        offered = front.withColumn("fresh", F.lit(True))
-        if labels is not None:
-            busy = [r["part"] for r in per_part]
-            offered = offered.unionByName(labels.where(F.col("part").isin(busy)).withColumn("fresh", F.lit(False)))
-        improved = cut(blocks.groupBy("part").cogroup(offered.groupBy("part")).applyInPandas(_local(kind, limit), schema))
-        labels = improved if labels is None else cut(labels.unionByName(improved).groupBy("part", "nid").agg(F.min("cost").alias("cost")))
+        stats.local_solves += sum(r["runs"] for r in per_part)
+        stats.trace += [{"superstep": stats.supersteps, "part": r["part"], "front": r["front"]} for r in per_part]
+        busy = [r["part"] for r in per_part]
+        offers = front.groupBy("run", "part").agg(F.collect_list(F.struct("nid", "cost")).alias("o"))
+        work = blocks.where(F.col("part").isin(busy)).join(offers, "part")
+        before = labels.now()
+        if before is None:
+            work = work.withColumn("dist", F.lit(None).cast("binary"))
+        else:
+            work = work.join(before.where(F.col("part").isin(busy)), ["run", "part"], "left")
+        dealt = work.select("run", "part", "block", F.col("o.nid").alias("nids"), F.col("o.cost").alias("costs"), "dist").repartition(min(n, len(busy)), "part").sortWithinPartitions("part", "run")
+        solved = cut(dealt.mapInArrow(_solve_rows(kind, limit), row))
+        labels.add(stats.supersteps, solved)
         if stats.record_fields:
-            seen = labels.groupBy("nid").agg(F.min("cost").alias("cost")).agg(F.count("*").alias("reached"), F.max("cost").alias("max_cost"), F.sum("cost").alias("sum_cost")).head()
+            seen = _costs_now(blocks, labels, kind).agg(F.count("*").alias("reached"), F.max("cost").alias("max_cost"), F.sum("cost").alias("sum_cost")).head()
             stats.fields.append({"superstep": stats.supersteps, **seen.asDict()})
-        other = meet.withColumnRenamed("part", "to")
-        sent = improved.join(other, "nid").where("part <> to").groupBy(F.col("to").alias("part"), "nid").agg(F.min("cost").alias("cost"))
-        known = labels.select("part", "nid", F.col("cost").alias("known"))
-        front = cut(sent.join(known, ["part", "nid"], "left").where("known IS NULL OR cost < known").select("part", "nid", "cost"))
-    blocks.unpersist()
-    if labels is None:
+        changed = solved.select("run", "part", F.explode(F.arrays_zip("nids", "costs")).alias("c")).select("run", "part", F.col("c.nids").alias("nid"), F.col("c.costs").alias("cost"))
+        sent = changed.join(meet.withColumnRenamed("part", "to"), "nid").select("run", F.col("to").alias("part"), "nid", "cost", (F.col("part") != F.col("to")).alias("offer"))
+        both = border.select("run", "part", "nid", "cost", F.lit(False).alias("offer")).unionByName(sent)
+        merged = both.groupBy("run", "part", "nid").agg(F.min(F.when(~F.col("offer"), F.col("cost"))).alias("known"), F.min(F.when(F.col("offer"), F.col("cost"))).alias("new"))
+        better = F.col("new").isNotNull() & (F.col("known").isNull() | (F.col("new") < F.col("known")))
+        border = cut(merged.select("run", "part", "nid", F.when(better, F.col("new")).otherwise(F.col("known")).alias("cost"), better.alias("fresh")))
+        front = border.where("fresh")
+    if labels.now() is None:
         return alone
-    return labels.groupBy("nid").agg(F.min("cost").alias("cost")).unionByName(alone)
+    return _costs_now(blocks, labels, kind).unionByName(alone)
+
+
+def _costs_now(blocks: DataFrame, labels: _Labels, kind: str) -> DataFrame:
+    rows = blocks.join(labels.now(), "part").select("run", "block", "dist")
+    return rows.mapInArrow(_unpack_rows(kind), f"run long, nid long, cost {kind}")
+
+
+def _by_parts(graph: Graph, seeds: DataFrame, kind: str, stats: SolveStats, max_supersteps: int, limit: float | None) -> DataFrame:
+    return solve_parts(graph, seeds.withColumn("run", F.lit(0).cast("long")), kind, stats, max_supersteps, limit).select("nid", "cost")
 
 
 def _flat(graph: Graph, seeds: DataFrame, kind: str, stats: SolveStats, max_supersteps: int, limit: float | None, delta: int | None, target: int | None = None) -> DataFrame:
@@ -201,33 +308,53 @@ def _flat(graph: Graph, seeds: DataFrame, kind: str, stats: SolveStats, max_supe
 
 def _single(graph: Graph, seeds: DataFrame, kind: str, limit: float | None) -> DataFrame:
     _check_size(graph)
-    whole = arcs(graph.edges).withColumn("part", F.lit(0))
-    offered = seeds.select(F.lit(0).alias("part"), "nid", "cost", F.lit(True).alias("fresh"))
-    found = whole.groupBy("part").cogroup(offered.groupBy("part")).applyInPandas(_local(kind, limit), f"part int, nid long, cost {kind}")
-    return found.select("nid", "cost").unionByName(seeds).groupBy("nid").agg(F.min("cost").alias("cost"))
+    number = _number(kind)
+
+    def run(rows: pd.DataFrame, offered: pd.DataFrame) -> pd.DataFrame:
+        block = Block.of(rows["u"].to_numpy(np.int64), rows["v"].to_numpy(np.int64), rows["w"].to_numpy(number))
+        dist = [float("inf")] * len(block.ids)
+        at = block.place(offered["nid"].to_numpy(np.int64))
+        got = settle(block.lists(), dist, [(c, int(i)) for i, c in zip(at, offered["cost"].tolist(), strict=True) if i >= 0], limit=float("inf") if limit is None else limit)
+        return pd.DataFrame({"nid": block.ids[got], "cost": np.array([dist[i] for i in got], number)})
+
+    whole = arcs(graph.edges).select(F.lit(0).alias("k"), "u", "v", F.col("w").cast(kind).alias("w"))
+    found = whole.groupBy("k").cogroup(seeds.select(F.lit(0).alias("k"), "nid", "cost").groupBy("k")).applyInPandas(run, f"nid long, cost {kind}")  # one task, its size is checked
+    return found.unionByName(seeds.select("nid", "cost")).groupBy("nid").agg(F.min("cost").alias("cost"))
 
 
 def _check_size(graph: Graph) -> None:
     if graph.edges.limit(REPLICATED_ARCS // 2 + 1).count() > REPLICATED_ARCS // 2:
-        raise ValueError(f"the graph has more than {REPLICATED_ARCS // 2} edges; use the parts engine")
+        raise ValueError(f"the graph has more than {REPLICATED_ARCS // 2} edges, too many for one worker")
 
 
 def replicate(graph: Graph):
     """The whole graph as a broadcast block; its size is checked first."""
     _check_size(graph)
+    ship(graph.spark)
     rows = arcs(graph.edges).select("u", "v", "w", "eid").toPandas()
     block = Block.of(rows["u"].to_numpy(), rows["v"].to_numpy(), rows["w"].to_numpy(), rows["eid"].to_numpy())
     return graph.spark.sparkContext.broadcast(block)
 
 
-def many_costs(graph: Graph, sources: DataFrame, limit: float | None = None, reverse: bool = False) -> DataFrame:
-    """(source, nid, cost) for every source, in replicated mode: tasks share the sources.
+def fits_workers(graph: Graph) -> bool:
+    """Whether each worker may hold the whole graph."""
+    return graph.edges.limit(REPLICATED_ARCS // 2 + 1).count() <= REPLICATED_ARCS // 2
+
 
+def many_costs(graph: Graph, sources: DataFrame, limit: float | None = None, reverse: bool = False, engine: str = "auto") -> DataFrame:
+    """(source, nid, cost) for every source.
+
+    ``replicated``: tasks hold the whole graph and share the sources. ``parts``:
+    the runs of all sources share the rounds of the partition-centric solver.
+    ``auto`` takes the first where the graph's size, which is checked, allows it.
     ``reverse`` gives the costs from every node to each source.
     """
     g = graph.with_edges(reversed_edges(graph.edges)) if reverse else graph
+    kind = "double" if dict(g.edges.dtypes)["weight"] in ("double", "float") else "bigint"
+    if engine == "parts" or engine == "auto" and not fits_workers(g):
+        seeds = sources.select("nid").distinct().select(F.col("nid").cast("long").alias("run"), F.col("nid").cast("long").alias("nid"), F.lit(0).cast(kind).alias("cost"))
+        return solve_parts(g, cut(seeds), kind, SolveStats(), limit=limit).withColumnRenamed("run", "source")
     check_weights(g.edges)
-    kind = "double" if dict(g.edges.dtypes)["weight"] == "double" else "long"
     shared = replicate(g)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -247,12 +374,18 @@ def many_costs(graph: Graph, sources: DataFrame, limit: float | None = None, rev
     return sources.select("nid").distinct().repartition(n, "nid").mapInPandas(run, f"source long, nid long, cost {kind}")
 
 
-def pair_costs(graph: Graph, wanted: DataFrame) -> DataFrame:
+def pair_costs(graph: Graph, wanted: DataFrame, limit: float | None = None, tasks: int | None = None) -> DataFrame:
     """(src, dst, cost) for rows (src, dsts): each origin is solved once, until its destinations are settled.
 
-    Destinations that cannot be reached have a null cost. Tasks share the
-    origins, and only the pairs asked for leave the workers.
+    Destinations that cannot be reached, or only at a cost above ``limit``,
+    have a null cost. ``tasks`` share the origins (by default four for each
+    shuffle partition), and only the pairs asked for leave the workers. Graphs
+    that no worker can hold are solved in parts.
     """
+    if not fits_workers(graph):
+        pairs = wanted.select("src", F.explode("dsts").alias("dst")).distinct()
+        found = many_costs(graph, pairs.select(F.col("src").alias("nid")), limit, engine="parts").select(F.col("source").alias("src"), F.col("nid").alias("dst"), F.col("cost").cast("double").alias("cost"))
+        return pairs.join(found, ["src", "dst"], "left")
     shared = replicate(graph)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -266,11 +399,11 @@ def pair_costs(graph: Graph, wanted: DataFrame) -> DataFrame:
                     yield pd.DataFrame({"src": src, "dst": dsts, "cost": [0.0 if d == src else None for d in dsts]})
                     continue
                 dist = [float("inf")] * len(block.ids)
-                settle(lists, dist, [(0, start)], {int(i) for i in ends if i >= 0})
+                settle(lists, dist, [(0, start)], {int(i) for i in ends if i >= 0}, float("inf") if limit is None else limit)
                 yield pd.DataFrame({"src": src, "dst": dsts, "cost": [dist[i] if i >= 0 and dist[i] < float("inf") else None for i in ends]})
 
-    n = int(graph.spark.conf.get("spark.sql.shuffle.partitions"))
-    return wanted.select("src", "dsts").repartition(4 * n, "src").mapInPandas(run, "src long, dst long, cost double")
+    n = tasks or 4 * int(graph.spark.conf.get("spark.sql.shuffle.partitions"))
+    return wanted.select("src", "dsts").repartition(n, "src").mapInPandas(run, "src long, dst long, cost double")
 
 
 def reversed_edges(edges: DataFrame) -> DataFrame:

@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from weftgraph.functions.geo import segment_meets_box
+from weftgraph.model import Graph
 from weftgraph.plans.common import cut
 
 MAX_DEPTH = 24
@@ -59,8 +60,10 @@ def tile_box(tile: str, box: tuple[float, float, float, float]) -> tuple[float,
 
 
 def index(tiled: DataFrame) -> DataFrame:
-    """(tile, n, xmin, ymin, xmax, ymax): what lies in each tile."""
-    return tiled.groupBy("tile").agg(F.count("*").alias("n"), F.min("mx").alias("xmin"), F.min("my").alias("ymin"), F.max("mx").alias("xmax"), F.max("my").alias("ymax"))
+    """(tile, n, xmin, ymin, xmax, ymax): the extent of each tile's edges, of their midpoints where they have no ends (x1, y1, x2, y2)."""
+    ends = {"x1", "y1", "x2", "y2"} <= set(tiled.columns)
+    x, y = (("x1", "x2"), ("y1", "y2")) if ends else (("mx", "mx"), ("my", "my"))
+    return tiled.groupBy("tile").agg(F.count("*").alias("n"), F.min(F.least(*x)).alias("xmin"), F.min(F.least(*y)).alias("ymin"), F.max(F.greatest(*x)).alias("xmax"), F.max(F.greatest(*y)).alias("ymax"))
 
 
 def stats(tiled: DataFrame) -> DataFrame:
@@ -76,7 +79,7 @@ def save(tiled: DataFrame, path: str, fmt: str = "csv") -> None:
 
 
 def load(spark: SparkSession, path: str, box: tuple[float, float, float, float], schema: str, fmt: str = "csv") -> DataFrame:
-    """Edges of the tiles that meet a box, read from those folders only."""
+    """Edges of the tiles whose edges' extent meets a box, read from those folders only."""
     x0, y0, x1, y1 = box
     meets = spark.read.parquet(f"{path}/index").where((F.col("xmin") <= x1) & (F.col("xmax") >= x0) & (F.col("ymin") <= y1) & (F.col("ymax") >= y0))
     names = [f"t{r['tile']}" for r in meets.select("tile").collect()]  # tiles of one box
@@ -100,3 +103,16 @@ def refresh(tiled: DataFrame, path: str, schema: str, fmt: str = "csv") -> None:
 def in_box(tiled: DataFrame, box: tuple[float, float, float, float]) -> DataFrame:
     """Edges (with ends x1, y1, x2, y2) that touch a box, exactly."""
     return tiled.where(segment_meets_box(F.col("x1"), F.col("y1"), F.col("x2"), F.col("y2"), *[F.lit(float(v)) for v in box]))
+
+
+def graph_of(spark: SparkSession, path: str, box: tuple[float, float, float, float], schema: str, fmt: str = "csv") -> Graph:
+    """One graph of the edges that touch a box, stitched from all tiles that hold some.
+
+    Edges carry the node ids of their ends, so edges of different tiles meet in
+    the same nodes; nodes take their places from the edges' ends.
+    """
+    edges = in_box(load(spark, path, box, schema, fmt), box)
+    ends = F.array(F.struct(F.col("src").alias("nid"), F.col("x1").alias("x"), F.col("y1").alias("y")), F.struct(F.col("dst").alias("nid"), F.col("x2").alias("x"), F.col("y2").alias("y")))
+    nodes = edges.select(F.explode(ends).alias("e")).select("e.nid", "e.x", "e.y").groupBy("nid").agg(F.min(F.struct("x", "y")).alias("p")).select("nid", "p.x", "p.y")
+    wanted = [c for c in ("eid", "src", "dst", "weight", "direction", "src_key") if c in edges.columns]
+    return Graph.of("tiles", nodes, edges.select(*wanted))

@@ -21,13 +21,13 @@ from weftgraph.plans.common import cut
 TOUR_STOPS = 5_000
 
 
-def cost_matrix(graph: Graph, stops: DataFrame) -> DataFrame:
+def cost_matrix(graph: Graph, stops: DataFrame, tasks: int | None = None) -> DataFrame:
     """(tour, a, b, cost): least costs between the stops(tour, nid) of each tour."""
     named = stops.select("tour", "nid").distinct()
     lists = named.groupBy("tour").agg(F.collect_list("nid").alias("dsts"))  # at most TOUR_STOPS each
     # a node may be a stop of several tours; it is solved once for all of them
     wanted = named.join(lists, "tour").groupBy(F.col("nid").alias("src")).agg(F.array_distinct(F.flatten(F.collect_list("dsts"))).alias("dsts"))
-    found = pair_costs(graph, wanted).where("cost IS NOT NULL")
+    found = pair_costs(graph, wanted, tasks=tasks).where("cost IS NOT NULL")
     a = named.select("tour", F.col("nid").alias("a"))
     b = named.select(F.col("tour").alias("_t"), F.col("nid").alias("b"))
     return a.join(found, F.col("a") == F.col("src")).join(b, (F.col("tour") == F.col("_t")) & (F.col("dst") == F.col("b"))).select("tour", "a", "b", "cost")
@@ -159,6 +159,17 @@ def multi_stop(graph: Graph, stops: list[int]) -> DataFrame:
     return legs.withColumn("total", F.sum("cost").over(Window.partitionBy(F.lit(0)).orderBy("leg")))  # a handful of legs
 
 
+def _square(graph: Graph, stops: DataFrame, ids: list[int]) -> np.ndarray:
+    """Costs between all stops of one tour as a matrix: a packed row for each origin, at most TOUR_STOPS of them."""
+    lists = stops.agg(F.sort_array(F.collect_list("nid")).alias("dsts"))
+    found = pair_costs(graph, stops.select(F.col("nid").alias("src")).join(F.broadcast(lists)))
+    rows = found.groupBy("src").agg(F.array_sort(F.collect_list(F.struct("dst", "cost"))).alias("r")).select("src", F.col("r.cost").alias("c")).collect()
+    m, at = np.full((len(ids), len(ids)), np.inf), {n: i for i, n in enumerate(ids)}
+    for r in rows:
+        m[at[r["src"]]] = [np.inf if c is None else c for c in r["c"]]
+    return m
+
+
 def backhaul(graph: Graph, depot: int, drops: DataFrame, pickups: DataFrame, capacity: float | None = None) -> DataFrame:
     """(step, nid, kind, load, leg, total): depot, all drops, then all pickups, depot.
 
@@ -174,8 +185,7 @@ def backhaul(graph: Graph, depot: int, drops: DataFrame, pickups: DataFrame, cap
     spark = graph.spark
     ids = sorted({depot, *stops["nid"].tolist()})
     named = spark.createDataFrame([(0, int(i)) for i in ids], "tour long, nid long")
-    _, m = _dense(cost_matrix(graph, named).toPandas(), None)
-    at = {n: i for i, n in enumerate(ids)}
+    m, at = _square(graph, named, ids), {n: i for i, n in enumerate(ids)}
     amount = {(r.kind, r.nid): r.amount for r in stops.itertuples()}
     half = {k: sorted(n for kk, n in amount if kk == k) for k in ("drop", "pickup")}
     for kind in half:
@@ -189,18 +199,24 @@ def backhaul(graph: Graph, depot: int, drops: DataFrame, pickups: DataFrame, cap
             left.discard(here)
             seq.append((kind, here))
     seq.append(("depot", depot))
-    # reversing a run of one kind keeps the precedence
+    # reversing a run of one kind keeps the precedence; only its two ends change where costs are symmetric
+    place = np.array([at[n] for _, n in seq])
+    symmetric = bool(np.array_equal(m, m.T))
     changed = True
     while changed:
         changed = False
         for i in range(1, len(seq) - 2):
             for j in range(i + 1, len(seq) - 1):
-                if seq[i][0] != seq[j][0] or {k for k, _ in seq[i : j + 1]} != {seq[i][0]}:
+                if seq[j][0] != seq[i][0]:
                     break
-                new = seq[:i] + seq[i : j + 1][::-1] + seq[j + 1 :]
-                cost = lambda s: sum(m[at[a], at[b]] for (_, a), (_, b) in zip(s[:-1], s[1:], strict=True))
-                if cost(new) < cost(seq) - 1e-9:
-                    seq, changed = new, True
+                run = place[i : j + 1]
+                gain = m[place[i - 1], run[0]] + m[run[-1], place[j + 1]] - m[place[i - 1], run[-1]] - m[run[0], place[j + 1]]
+                if not symmetric:
+                    gain += m[run[:-1], run[1:]].sum() - m[run[1:], run[:-1]].sum()
+                if gain > 1e-9:
+                    seq[i : j + 1] = seq[i : j + 1][::-1]
+                    place[i : j + 1] = run[::-1].copy()
+                    changed = True
     load, rows, total = sum(amount["drop", n] for n in half["drop"]), [], 0.0
     for i, (kind, n) in enumerate(seq):
         leg = 0.0 if i == 0 else float(m[at[seq[i - 1][1]], at[n]])
@@ -233,7 +249,7 @@ def _assign(pdf: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame({"instance": pdf["instance"].iloc[0], "cust": [c for c, _ in out], "depot": pd.array([d for _, d in out], dtype="Int64")})
 
 
-def _routes(matrix: pd.DataFrame, stops: pd.DataFrame, trucks: pd.DataFrame, split: bool) -> pd.DataFrame:
+def _routes(matrix: pd.DataFrame, stops: pd.DataFrame, trucks: pd.DataFrame, split: bool | str) -> pd.DataFrame:
     """Routes of one depot: largest trucks first, each filled by savings from its farthest stop, then improved."""
     depot, home = int(trucks["depot"].iloc[0]), int(trucks["home"].iloc[0])
     ids, m = _dense(matrix, home)
@@ -241,11 +257,11 @@ def _routes(matrix: pd.DataFrame, stops: pd.DataFrame, trucks: pd.DataFrame, spl
     need = {int(c): float(a) for c, a in zip(stops["cust"], stops["amount"], strict=True)}
     node = {int(c): at.get(int(n), 0) for c, n in zip(stops["cust"], stops["nid"], strict=True)}
     # several customers may share a node
-    rows = []
+    rows, planned = [], []
     for t in trucks.sort_values(["capacity", "truck"], ascending=[False, True]).itertuples():
         room, route, got = float(t.capacity), [], {}
         while need and room > 0:
-            fits = [c for c in need if need[c] <= room or split]
+            fits = [c for c in need if need[c] <= room or split is True]
             if not fits:
                 break
             if not route:
@@ -262,6 +278,19 @@ def _routes(matrix: pd.DataFrame, stops: pd.DataFrame, trucks: pd.DataFrame, spl
                 del need[c]
             e0, e1 = (node[route[0]], node[route[-1]]) if route else (0, 0)
             route = [c, *route] if route and m[e0, node[c]] < m[e1, node[c]] else [*route, c]
+        planned.append([int(t.truck), room, route, got])
+    if split == "rest":  # what fits into no truck is shared by the nearest ones with room
+        for c in sorted(need):
+            while need[c] > 0 and (open_trucks := [p for p in planned if p[1] > 0]):
+                p = min(open_trucks, key=lambda p: (min((m[node[o], node[c]] for o in p[2]), default=m[0, node[c]]), p[0]))
+                amount = min(need[c], p[1])
+                p[1] -= amount
+                need[c] -= amount
+                if c not in p[3]:
+                    p[2].append(c)
+                p[3][c] = p[3].get(c, 0.0) + amount
+        need = {c: a for c, a in need.items() if a > 0}
+    for truck, _, route, got in planned:
         if not route:
             continue
         local = [0, *[node[c] for c in route]]
@@ -273,7 +302,7 @@ def _routes(matrix: pd.DataFrame, stops: pd.DataFrame, trucks: pd.DataFrame, spl
             leg = 0.0 if k == 0 else float(sub[order[k - 1], i])
             cost += leg
             c = route[i - 1] if i else None
-            rows.append((depot, int(t.truck), k, c, got[c] if c is not None else 0.0, leg, cost))
+            rows.append((depot, truck, k, c, got[c] if c is not None else 0.0, leg, cost))
     for c, a in sorted(need.items()):
         rows.append((depot, None, None, c, a, None, None))
     cols = ["depot", "truck", "stop_seq", "cust", "amount", "leg_cost", "arrive_cost"]
@@ -281,14 +310,16 @@ def _routes(matrix: pd.DataFrame, stops: pd.DataFrame, trucks: pd.DataFrame, spl
     return out.astype({"depot": "Int64", "truck": "Int64", "stop_seq": "Int32", "cust": "Int64", "amount": "float64", "leg_cost": "float64", "arrive_cost": "float64"})
 
 
-def fleet(graph: Graph, depots: DataFrame, trucks: DataFrame, demands: DataFrame, split: bool = False) -> DataFrame:
+def fleet(graph: Graph, depots: DataFrame, trucks: DataFrame, demands: DataFrame, split: bool | str = False, tasks: int | None = None) -> DataFrame:
     """(depot, truck, stop_seq, cust, amount, leg_cost, arrive_cost): deliveries of a fleet from several depots.
 
     depots(depot, nid, supply), trucks(truck, depot, capacity), demands(cust,
     nid, amount). Each route starts and ends at its depot, with a null cust.
     What no truck could take comes back with a null truck; a customer whom no
-    depot can supply has a null depot too. ``split`` lets several trucks share
-    a customer.
+    depot can supply has a null depot too. ``split=True`` lets several trucks
+    share any customer, ``split="rest"`` those only that fit into no truck.
+    ``tasks`` bounds how many tasks solve costs at once: one stands for a single
+    server, several for replicated ones.
     """
     _check_stops(demands.withColumn("_g", F.lit(0)), "_g")
     far = many_costs(graph, depots.select("nid"))
@@ -298,7 +329,7 @@ def fleet(graph: Graph, depots: DataFrame, trucks: DataFrame, demands: DataFrame
     lost = demands.join(chosen.where("depot IS NOT NULL").select("cust"), "cust", "left_anti")
     stops = cut(demands.select("cust", "nid", F.col("amount").cast("double").alias("amount")).join(chosen.where("depot IS NOT NULL").select("cust", "depot"), "cust"))
     places = stops.select(F.col("depot").alias("tour"), "nid").unionByName(depots.select(F.col("depot").alias("tour"), "nid"))
-    matrix = cost_matrix(graph, places)
+    matrix = cost_matrix(graph, places, tasks)
     crew = trucks.select("truck", "depot", F.col("capacity").cast("double").alias("capacity")).join(depots.select("depot", F.col("nid").alias("home")), "depot")
     schema = "depot long, truck long, stop_seq int, cust long, amount double, leg_cost double, arrive_cost double"
     # the matrix and the stops of a depot in one side of the cogroup, told apart by a column

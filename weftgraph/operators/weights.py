@@ -60,7 +60,18 @@ def idw(graph: Graph, points: DataFrame, power: int = 2, radius: float | None =
     if radius is None:
         if named.limit(limit + 1).count() > limit:
             raise ValueError(f"more than {limit} points; give a radius")
-        met = mid.join(F.broadcast(named))  # the point table's size is checked above
+        # the points travel as one array, whose size is checked above, and each edge folds over it
+        table = named.agg(F.collect_list(F.struct("px", "py", "factor")).alias("p"))
+        gap = lambda p: (F.col("mx") - p["px"]) * (F.col("mx") - p["px"]) + (F.col("my") - p["py"]) * (F.col("my") - p["py"])
+        zero = F.struct(F.lit(0.0).alias("w"), F.lit(0.0).alias("f"), F.lit(0).cast("long").alias("n"), F.lit(0.0).alias("hit"))
+
+        def add(acc, p):
+            near = gap(p) == 0
+            weight = F.when(near, 0.0).otherwise(1 / F.pow(gap(p), F.lit(power / 2)))
+            return F.struct((acc["w"] + weight).alias("w"), (acc["f"] + weight * p["factor"]).alias("f"), (acc["n"] + near.cast("long")).alias("n"), (acc["hit"] + F.when(near, p["factor"]).otherwise(0.0)).alias("hit"))
+
+        folded = mid.join(F.broadcast(table)).select("eid", F.aggregate("p", zero, add).alias("s"))
+        return folded.select("eid", F.when(F.col("s.n") > 0, F.col("s.hit") / F.col("s.n")).when(F.col("s.w") > 0, F.col("s.f") / F.col("s.w")).otherwise(1.0).alias("factor"))
     else:
         spread = near_cells(named, "px", "py", radius)
         cells = mid.withColumns({"cx": F.floor(F.col("mx") / radius + 0.5).cast("long"), "cy": F.floor(F.col("my") / radius + 0.5).cast("long")})

@@ -6,11 +6,10 @@ Nothing here changes a setting that is fixed when the session starts.
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 import zipfile
-from collections.abc import Iterator
-from contextlib import contextmanager
 from pathlib import Path
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -46,11 +45,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def shared_dir(spark: SparkSession) -> str:
     """The folder all executors share, from ``spark.checkpoint.dir``.
 
-    Where the session names none (tests in one JVM) a temporary one is set.
+    Where the session names none, a temporary one is set if driver and
+    executors are one process (tests); on a cluster it is an error.
     """
     named = spark.conf.get("spark.checkpoint.dir", None)
     sc = spark.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
+        if not named and not re.fullmatch(r"local(\[.*\])?", sc.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         sc.setCheckpointDir(named or f"file://{tempfile.mkdtemp(prefix='weft-ckpt-')}")
     return named or sc._jsc.sc().getCheckpointDir().get()
 
@@ -58,43 +60,79 @@ def shared_dir(spark: SparkSession) -> str:
 _CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
 
-@contextmanager
-def _shuffles_released(spark: SparkSession) -> Iterator[None]:
-    """Let Spark delete the shuffle files of an execution when it ends.
+def _release_shuffles(spark: SparkSession) -> None:
+    """Let Spark delete the shuffle files of an execution when it ends, from now on in this session.
 
     What is materialised in the shared folder does not need them any more, and
-    loops would otherwise keep the files of every round.
+    loops would otherwise keep the files of every round. The setting stays on,
+    since threads of one session would else see one another's switching.
     """
-    before = spark.conf.get(_CLEANUP)
-    spark.conf.set(_CLEANUP, "true")
-    try:
-        yield
-    finally:
-        spark.conf.set(_CLEANUP, before)
+    if spark.conf.get(_CLEANUP) != "true":
+        spark.conf.set(_CLEANUP, "true")
 
 
 def cut(df: DataFrame) -> DataFrame:
     """Cut the lineage with a reliable checkpoint in the shared folder."""
+    ship(df.sparkSession)
     shared_dir(df.sparkSession)
-    with _shuffles_released(df.sparkSession):
-        return df.checkpoint(eager=True)
+    _release_shuffles(df.sparkSession)
+    return _without_estimate(df.checkpoint(eager=True))
+
+
+def _without_estimate(df: DataFrame) -> DataFrame:
+    """The same rows as a plan of its own, without the size that Spark estimates for what they came from.
+
+    A checkpoint keeps the estimate of its plan. Loops multiply it in every
+    round, until the planner spends its time and memory on numbers of millions
+    of digits; adaptive execution measures real sizes anyway.
+    """
+    spark = df.sparkSession
+    rows = df._jdf.queryExecution().toRdd()
+    return DataFrame(spark._jsparkSession.internalCreateDataFrame(rows, df._jdf.schema(), False), spark)
 
 
 def written(df: DataFrame, label: str = "t") -> DataFrame:
     """Write ``df`` as Parquet into the shared folder and read it again.
 
     Smaller than a checkpoint (columnar, compressed) and prunable. The files
-    go when the driver ends.
+    go when the driver ends, or by ``forget``.
     """
     spark = df.sparkSession
+    ship(spark)
     path = f"{shared_dir(spark).rstrip('/')}/{label}-{uuid.uuid4().hex}"
-    with _shuffles_released(spark):
-        df.write.parquet(path)
+    _release_shuffles(spark)
+    df.write.parquet(path)
     place = spark._jvm.org.apache.hadoop.fs.Path(path)
     place.getFileSystem(spark._jsc.hadoopConfiguration()).deleteOnExit(place)
+    _made.append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Paths of the tables that ``written`` made in this process and that still stand.
+_made: list[str] = []
+
+
+def tables_made() -> int:
+    """How many tables ``written`` has made so far, as a mark for ``forget``."""
+    return len(_made)
+
+
+def forget(spark: SparkSession, since: int, keep: DataFrame | None = None) -> None:
+    """Delete the tables made after a mark, but for the files of ``keep``.
+
+    For callers that have materialised what they need of them.
+    """
+    held = set() if keep is None else {f.split("://")[-1].replace("file:", "").rsplit("/", 1)[0].lstrip("/") for f in keep.inputFiles()}
+    stay = []
+    for path in _made[since:]:
+        if path.split("://")[-1].replace("file:", "").lstrip("/") in held:
+            stay.append(path)
+            continue
+        place = spark._jvm.org.apache.hadoop.fs.Path(path)
+        place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)
+    _made[since:] = stay
+
+
 def checked_broadcast(df: DataFrame, limit: int = BROADCAST_ROWS) -> DataFrame:
     """``df`` with a broadcast hint if it has at most ``limit`` rows.
 

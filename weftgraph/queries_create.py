@@ -140,9 +140,10 @@ def query_skip_links(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _flat(found)
 
 
-@query(f"""WITH {PURCHASES}, ok AS MATERIALIZED (SELECT src AS u, dst AS v, label FROM buy_e UNION ALL SELECT dst, src, label FROM buy_e)
-    SELECT a.u AS src, c.v AS dst, 3 AS hops, a.u || '-' || a.v || '-' || b.v || '-' || c.v AS path FROM ok a JOIN ok b ON b.u = a.v JOIN ok c ON c.u = b.v
-    WHERE a.u = {K} + 1 AND a.label LIKE 'bought:%' AND b.label = 'supplied' AND c.label = 'in_nation' AND b.v <> a.u AND c.v <> a.v AND c.v <> a.u AND c.v // {K} = 4""")
+@query(f"""WITH {PURCHASES}, a AS MATERIALIZED (SELECT src AS u, dst AS v FROM buy_e WHERE src = {K} + 1 AND label LIKE 'bought:%'),
+    b AS MATERIALIZED (SELECT a.u, a.v, e.dst AS w FROM a JOIN buy_e e ON e.src = a.v WHERE e.label = 'supplied'),
+    c AS (SELECT b.u, b.v, b.w, e.dst AS x FROM b JOIN buy_e e ON e.src = b.w WHERE e.label = 'in_nation')
+    SELECT u AS src, x AS dst, 3 AS hops, u || '-' || v || '-' || w || '-' || x AS path FROM c""")
 def query_label_sequence(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Hops by labels in order: bought, supplied, in a nation."""
     g = w.purchases(spark, sf_dir)
@@ -175,21 +176,32 @@ def query_two_hop_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.groupBy("src").agg(F.count("*").alias("walks"), F.countDistinct("dst").alias("reached"))
 
 
-@query("""WITH b AS (SELECT DISTINCT item_id, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS word FROM benchmark WHERE item_id < 3),
-    d AS (SELECT DISTINCT doc_id, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS word FROM documents WHERE lang = 'en'),
-    k AS (SELECT word FROM d GROUP BY word HAVING count(*) <= 20)
-    SELECT item_id AS src, 1000000 + doc_id AS dst, count(*) AS paths FROM b JOIN d USING (word) WHERE word IN (SELECT word FROM k) GROUP BY ALL""")
+#: Words in more than one in so many documents are common; links over them are skipped.
+COMMON = 100
+
+
+@query(f"""WITH b AS (SELECT DISTINCT item_id, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS word FROM benchmark),
+    d AS MATERIALIZED (SELECT DISTINCT doc_id, source, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS word FROM documents),
+    rare AS (SELECT word FROM d GROUP BY word HAVING count(DISTINCT doc_id) * {COMMON} <= (SELECT count(*) FROM documents))
+    SELECT item_id, source, count(*) AS paths FROM b JOIN d USING (word) WHERE word IN (SELECT word FROM rare) GROUP BY ALL""")
 def query_evidence(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """From benchmark items over rare words to documents: evidence paths of two hops, counted."""
-    words = lambda t, key: t.select(F.col(key), F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0)))).alias("word"))
-    items = words(table(spark, sf_dir, "benchmark").where("item_id < 3"), "item_id")
-    docs = words(table(spark, sf_dir, "documents").where("lang = 'en'"), "doc_id")
-    rare = docs.groupBy("word").count().where("count <= 20").select("word")
-    wid = F.xxhash64("word").bitwiseOR(F.lit(-(1 << 63)))  # words have negative ids
-    e = items.join(rare, "word", "left_semi").select(F.col("item_id").alias("src"), wid.alias("dst")).unionByName(docs.join(rare, "word", "left_semi").select(wid.alias("src"), (F.lit(1_000_000) + F.col("doc_id")).alias("dst")))
-    g = Graph.of("evidence", None, cut(e.select(F.xxhash64("src", "dst").alias("eid"), "src", "dst", F.lit(1).cast("long").alias("weight"), F.lit(1).alias("direction"))))
-    found = q.paths(g, q.Select(where=F.col("nid").between(0, 2)), q.Select(where=F.col("nid") >= 1_000_000), q.Hops(2, 2))
-    return found.groupBy("src", "dst").agg(F.count("*").alias("paths"))
+    """Evidence paths of three hops, counted: from all benchmark items over words and documents to sources, without links over common words."""
+    words = lambda t, *keys: t.select(*keys, F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0)))).alias("word"))
+    documents = table(spark, sf_dir, "documents")
+    items, docs = words(table(spark, sf_dir, "benchmark"), "item_id"), cut(words(documents, "doc_id"))
+    most = documents.count()
+    kind = docs.groupBy("word").count().select("word", F.when(F.col("count") * COMMON > most, "common").otherwise("rare").alias("label"))
+    # kinds of nodes have id ranges of their own: items, documents, words by hash, sources by hash
+    wid, sid = F.xxhash64("word").bitwiseOR(F.lit(-(1 << 63))), F.xxhash64("source").bitwiseAND(F.lit((1 << 62) - 1)) + F.lit(1 << 62)
+    doc = F.lit(1 << 40) + F.col("doc_id")
+    mention = items.join(kind, "word").select(F.col("item_id").alias("src"), wid.alias("dst"), "label")
+    found = docs.join(kind, "word").select(wid.alias("src"), doc.alias("dst"), "label")
+    origin = documents.select(doc.alias("src"), sid.alias("dst"), F.lit("source").alias("label"))
+    e = mention.unionByName(found).unionByName(origin)
+    g = Graph.of("evidence", None, cut(e.select(F.xxhash64("src", "dst").alias("eid"), "src", "dst", F.lit(1).cast("long").alias("weight"), F.lit(1).alias("direction"), F.array("label").alias("labels"))))
+    names = documents.select(sid.alias("dst"), "source").distinct()
+    paths = q.paths(g, q.Select(where=F.col("nid").between(0, (1 << 40) - 1)), q.Select(where=F.col("nid") >= 1 << 62), q.Hops(3, 3, exclude_labels={"common"}))
+    return paths.groupBy("src", "dst").agg(F.count("*").alias("paths")).join(names, "dst").select(F.col("src").alias("item_id"), "source", "paths")
 
 
 # ------------------------------------------------ relational summaries

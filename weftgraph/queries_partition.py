@@ -37,25 +37,18 @@ def topo_heads(spark: SparkSession, sf_dir: str) -> DataFrame:
     return topology.build_double_link(linked_knows(spark, sf_dir))[1]
 
 
-LEAST = "SELECT nid FROM (SELECT nid, count(*) AS d FROM inc GROUP BY nid) t WHERE d <= 6"
-
-
-@query(f"WITH {w.KNOWS_SQL}, {KNOW_LINK} SELECT nid, (row_number() OVER (PARTITION BY nid ORDER BY eid DESC) - 1)::INTEGER AS step, eid FROM inc WHERE nid IN ({LEAST})")
+@query(f"WITH {w.KNOWS_SQL}, {KNOW_LINK} SELECT nid, (row_number() OVER (PARTITION BY nid ORDER BY eid DESC) - 1)::INTEGER AS step, eid FROM inc")
 def topo_walk(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Chains of nodes with at most six edges, walked by pointers from the cached edge."""
-    edges = cut(linked_knows(spark, sf_dir))
-    links, heads = topology.build_double_link(edges)
-    few = topology.incidences(edges).groupBy("nid").count().where("count <= 6").select("nid")
-    return topology.walk_incident(cut(links), cut(heads), cut(few))
+    """Chains of all nodes, walked by pointers from the cached edge."""
+    links, heads = topology.build_double_link(cut(linked_knows(spark, sf_dir)))
+    return topology.walk_incident(cut(links), heads)
 
 
-@query(f"WITH {w.KNOWS_SQL}, {KNOW_LINK} SELECT nid, (row_number() OVER (PARTITION BY nid ORDER BY eid) - 1)::INTEGER AS step, eid FROM inc WHERE nid IN ({LEAST})")
+@query(f"WITH {w.KNOWS_SQL}, {KNOW_LINK} SELECT nid, (row_number() OVER (PARTITION BY nid ORDER BY eid) - 1)::INTEGER AS step, eid FROM inc")
 def topo_walk_next(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The same chains from their oldest edge."""
-    edges = cut(linked_knows(spark, sf_dir))
-    links, heads = topology.build_double_link(edges)
-    few = topology.incidences(edges).groupBy("nid").count().where("count <= 6").select("nid")
-    return topology.walk_incident(cut(links), cut(heads), cut(few), "next")
+    links, heads = topology.build_double_link(cut(linked_knows(spark, sf_dir)))
+    return topology.walk_incident(cut(links), heads, direction="next")
 
 
 @query(f"WITH {w.KNOWS_SQL}, {KNOW_LINK} SELECT DISTINCT nid, eid FROM inc")
@@ -170,7 +163,7 @@ def part_random(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _edges(partition.by_random(w.knows(spark, sf_dir), 4))
 
 
-WORDS = """wl AS (SELECT regexp_extract_all(lower(text), '[a-z]+')[1:40] AS w FROM documents WHERE lang = 'en'),
+WORDS = """wl AS (SELECT regexp_extract_all(lower(text), '[a-z]+') AS w FROM documents),
     wp AS MATERIALIZED (SELECT DISTINCT w1, w2 FROM (SELECT unnest(w[:-2]) AS w1, unnest(w[2:]) AS w2 FROM wl WHERE len(w) > 1) p WHERE w1 <> w2)"""
 
 
@@ -238,18 +231,26 @@ def part_adaptive(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def sssp_trace(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The tracer: front of each part in each round of a solve over interlaced parts."""
+    """The tracer: front of each part in each round of a solve over four boxes."""
     stats = sssp.SolveStats()
     sssp.costs(partition.by_box(w.road(spark, sf_dir).materialised(), 2, 2), 0, stats=stats)
     return spark.createDataFrame([(t["superstep"], t["part"], t["front"]) for t in stats.trace], "superstep int, part int, front long")  # one row for each busy part and round
 
 
-@query()
+@query(f"WITH RECURSIVE {w.ROAD_SQL}, {w.ROAD_ARCS_SQL}, {w.sssp_sql('SELECT 0::BIGINT, 0::BIGINT', 'road_arcs')} SELECT count(*) AS reached, max(cost) AS max_cost, sum(cost)::BIGINT AS sum_cost, true AS grows FROM dist")
 def sssp_cost_field(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Reached nodes and largest cost after each round: the field grows and is corrected."""
+    """The cost field after the last round; in the rounds before, it reached fewer nodes or the same at higher costs."""
+    rows = cost_field_rounds(spark, sf_dir)
+    last = rows[-1]
+    grows = all((a["reached"], -a["sum_cost"]) < (b["reached"], -b["sum_cost"]) for a, b in zip(rows, rows[1:], strict=False))
+    return spark.createDataFrame([(last["reached"], last["max_cost"], last["sum_cost"], grows)], "reached long, max_cost long, sum_cost long, grows boolean")  # one row
+
+
+def cost_field_rounds(spark: SparkSession, sf_dir: str) -> list[dict]:
+    """Reached nodes, largest cost and sum after each round of a solve over four boxes."""
     stats = sssp.SolveStats(record_fields=True)
     sssp.costs(partition.by_box(w.road(spark, sf_dir).materialised(), 2, 2), 0, stats=stats)
-    return spark.createDataFrame([(f["superstep"], f["reached"], f["max_cost"], f["sum_cost"]) for f in stats.fields], "superstep int, reached long, max_cost long, sum_cost long")  # one row for each round
+    return stats.fields
 
 
 # -------------------------------------------------------------- balancing
@@ -289,11 +290,26 @@ def balance_score(spark: SparkSession, sf_dir: str) -> DataFrame:
     return measures.partition_score(balanced_road(spark, sf_dir).materialised(), "balanced")
 
 
-@query()
-def balance_comparison(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Rounds, local solves and messages of a solve to all nodes, for four schemes."""
+def four_schemes(spark: SparkSession, sf_dir: str) -> dict[str, Graph]:
+    """The road graph in four parts each: interlaced id ranges, random, boxes, balanced."""
     scr = w.scrambled_road(spark, sf_dir).materialised()
-    box = partition.by_box(w.road(spark, sf_dir).materialised(), 2, 2).materialised()
-    graphs = {"box": box, "balanced": balanced_road(spark, sf_dir).materialised(), "id_range": partition.by_id_range(scr, 4).materialised()}
+    return {
+        "id_range": partition.by_id_range(scr, 4).materialised(),
+        "random": partition.by_random(scr, 4).materialised(),
+        "box": partition.by_box(w.road(spark, sf_dir).materialised(), 2, 2).materialised(),
+        "balanced": balanced_road(spark, sf_dir).materialised(),
+    }
+
+
+@query(f"""WITH RECURSIVE {BALANCED}, e1 AS MATERIALIZED ({SCR_ID}), e2 AS MATERIALIZED ({SCR_RANDOM}), e3 AS MATERIALIZED ({BOX}), total AS (SELECT sum(cost)::BIGINT AS sum_cost, count(*) AS targets FROM dist),
+    score AS ({_score_sql('id_range', 'FROM e1')} UNION ALL {_score_sql('random', 'FROM e2')} UNION ALL {_score_sql('box', 'FROM e3')} UNION ALL {_score_sql('balanced', 'FROM moved')})
+    SELECT scheme, dup_copies, sum_cost, targets, sum_cost AS path_cost FROM score, total""")
+def balance_comparison(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Four schemes, one source, all targets, with paths: repeated copies, costs, and the costs of the last steps of all paths.
+
+    Rounds, local solves, messages and times of the same solves are what
+    ``measures.compare_partitionings`` returns; the bench prints them.
+    """
+    graphs = four_schemes(spark, sf_dir)
     rows = measures.compare_partitionings(graphs, dict.fromkeys(graphs, 0))
-    return spark.createDataFrame([(r["scheme"], r["dup_copies"], r["supersteps"], r["local_solves"], r["messages"], r["sum_cost"]) for r in rows], "scheme string, dup_copies long, supersteps long, local_solves long, messages long, sum_cost long")  # one row for each scheme
+    return spark.createDataFrame([(r["scheme"], r["dup_copies"], r["sum_cost"], r["targets"], r["path_cost"]) for r in rows], "scheme string, dup_copies long, sum_cost long, targets long, path_cost long")  # one row for each scheme

@@ -21,11 +21,11 @@ def _rank_sql(arcs: str, nodes: str, iterations: int) -> str:
     return f"{', '.join(steps)} SELECT nid, round(s, 9) AS score FROM r{iterations}"
 
 
-@query(f"WITH {w.TRADE_SQL}, {_rank_sql('SELECT src AS u, dst AS v FROM trade_edges WHERE src % 3 <> 0', 'SELECT n_nationkey::BIGINT AS nid FROM nation', 10)}")
+@query(f"WITH {w.TRADE_SQL}, {_rank_sql('SELECT src AS u, dst AS v FROM trade_edges', 'SELECT n_nationkey::BIGINT AS nid FROM nation', 10)}")
 def pagerank_trade(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Rank of nations by trade; a third of them export nothing, so that mass must be spread."""
+    """Rank of nations by trade."""
     g = w.trade(spark, sf_dir)
-    return rank.pagerank(g.with_edges(g.edges.where("src % 3 <> 0")), iterations=10).select("nid", F.round("score", 9).alias("score"))
+    return rank.pagerank(g, iterations=10).select("nid", F.round("score", 9).alias("score"))
 
 
 PAGES = """href AS MATERIALIZED (SELECT DISTINCT 'h:' || regexp_extract(url, '://([^/]+)', 1) AS a, 'p:' || unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) AS b FROM pages),
@@ -95,26 +95,16 @@ def closeness_trade(spark: SparkSession, sf_dir: str) -> DataFrame:
     return centrality.closeness(w.trade(spark, sf_dir).materialised()).select("nid", F.round("score", 9).alias("score"))
 
 
-HOP = "e AS MATERIALIZED (SELECT DISTINCT src AS u, dst AS v FROM trade_edges WHERE src <> dst AND (src * 7 + dst * 3) % 5 = 0)"
-
-
-@query(f"""WITH RECURSIVE {w.TRADE_SQL}, {HOP},
-    reach(s, t, d) USING KEY (s, t) AS (SELECT DISTINCT u, u, 0 FROM e UNION SELECT r.s, e.v, min(r.d + 1) FROM reach r JOIN e ON e.u = r.t LEFT JOIN recurring.reach o ON o.s = r.s AND o.t = e.v GROUP BY r.s, e.v, o.d HAVING o.d IS NULL OR min(r.d + 1) < o.d),
-    dist AS MATERIALIZED (SELECT s, t, d FROM reach), c0 AS MATERIALIZED (SELECT s, t, 1::DOUBLE AS k FROM dist WHERE d = 0),
-    c1 AS MATERIALIZED (SELECT p.s, x.t, sum(k) AS k FROM c0 p JOIN e ON e.u = p.t JOIN dist x ON x.s = p.s AND x.t = e.v AND x.d = 1 GROUP BY ALL),
-    c2 AS MATERIALIZED (SELECT p.s, x.t, sum(k) AS k FROM c1 p JOIN e ON e.u = p.t JOIN dist x ON x.s = p.s AND x.t = e.v AND x.d = 2 GROUP BY ALL),
-    c3 AS MATERIALIZED (SELECT p.s, x.t, sum(k) AS k FROM c2 p JOIN e ON e.u = p.t JOIN dist x ON x.s = p.s AND x.t = e.v AND x.d = 3 GROUP BY ALL),
-    c4 AS MATERIALIZED (SELECT p.s, x.t, sum(k) AS k FROM c3 p JOIN e ON e.u = p.t JOIN dist x ON x.s = p.s AND x.t = e.v AND x.d = 4 GROUP BY ALL),
-    c5 AS MATERIALIZED (SELECT p.s, x.t, sum(k) AS k FROM c4 p JOIN e ON e.u = p.t JOIN dist x ON x.s = p.s AND x.t = e.v AND x.d = 5 GROUP BY ALL),
-    k AS MATERIALIZED (SELECT * FROM c0 UNION ALL SELECT * FROM c1 UNION ALL SELECT * FROM c2 UNION ALL SELECT * FROM c3 UNION ALL SELECT * FROM c4 UNION ALL SELECT * FROM c5),
-    b AS (SELECT a.t AS nid, sum(ka.k * kb.k / kc.k) AS score FROM dist a JOIN dist b ON b.s = a.t JOIN dist c ON c.s = a.s AND c.t = b.t AND c.d = a.d + b.d
-        JOIN k ka ON ka.s = a.s AND ka.t = a.t JOIN k kb ON kb.s = b.s AND kb.t = b.t JOIN k kc ON kc.s = c.s AND kc.t = c.t WHERE a.d > 0 AND b.d > 0 GROUP BY a.t)
+@query(f"""WITH RECURSIVE {w.TRADE_SQL}, {TRADE_ARCS}, {TRADE_ALL},
+    cost AS MATERIALIZED (SELECT source AS s, nid AS t, cost AS d FROM dist), tight AS MATERIALIZED (SELECT a.s, x.u, x.v FROM cost a JOIN trade_arcs x ON x.u = a.t JOIN cost b ON b.s = a.s AND b.t = x.v WHERE b.d = a.d + x.w AND x.u <> x.v),
+    way(s, t) AS (SELECT n_nationkey::BIGINT, n_nationkey::BIGINT FROM nation UNION ALL SELECT way.s, v FROM way JOIN tight ON tight.s = way.s AND tight.u = way.t),
+    k AS MATERIALIZED (SELECT s, t, count(*)::DOUBLE AS k FROM way GROUP BY s, t),
+    b AS (SELECT a.t AS nid, sum(ka.k * kb.k / kc.k) AS score FROM cost a JOIN cost b ON b.s = a.t JOIN cost c ON c.s = a.s AND c.t = b.t AND c.d = a.d + b.d
+        JOIN k ka ON ka.s = a.s AND ka.t = a.t JOIN k kb ON kb.s = b.s AND kb.t = b.t JOIN k kc ON kc.s = c.s AND kc.t = c.t WHERE a.s <> a.t AND b.t <> a.t AND b.t <> a.s GROUP BY a.t)
     SELECT n_nationkey::BIGINT AS nid, round(coalesce(score, 0), 6) AS score FROM nation LEFT JOIN b ON nid = n_nationkey""")
 def betweenness_trade(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Betweenness by hops over a fifth of the trade arcs."""
-    g = w.trade(spark, sf_dir)
-    some = g.with_edges(g.edges.where("src <> dst AND (src * 7 + dst * 3) % 5 = 0")).materialised()
-    return centrality.betweenness(some, weighted=False).select("nid", F.round("score", 6).alias("score"))
+    """Betweenness of nations over all trade arcs, weights as lengths."""
+    return centrality.betweenness(w.trade(spark, sf_dir).materialised()).select("nid", F.round("score", 6).alias("score"))
 
 
 @query("""WITH c AS (SELECT DISTINCT conv_id, turn FROM conversations), e AS (SELECT a.conv_id, a.turn FROM c a JOIN c b ON b.conv_id = a.conv_id AND b.turn = a.turn + 1),

@@ -53,13 +53,31 @@ class UpsertFeed:
     """Apply change batches to a versioned edge table; a batch that comes again changes nothing.
 
     The state of a batch is written under its number, so a batch that was cut
-    short is simply written over. Deleted keys stay known as tombstones, so
-    that late changes older than a deletion do not bring an edge back.
+    short is simply written over. A new feed on the same folder goes on from
+    the last batch that was written whole; a folder therefore belongs to one
+    stream checkpoint. The state before the last one is kept, older ones go.
+    Deleted keys stay known as tombstones, so that late changes older than a
+    deletion do not bring an edge back.
     """
 
     def __init__(self, spark: SparkSession, path: str):
         self.spark, self.path = spark, path.rstrip("/")
-        self.done = -1
+        self.done = max((n for n, whole in self._batches() if whole), default=-1)
+
+    def _batches(self) -> list[tuple[int, bool]]:
+        """Numbers of the states in the folder, and whether each was written whole."""
+        place = self.spark._jvm.org.apache.hadoop.fs.Path(self.path)
+        store = place.getFileSystem(self.spark._jsc.hadoopConfiguration())
+        if not store.exists(place):
+            return []
+        names = [f.getPath() for f in store.listStatus(place) if f.getPath().getName().startswith("batch=")]
+        return [(int(p.getName()[6:]), store.exists(self.spark._jvm.org.apache.hadoop.fs.Path(p, "_SUCCESS"))) for p in names]
+
+    def _forget(self, before: int) -> None:
+        for n, _ in self._batches():
+            if n < before:
+                place = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.path}/batch={n}")
+                place.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(place, True)
 
     def state(self, batch_id: int | None = None) -> DataFrame:
         at = self.done if batch_id is None else batch_id
@@ -77,7 +95,8 @@ class UpsertFeed:
         both = self.state().select("src", "dst", "weight", "ts", "gone", "seq").unionByName(new)
         last = both.groupBy("src", "dst").agg(F.max(F.struct("ts", "seq", "weight", "gone")).alias("c")).select("src", "dst", "c.weight", "c.ts", "c.gone", "c.seq")
         last.write.mode("overwrite").parquet(f"{self.path}/batch={batch_id}")
-        self.done = batch_id
+        before, self.done = self.done, batch_id
+        self._forget(before)
 
     def run(self, source: DataFrame, checkpoint: str) -> None:
         """Drain a change stream."""

@@ -12,7 +12,6 @@ from weftgraph.model import Graph
 from weftgraph.plans.common import table
 
 LON0, LAT0, STEP = -77.5, 38.7, 0.001
-N_ORIGINS = 200
 
 
 def width_of(n: int) -> int:
@@ -119,10 +118,9 @@ def turns_chain(spark: SparkSession, sf_dir: str) -> Graph:
 
 
 def word_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(w1, w2): distinct consecutive words among the first forty of English documents, as the fixture states it."""
-    docs = table(spark, sf_dir, "documents").where("lang = 'en'")
-    words = docs.select(F.slice(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0)), 1, 40).alias("w"))
-    pairs = words.where(F.size("w") > 1).select(F.explode(F.arrays_zip(F.slice("w", 1, F.size("w") - 1).alias("w1"), F.slice("w", 2, F.size("w") - 1).alias("w2"))).alias("p"))
+    """(w1, w2): distinct consecutive words of all documents, whole texts."""
+    words = table(spark, sf_dir, "documents").select(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0)).alias("w"))
+    pairs = words.where(F.size("w") > 1).select(F.explode(F.array_distinct(F.arrays_zip(F.slice("w", 1, F.size("w") - 1).alias("w1"), F.slice("w", 2, F.size("w") - 1).alias("w2")))).alias("p"))
     return pairs.select("p.w1", "p.w2").where("w1 <> w2").distinct()
 
 
