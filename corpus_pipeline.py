@@ -18,7 +18,7 @@ from weftgraph.llm.mixing import mix_sources
 from weftgraph.llm.near_dedup import NearDupParams, drop_near_duplicates
 from weftgraph.llm.packing import pack_documents
 from weftgraph.llm.toxicity import score_toxicity
-from weftgraph.plans.common import table, written
+from weftgraph.plans.common import forget, table, tables_made, written
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
@@ -88,5 +88,7 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over the whole of ``documents``."""
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES[:-1]:
+        before = tables_made()
         docs = written(stage(spark, docs, sf_dir), name)
+        forget(spark, before, docs)  # what the stage wrote for itself is not read again
     return STAGES[-1][1](spark, docs, sf_dir)
