@@ -213,6 +213,14 @@ def test_chains_with_loops_and_hubs(spark):
         assert got == {n: (v[::-1] if direction == "prev" else v) for n, v in want.items()}
 
 
+def test_rows_of_hubs_come_in_chunks(spark):
+    edges = edges_of(spark, [(0, i, i) for i in range(1, 24)] + [(5, 6, 1)])
+    rows = topology.to_csr(edges, 10).where("nid = 0").orderBy("chunk").collect()
+    assert [len(r["neighbours"]) for r in rows] == [10, 10, 3] and {(r["offset"], r["degree"]) for r in rows} == {(0, 23)}
+    assert [v for r in rows for v in r["neighbours"]] == [w for r in rows for w in r["weights"]] == list(range(1, 24))
+    assert topology.to_csr(edges.limit(0)).count() == 0 and topology.build_double_link(edges.limit(0))[0].count() == 0
+
+
 def test_factors_fold_like_pairs(spark):
     g, _ = lattice(spark, 6, 5)
     pts = spark.createDataFrame([(0.5, 0.0, 2.0), (0.5, 0.0, 4.0), (3.3, 2.2, 0.5)], "x double, y double, factor double")
@@ -235,6 +243,16 @@ def test_rest_of_a_fleet_is_shared(spark):
     assert [t["servers"] for t in times] == [1, 4] and times[0]["cost"] == times[1]["cost"]
 
 
+def test_cuts_by_edges_are_exact(spark):
+    hub = [(0, i * 1_000_003, 1) for i in range(1, 50)] + [(10**9 + i, 10**9 + i + 1, 1) for i in range(150)]
+    g = Graph.of("h", None, edges_of(spark, hub))
+    first = sorted(min(a, b) for a, b, _ in hub)
+    bounds = balance._weighted_cuts(g.edges.select(F.least("src", "dst").alias("nid")).groupBy("nid").agg(F.count("*").alias("n")), len(hub), 4, slots=16)
+    assert bounds == [next(x for x in first if sum(y <= x for y in first) >= len(hub) * k / 4) for k in (1, 2, 3)]
+    sizes = {r["part"]: r["count"] for r in balance.cut_by_edges(g, 4).edges.groupBy("part").count().collect()}
+    assert sum(sizes.values()) == len(hub) and max(sizes.values()) <= 0.5 * len(hub)
+
+
 def test_balanced_parts_need_fewer_rounds(spark):
     """The published comparison: rounds and repeated nodes of balanced parts against id ranges, with all paths."""
     g = workloads.scrambled_road(spark, "/root/testdata/sf0.001").materialised()

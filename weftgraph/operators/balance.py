@@ -58,19 +58,39 @@ def cut_by_edges(graph: Graph, parts: int) -> Graph:
 
 
 def _weighted_cuts(weighted: DataFrame, total: int, parts: int, slots: int = 4096) -> list[int]:
-    """Ids at which running edge counts pass each share, from counts in at most ``slots`` bins, refined once."""
+    """Ids at which running edge counts pass each share.
+
+    Counts in at most ``slots`` bins narrow each share down to one bin, and that
+    bin is cut into bins again, until bins are single ids.
+    """
     low, high = weighted.agg(F.min("nid"), F.max("nid")).head()
     if low is None:
         return []
-    width = max(1, -(-(high - low + 1) // slots))
-    bins = sorted((r["b"], r["n"]) for r in weighted.groupBy(F.floor((F.col("nid") - low) / width).alias("b")).agg(F.sum("n").alias("n")).collect())  # at most `slots` rows
-    out, running, goal = [], 0, 1
-    for b, n in bins:
-        running += n
-        while goal < parts and running >= total * goal / parts:
-            out.append(low + (b + 1) * width - 1)
-            goal += 1
-    return out[: parts - 1]
+    # for each share still open: (first id, last id, edges before the first id)
+    spans = {g: (low, high, 0) for g in range(1, parts)}
+    while any(a < b for a, b, _ in spans.values()):
+        distinct = sorted({(a, b) for a, b, _ in spans.values() if a < b})
+        width = {s: -(-(s[1] - s[0] + 1) // slots) for s in distinct}
+        mark = F.lit(None).cast("struct<s:int,b:bigint>")
+        for i, (a, b) in enumerate(distinct):
+            inside = F.col("nid").between(a, b)
+            mark = F.when(inside, F.struct(F.lit(i).alias("s"), F.floor((F.col("nid") - a) / width[a, b]).alias("b"))).otherwise(mark)
+        rows = weighted.withColumn("m", mark).where("m IS NOT NULL").groupBy("m.s", "m.b").agg(F.sum("n").alias("n")).collect()  # at most slots for each share
+        bins: dict[tuple[int, int], list[tuple[int, int]]] = {s: [] for s in distinct}
+        for r in rows:
+            bins[distinct[r["s"]]].append((r["b"], r["n"]))
+        for g, (a, b, running) in spans.items():
+            if a >= b:
+                continue
+            for place, n in sorted(bins[a, b]):
+                first = a + place * width[a, b]
+                if running + n >= total * g / parts:
+                    spans[g] = (first, min(b, first + width[a, b] - 1), running)
+                    break
+                running += n
+            else:
+                spans[g] = (b, b, running)
+    return [spans[g][0] for g in range(1, parts)]
 
 
 def rebalance(graph: Graph, parts: int = 4, source: int | None = None, by: str = "nodes", rounds: int = 1, engine: str = "parts", stats: SolveStats | None = None) -> Graph:

@@ -40,7 +40,7 @@ def csr_shift_cost(edges: DataFrame, change: DataFrame) -> DataFrame:
     """
     from weftgraph.operators.topology import to_csr
 
-    csr = cut(to_csr(edges))
+    csr = cut(to_csr(edges).where("chunk = 0").select("nid", "offset", "degree"))
     total = csr.agg(F.coalesce(F.sum("degree"), F.lit(0)).alias("total"))
     at = change.join(csr.select(F.col("nid").alias("src"), "offset", "degree"), "src")
     return at.join(F.broadcast(total)).select("eid", (F.col("total") - F.col("offset") - F.col("degree")).alias("moved"))

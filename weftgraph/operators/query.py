@@ -138,6 +138,18 @@ def long_form(found: DataFrame) -> DataFrame:
     return each.select("path_id", "src", "dst", "step", "nid", F.get("eids", F.col("step") - 1).alias("eid"))
 
 
+def with_parts(graph: Graph, found: DataFrame) -> DataFrame:
+    """Paths with ``parts``: the distinct parts whose edges they pass, in ascending order.
+
+    Hops are joins over all parts at once, so a path may leave a part and come
+    back; the parts are looked up by edge afterwards.
+    """
+    keyed = found.withColumn("_path", F.xxhash64("path", "eids"))
+    passed = keyed.select("_path", F.explode("eids").alias("eid")).distinct().join(graph.edges.select("eid", F.coalesce("part", F.lit(0)).alias("part")), "eid")
+    parts = passed.groupBy("_path").agg(F.array_sort(F.collect_set("part")).alias("parts"))
+    return keyed.join(parts, "_path", "left").drop("_path")
+
+
 def neighbours(graph: Graph, sources: Select | DataFrame, max_hops: int, restrictions: list[Restriction] = (), hops: Hops | None = None) -> DataFrame:
     """(src, nid, hops): nodes within reach of each source, with the least number of hops."""
     s = sources.of(graph) if isinstance(sources, Select) else sources.select("nid").distinct()

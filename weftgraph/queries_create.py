@@ -176,6 +176,18 @@ def query_two_hop_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.groupBy("src").agg(F.count("*").alias("walks"), F.countDistinct("dst").alias("reached"))
 
 
+@query(f"""WITH {w.KNOWS_SQL}, walk AS (SELECT a.u AS src, a.v AS mid, b.v AS dst FROM know_arcs a JOIN know_arcs b ON b.u = a.v WHERE a.u < 20 AND b.v <> a.u),
+    home AS MATERIALIZED (SELECT c_custkey AS nid, (((c_custkey * 2654435761) % 4294967296) // 65536 % 4)::INTEGER AS h FROM customer)
+    SELECT src, dst, count(*) AS paths, count(*) FILTER (WHERE least(x.h, y.h) <> least(y.h, z.h)) AS crossing FROM walk JOIN home x ON x.nid = src JOIN home y ON y.nid = mid JOIN home z ON z.nid = dst GROUP BY src, dst""")
+def query_over_parts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Two-hop paths over a graph in four random parts, and how many of them lie in two parts."""
+    from weftgraph.operators import partition
+
+    g = partition.by_random(w.knows(spark, sf_dir), 4)
+    found = q.with_parts(g, q.paths(g, q.Select(where=F.col("nid") < 20), g.nodes, q.Hops(2, 2), prune=False))
+    return found.groupBy("src", "dst").agg(F.count("*").alias("paths"), F.count(F.when(F.size("parts") > 1, 1)).alias("crossing"))
+
+
 #: Words in more than one in so many documents are common; links over them are skipped.
 COMMON = 100
 

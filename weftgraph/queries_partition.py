@@ -61,7 +61,7 @@ def topo_incident_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(f"WITH {w.KNOWS_SQL}, d AS (SELECT u AS nid, count(*) AS degree FROM know_arcs GROUP BY u) SELECT nid, (sum(degree) OVER (ORDER BY nid) - degree)::BIGINT AS \"offset\", degree FROM d")
 def topo_csr_offsets(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Offsets and degrees of compressed rows."""
-    return topology.to_csr(w.knows(spark, sf_dir).edges).select("nid", "offset", "degree")
+    return topology.to_csr(w.knows(spark, sf_dir).edges).where("chunk = 0").select("nid", "offset", "degree")
 
 
 @query(f"WITH {w.KNOWS_SQL}, d AS (SELECT u AS src, count(*) AS degree FROM know_arcs GROUP BY u), o AS (SELECT src, sum(degree) OVER (ORDER BY src) AS upto FROM d), t AS (SELECT sum(degree) AS total FROM d) SELECT eid, (total - upto)::BIGINT AS moved FROM know_edges JOIN o USING (src), t WHERE eid % 10 = 0")
