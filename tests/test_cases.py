@@ -135,8 +135,10 @@ def test_lines_of_point_pairs(spark):
     assert got[2]["cost"] == 0 and got[2]["wkt"] == "LINESTRING(3.0 3.0)"
     assert got[3]["src"] is None and got[3]["cost"] is None
     assert (got[4]["src"], got[4]["dst"]) == (0, 17)
-    lines = match.line_costs(g, match.batch_points(g, pts, 1.0, with_paths=True))
-    assert {r["pair_id"]: r["line_cost"] for r in lines.collect()} == {1: want[0, 62], 2: 0, 4: want[0, 17]}
+    lines = match.line_costs(g, match.batch_points(g, pts.unionByName(pts), 1.0, with_paths=True))
+    assert {r["wkt"]: r["line_cost"] for r in lines.collect()} == {got[1]["wkt"]: want[0, 62], got[2]["wkt"]: 0, got[4]["wkt"]: want[0, 17]}
+    twice = match.batch_points(g, pts.unionByName(pts), 1.0)  # rows that repeat an id stay rows
+    assert twice.count() == 8 and match.od_within(g, twice.select("pair_id", "src", "dst"), 5).groupBy("pair_id").count().where("count <> 2").count() == 0
     broken = spark.createDataFrame([(1, "LINESTRING(0 0, 5 5)"), (2, "LINESTRING(0 0, 0.5 0)")], "pair_id long, wkt string")
     assert {r["line_cost"] for r in match.line_costs(g, broken).collect()} == {None}
 

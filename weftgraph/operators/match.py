@@ -56,29 +56,33 @@ def batch_pairs(graph: Graph, pairs: DataFrame, with_paths: bool = False, revers
     solved once.
     """
     g = graph.with_edges(reversed_edges(graph.edges)) if reverse else graph
-    once = pairs.select("src", "dst").where("src IS NOT NULL AND dst IS NOT NULL").distinct()
-    solved = None
-    if with_paths:
-        solved = _pair_lines(g, once.groupBy("src").agg(F.collect_list("dst").alias("dsts")))
-    else:
-        check_weights(g.edges)
-        found = overlay.tables(g)
-        solved = overlay.pair_table_costs(g, once, found) if found else pair_costs(g, once.groupBy("src").agg(F.collect_list("dst").alias("dsts")))
+    solved = distinct_pairs(g, pairs, with_paths)
     kind = "double" if dict(graph.edges.dtypes)["weight"] in ("double", "float") else "long"
     return pairs.select("pair_id", "src", "dst").join(solved, ["src", "dst"], "left").withColumn("cost", F.col("cost").cast(kind)).select("pair_id", "src", "dst", "cost", *(["wkt"] if with_paths else []))
 
 
+def distinct_pairs(graph: Graph, pairs: DataFrame, with_paths: bool = False) -> DataFrame:
+    """(src, dst, cost[, wkt]) of each distinct pair of nodes in pairs(src, dst), costs as doubles."""
+    once = pairs.select("src", "dst").where("src IS NOT NULL AND dst IS NOT NULL").distinct()
+    by_origin = once.groupBy("src").agg(F.collect_list("dst").alias("dsts"))
+    if with_paths:
+        return _pair_lines(graph, by_origin)
+    check_weights(graph.edges)
+    found = overlay.tables(graph)
+    return overlay.pair_table_costs(graph, once, found) if found else pair_costs(graph, by_origin)
+
+
 def batch_points(graph: Graph, pairs: DataFrame, size: float, with_paths: bool = False, reverse: bool = False) -> DataFrame:
     """(pair_id, src, dst, cost[, wkt]) of pairs(pair_id, src_wkt, dst_wkt): points snap to their nearest nodes.
 
     ``size`` is a usual distance between nodes. Texts that are no point have a
     null node and cost.
     """
-    ends = pairs.select("pair_id", F.explode(F.array(F.struct(F.lit(0).alias("end"), parse_point(F.col("src_wkt")).alias("p")), F.struct(F.lit(1).alias("end"), parse_point(F.col("dst_wkt")).alias("p")))).alias("e")).select("pair_id", "e.end", F.col("e.p.x").alias("x"), F.col("e.p.y").alias("y"))
-    spots = ends.where("x IS NOT NULL").select(F.struct("x", "y").alias("pid"), "x", "y").distinct()
+    ends = pairs.select("pair_id", parse_point(F.col("src_wkt")).alias("a"), parse_point(F.col("dst_wkt")).alias("b"))
+    spots = ends.select(F.explode(F.array("a", "b")).alias("p")).where("p IS NOT NULL").select("p.x", "p.y").distinct().select(F.struct("x", "y").alias("pid"), "x", "y")
     at = cut(snap(spots, graph.nodes, size).select(F.col("pid.x").alias("x"), F.col("pid.y").alias("y"), "nid"))
-    named = ends.join(at, ["x", "y"], "left").groupBy("pair_id").agg(F.max(F.when(F.col("end") == 0, F.col("nid"))).alias("src"), F.max(F.when(F.col("end") == 1, F.col("nid"))).alias("dst"))
-    return batch_pairs(graph, cut(named), with_paths, reverse)
+    named = ends.select("pair_id", F.col("a.x").alias("ax"), F.col("a.y").alias("ay"), F.col("b.x").alias("bx"), F.col("b.y").alias("by")).join(at.toDF("ax", "ay", "src"), ["ax", "ay"], "left").join(at.toDF("bx", "by", "dst"), ["bx", "by"], "left")
+    return batch_pairs(graph, cut(named.select("pair_id", "src", "dst")), with_paths, reverse)
 
 
 def _pair_lines(graph: Graph, wanted: DataFrame) -> DataFrame:
@@ -122,7 +126,7 @@ def _pair_lines(graph: Graph, wanted: DataFrame) -> DataFrame:
 
 
 def line_costs(graph: Graph, lines: DataFrame) -> DataFrame:
-    """(pair_id, line_cost) of lines(pair_id, wkt): the sum of the least weights along the nodes at a line's points.
+    """(wkt, line_cost) of the distinct lines(wkt): the sum of the least weights along the nodes at a line's points.
 
     A point that is no node, or a step that is no arc, gives a null cost.
     """
@@ -130,12 +134,15 @@ def line_costs(graph: Graph, lines: DataFrame) -> DataFrame:
     ways = arcs(graph.edges).groupBy("u", "v").agg(F.min("w").alias("w"))
     points = parse_line(F.col("wkt"))
     step = F.arrays_zip(F.slice(points, 1, F.size(points) - 1).alias("a"), F.slice(points, 2, F.size(points) - 1).alias("b"))
-    each = lines.where("wkt IS NOT NULL").select("pair_id", F.explode_outer(F.when(F.size(points) > 1, step)).alias("s")).select("pair_id", F.col("s.a.x").alias("x"), F.col("s.a.y").alias("y"), F.col("s.b.x").alias("x2"), F.col("s.b.y").alias("y2"))
+    # lines are told apart by two hashes, so that their texts are not repeated for each step
+    named = lines.where("wkt IS NOT NULL").select("wkt", F.xxhash64("wkt").alias("h1"), F.xxhash64(F.lit(1), F.col("wkt")).alias("h2")).dropDuplicates(["h1", "h2"])
+    each = named.select("h1", "h2", F.explode_outer(F.when(F.size(points) > 1, step)).alias("s")).select("h1", "h2", F.col("s.a.x").alias("x"), F.col("s.a.y").alias("y"), F.col("s.b.x").alias("x2"), F.col("s.b.y").alias("y2"))
     # equal steps of many lines are looked up once
     steps = each.groupBy("x", "y", "x2", "y2").agg(F.lit(1).alias("one")).join(at.withColumnRenamed("nid", "u"), ["x", "y"], "left").join(at.toDF("x2", "y2", "v"), ["x2", "y2"], "left").join(ways, ["u", "v"], "left").select("x", "y", "x2", "y2", "w")
     met = each.join(steps, ["x", "y", "x2", "y2"], "left")
     bad = F.max((F.col("x").isNotNull() & F.col("w").isNull()).cast("int")) > 0
-    return met.groupBy("pair_id").agg(F.when(~bad, F.coalesce(F.sum("w"), F.lit(0))).alias("line_cost"))
+    sums = met.groupBy("h1", "h2").agg(F.when(~bad, F.coalesce(F.sum("w"), F.lit(0))).alias("line_cost"))
+    return named.join(sums, ["h1", "h2"]).select("wkt", "line_cost")
 
 
 def od_within(graph: Graph, pairs: DataFrame, max_cost: int, depart: int = 0, arrive_by: str | None = None) -> DataFrame:
@@ -144,7 +151,8 @@ def od_within(graph: Graph, pairs: DataFrame, max_cost: int, depart: int = 0, ar
     With ``arrive_by``, a column of the pairs, a pair must also arrive in time
     when it leaves at ``depart``; slack is the time left, else the cost left.
     """
-    met = pairs.join(batch_pairs(graph, pairs).select("pair_id", "cost"), "pair_id").where(F.col("cost") <= max_cost)
+    kind = "double" if dict(graph.edges.dtypes)["weight"] in ("double", "float") else "long"
+    met = pairs.join(distinct_pairs(graph, pairs).where(F.col("cost") <= max_cost).withColumn("cost", F.col("cost").cast(kind)), ["src", "dst"])
     slack = F.lit(max_cost) - F.col("cost") if arrive_by is None else F.col(arrive_by) - F.lit(depart) - F.col("cost")
     return met.withColumn("slack", slack).where("slack >= 0").select("pair_id", "src", "dst", "cost", "slack")
 

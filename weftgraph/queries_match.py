@@ -133,7 +133,7 @@ def batch_line_costs(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Costs of the pairs, and the sums of weights along their lines, which must be the same."""
     g = w.road(spark, sf_dir).materialised()
     found = cut(match.batch_points(g, line_points(spark, sf_dir), 1.0, with_paths=True))
-    return found.select("pair_id", "cost").join(match.line_costs(g, found), "pair_id").select("pair_id", "cost", F.col("line_cost").cast("long").alias("line_cost"))
+    return found.select("pair_id", "cost", "wkt").join(match.line_costs(g, found), "wkt").select("pair_id", "cost", F.col("line_cost").cast("long").alias("line_cost"))
 
 
 @query(f"WITH RECURSIVE {ROAD}, {PAIRS}, {NEAR_COSTS} SELECT pair_id, src, pairs.dst, cost, 500 - cost AS slack FROM pairs JOIN dist ON source = src AND dist.nid = pairs.dst WHERE cost <= 500")
