@@ -27,6 +27,8 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType
 
+from weftgraph.plans.common import ship
+
 
 @dataclass(frozen=True)
 class AnnParams:
@@ -206,6 +208,7 @@ def nearest(vectors: DataFrame, is_query: Column, params: AnnParams = AnnParams(
     columns are ignored.
     """
     spark = vectors.sparkSession
+    ship(spark)
     # narrow types go as floats, which hold them exactly; all others as doubles
     given = vectors.schema[vec_col].dataType
     kind = "array<float>" if isinstance(given, ArrayType) and given.elementType.typeName() in ("float", "short", "byte") else "array<double>"

@@ -26,6 +26,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from weftgraph.plans.common import ship
+
 #: Fixed texts: license notices and short licenses, by SPDX name.
 TEMPLATES = {
     "MIT-notice": "Released under the MIT License.",
@@ -218,6 +220,7 @@ def scan_licenses(docs: DataFrame, templates: dict[str, str] | None = None, para
     rows report their matches each; null ids are allowed. An empty table or no
     templates give no rows. Extra columns are ignored.
     """
+    ship(docs.sparkSession)
     base = docs.select(F.col(id_col).cast("long").alias("_id"), F.col(text_col).alias("_text"))
     out = base.mapInArrow(_scan(TEMPLATES if templates is None else templates, params), "_id long, license string, start long, end long, coverage double, matched long")
     return out.withColumnRenamed("_id", id_col)

@@ -25,6 +25,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from weftgraph.llm.memory import give_back
+from weftgraph.plans.common import ship
 
 WINDOW, STRIDE = 64, 48
 PIECE = 24  # bytes; longer words become several, so that all characters count
@@ -483,6 +484,7 @@ def score_toxicity(docs: DataFrame, labels: DataFrame, params: TrainParams = Tra
     rows and null ids are scored like any other. Columns of the input that
     have one of the new names are replaced.
     """
+    ship(docs.sparkSession)
     model = fit(docs, labels, params, id_col, text_col)
     rows = docs.drop("score", "predicted", "held_out")
     fields = [f for f in rows.schema.fields if carry_text or f.name != text_col]
