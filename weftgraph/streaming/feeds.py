@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from weftgraph.operators.modify import upsert
-from weftgraph.plans.common import shared_dir
+from weftgraph.plans.common import shared_dir, ship
 
 
 def changes(events: DataFrame) -> DataFrame:
@@ -137,6 +137,7 @@ def once(events: DataFrame, key: str = "event_id", late: str = "1 hour") -> Data
 
 def degrees(all_changes: DataFrame) -> DataFrame:
     """(src, degree, head): running degree and latest key of each node, kept as state."""
+    ship(all_changes.sparkSession)
 
     def step(key: tuple, rows: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
         known = set(state.get[0].split(",")) - {""} if state.exists else set()
