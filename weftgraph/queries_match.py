@@ -217,27 +217,43 @@ def tiles_stitched(spark: SparkSession, sf_dir: str) -> DataFrame:
 # ------------------------------------------------------ heuristic matches
 
 
-@query("SELECT user_id AS trip_id, count(*) AS n, true AS below FROM events GROUP BY user_id")
+INSIDE = """road_n AS MATERIALIZED (SELECT count(*) AS n, CASE WHEN count(*) <= 2000 THEN 40 ELSE 100 END AS w FROM part),
+    step AS (SELECT user_id, sum(CASE event_type WHEN 'click' THEN 1 WHEN 'signup' THEN -1 ELSE 0 END) OVER o + w // 2 AS tx, sum(CASE event_type WHEN 'view' THEN 1 WHEN 'purchase' THEN -1 ELSE 0 END) OVER o + (n // w) // 2 AS ty, w, n FROM events, road_n WINDOW o AS (PARTITION BY user_id ORDER BY ts, event_id)),
+    trip AS MATERIALIZED (SELECT user_id AS trip_id, count(*) AS n, min(least(tx, ty, w - 1 - tx, n // w - 1 - ty)) >= 0 AS inside FROM step GROUP BY user_id)"""
+
+
+def inside_trips(spark: SparkSession, sf_dir: str, gps: DataFrame) -> DataFrame:
+    """(trip_id, inside): whether all true places of a trip lie on the lattice; small lattices are left by some."""
+    n = table(spark, sf_dir, "part").count()
+    wide = w.width_of(n)
+    margin = F.least("tx", "ty", F.lit(wide - 1) - F.col("tx"), F.lit(n // wide - 1) - F.col("ty"))
+    return gps.groupBy("trip_id").agg((F.min(margin) >= 0).alias("inside"))
+
+
+@query(f"WITH {INSIDE} SELECT trip_id, n, CASE WHEN inside THEN true END AS below FROM trip")
 def map_match_score(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Samples of each trip, and whether their mean distance to the route is below one unit: it is for all."""
-    got = match.map_match(w.road(spark, sf_dir).materialised(), w.gps(spark, sf_dir).select("trip_id", "seq", "x", "y"))
-    return got.groupBy("trip_id").agg(F.count("eid").alias("n"), (F.avg("dist") < 1).alias("below"))
+    """Samples of each trip, and whether their mean distance to the route is below one unit: it is for all that stay on the lattice (null for others)."""
+    gps = cut(w.gps(spark, sf_dir))
+    got = match.map_match(w.road(spark, sf_dir).materialised(), gps.select("trip_id", "seq", "x", "y"))
+    trips = got.groupBy("trip_id").agg(F.count("*").alias("n"), (F.avg("dist") < 1).alias("near"))
+    return trips.join(inside_trips(spark, sf_dir, gps), "trip_id").select("trip_id", "n", F.when(F.col("inside"), F.col("near")).alias("below"))
 
 
 #: Samples between two steps of the published rates: one every 0.5 to 5 seconds.
 RATES = (1, 2, 5, 10)
 
 
-@query("""WITH s AS (SELECT user_id, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) - 1 AS i FROM events), r AS (SELECT unnest([1, 2, 5, 10]) AS per_step)
-    SELECT per_step::INTEGER AS per_step, count(*) * per_step AS samples, count(DISTINCT user_id) AS trips, count(DISTINCT user_id) AS below FROM s, r GROUP BY per_step""")
+@query(f"""WITH {INSIDE}, r AS (SELECT unnest([1, 2, 5, 10]) AS per_step)
+    SELECT per_step::INTEGER AS per_step, (sum(n) * per_step)::BIGINT AS samples, count(*) FILTER (WHERE inside) AS trips, count(*) FILTER (WHERE inside) AS below FROM trip, r GROUP BY per_step""")
 def map_match_rates(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The trips sampled at several rates, with positions in between: trips whose mean distance is below one unit."""
+    """All trips sampled at several rates, with positions in between: trips that stay on the lattice, and those of them whose mean distance is below one unit."""
     g = w.road(spark, sf_dir).materialised()
-    gps = cut(w.gps(spark, sf_dir).select("trip_id", "seq", "x", "y"))
+    gps = cut(w.gps(spark, sf_dir))
+    inside = cut(inside_trips(spark, sf_dir, gps))
     out = None
     for k in RATES:
-        got = match.match_rate(g, gps, k).groupBy("trip_id").agg(F.count("*").alias("n"), F.avg("dist").alias("d"))
-        row = got.agg(F.sum("n").alias("samples"), F.count("*").alias("trips"), F.count(F.when(F.col("d") < 1, 1)).alias("below")).select(F.lit(k).alias("per_step"), "samples", "trips", "below")
+        got = match.match_rate(g, gps.select("trip_id", "seq", "x", "y"), k).groupBy("trip_id").agg(F.count("*").alias("n"), F.avg("dist").alias("d")).join(inside, "trip_id")
+        row = got.agg(F.sum("n").alias("samples"), F.count(F.when(F.col("inside"), 1)).alias("trips"), F.count(F.when(F.col("inside") & (F.col("d") < 1), 1)).alias("below")).select(F.lit(k).alias("per_step"), "samples", "trips", "below")
         out = row if out is None else out.unionByName(row)
     return out
 
