@@ -205,12 +205,14 @@ def saved_tiles(spark: SparkSession, sf_dir: str) -> tuple[str, str]:
 @query(f"""WITH RECURSIVE {w.ORDERS_SQL}, s AS (SELECT eid, src, dst, weight, a.x * a.x AS x1, a.y * a.y AS y1, b.x * b.x AS x2, b.y * b.y AS y2 FROM ord_edges JOIN ord_nodes a ON a.nid = src JOIN ord_nodes b ON b.nid = dst),
     e AS MATERIALIZED (SELECT * FROM s WHERE least(x1, x2) <= 900 AND greatest(x1, x2) >= 100 AND least(y1, y2) <= 2500 AND greatest(y1, y2) >= 400),
     both_ways AS MATERIALIZED (SELECT src AS u, dst AS v, weight AS w FROM e UNION ALL SELECT dst, src, weight FROM e), least_id AS (SELECT min(u) AS nid FROM both_ways),
-    {w.sssp_sql("SELECT nid, 0::BIGINT FROM least_id", "both_ways")} SELECT nid, cost FROM dist""")
+    {w.sssp_sql("SELECT nid, 0::BIGINT FROM least_id WHERE nid IS NOT NULL", "both_ways")} SELECT nid, cost FROM dist""")
 def tiles_stitched(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A box is loaded from its tiles as one connected graph, and solved from its smallest node."""
     path, schema = saved_tiles(spark, sf_dir)
     g = tiles.graph_of(spark, path, TILE_BOX, schema).materialised()
     start = g.nodes.agg(F.min("nid")).head()[0]
+    if start is None:  # no edge touches the box
+        return spark.createDataFrame([], "nid long, cost long")
     return sssp.costs(partition.by_id_range(g, 4), start)
 
 
