@@ -143,7 +143,9 @@ def test_lines_of_point_pairs(spark):
     assert {r["line_cost"] for r in match.line_costs(g, broken).collect()} == {None}
 
 
-def test_snapping_at_any_distance(spark):
+@pytest.mark.parametrize("block", [1_024, 3])
+def test_snapping_at_any_distance(spark, monkeypatch, block):
+    monkeypatch.setattr(geo, "BLOCK_NODES", block)
     rng = random.Random(4)
     nodes = [(i, rng.uniform(-50, 50), rng.uniform(-50, 50)) for i in range(60)] + [(60, 0.0, 0.0), (61, 0.0, 0.0)]
     points = [(i, rng.uniform(-300, 300), rng.uniform(-300, 300)) for i in range(80)] + [(100, 1e6, -1e6), (101, 0.0, 0.0), (102, None, 1.0)]

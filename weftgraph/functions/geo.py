@@ -10,6 +10,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 EARTH_RADIUS_M = 6371008.8  # mean radius
+#: Most nodes around a cell in one row; denser places come in several.
+BLOCK_NODES = 1_024
 
 
 def _number(text: Column) -> Column:
@@ -155,15 +157,23 @@ def snap(points: DataFrame, nodes: DataFrame, size: float) -> DataFrame:
     at any distance are settled by a few cells a level. Points without
     coordinates, or without any node, come back with a null node.
     """
-    from weftgraph.plans.common import cut
+    from weftgraph.plans.common import checked_broadcast, cut
 
     placed = nodes.where("x IS NOT NULL AND y IS NOT NULL").select("nid", F.col("x").alias("nx"), F.col("y").alias("ny"))
     binned = placed.withColumns({"cx": cell(F.col("nx"), size), "cy": cell(F.col("ny"), size)})
     here = points.select("pid", "x", "y")
     d = distance_xy(F.col("x"), F.col("y"), F.col("nx"), F.col("ny"))
     least = F.min(F.struct(d.alias("dist"), F.col("nid").alias("nid"))).alias("b")
-    near = near_cells(here, "x", "y", size).join(binned, ["cx", "cy"]).groupBy("pid").agg(least).select("pid", "b.nid", "b.dist")
-    near = cut(near.where(F.col("dist") <= size))  # what lies outside the square is farther
+    # the nodes around each cell as one array, so that a point meets one row and needs no aggregate
+    around = near_cells(placed.groupBy("nx", "ny").agg(F.min("nid").alias("nid")), "nx", "ny", size)
+    most = around.groupBy("cx", "cy").count().agg(F.max("count")).head()[0] or 0
+    pieces = -(-most // BLOCK_NODES) or 1
+    blocks = cut(around.groupBy("cx", "cy", F.pmod(F.xxhash64("nid"), F.lit(pieces)).alias("piece")).agg(F.collect_list(F.struct("nx", "ny", "nid")).alias("nodes")).drop("piece"))
+    best = F.array_min(F.transform("nodes", lambda n: F.struct(distance_xy(F.col("x"), F.col("y"), n["nx"], n["ny"]).alias("dist"), n["nid"].alias("nid"))))
+    near = here.withColumns({"cx": cell(F.col("x"), size), "cy": cell(F.col("y"), size)}).join(checked_broadcast(blocks), ["cx", "cy"]).select("pid", best.alias("b"))
+    if pieces > 1:
+        near = near.groupBy("pid").agg(F.min("b").alias("b"))
+    near = cut(near.select("pid", "b.nid", "b.dist").where(F.col("dist") <= size))  # what lies outside the square is farther
     rest = cut(here.where("x IS NOT NULL AND y IS NOT NULL").join(near.select("pid"), "pid", "left_anti"))
     blank = here.where("x IS NULL OR y IS NULL").select("pid", F.lit(None).cast("long").alias("nid"), F.lit(None).cast("double").alias("dist"))
     if not rest.limit(1).count():

@@ -78,8 +78,9 @@ def batch_points(graph: Graph, pairs: DataFrame, size: float, with_paths: bool =
     ``size`` is a usual distance between nodes. Texts that are no point have a
     null node and cost.
     """
-    ends = pairs.select("pair_id", parse_point(F.col("src_wkt")).alias("a"), parse_point(F.col("dst_wkt")).alias("b"))
-    spots = ends.select(F.explode(F.array("a", "b")).alias("p")).where("p IS NOT NULL").select("p.x", "p.y").distinct().select(F.struct("x", "y").alias("pid"), "x", "y")
+    # texts are read once, and each place is snapped once
+    ends = cut(pairs.select("pair_id", parse_point(F.col("src_wkt")).alias("a"), parse_point(F.col("dst_wkt")).alias("b")))
+    spots = cut(ends.select(F.explode(F.array("a", "b")).alias("p")).where("p IS NOT NULL").select("p.x", "p.y").distinct().select(F.struct("x", "y").alias("pid"), "x", "y"))
     at = cut(snap(spots, graph.nodes, size).select(F.col("pid.x").alias("x"), F.col("pid.y").alias("y"), "nid"))
     named = ends.select("pair_id", F.col("a.x").alias("ax"), F.col("a.y").alias("ay"), F.col("b.x").alias("bx"), F.col("b.y").alias("by")).join(at.toDF("ax", "ay", "src"), ["ax", "ay"], "left").join(at.toDF("bx", "by", "dst"), ["bx", "by"], "left")
     return batch_pairs(graph, cut(named.select("pair_id", "src", "dst")), with_paths, reverse)

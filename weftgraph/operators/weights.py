@@ -70,7 +70,8 @@ def idw(graph: Graph, points: DataFrame, power: int = 2, radius: float | None =
             weight = F.when(near, 0.0).otherwise(1 / F.pow(gap(p), F.lit(power / 2)))
             return F.struct((acc["w"] + weight).alias("w"), (acc["f"] + weight * p["factor"]).alias("f"), (acc["n"] + near.cast("long")).alias("n"), (acc["hit"] + F.when(near, p["factor"]).otherwise(0.0)).alias("hit"))
 
-        folded = mid.join(F.broadcast(table)).select("eid", F.aggregate("p", zero, add).alias("s"))
+        tasks = int(graph.spark.conf.get("spark.sql.shuffle.partitions"))
+        folded = mid.repartition(tasks).join(F.broadcast(table)).select("eid", F.aggregate("p", zero, add).alias("s"))
         return folded.select("eid", F.when(F.col("s.n") > 0, F.col("s.hit") / F.col("s.n")).when(F.col("s.w") > 0, F.col("s.f") / F.col("s.w")).otherwise(1.0).alias("factor"))
     else:
         spread = near_cells(named, "px", "py", radius)

@@ -87,7 +87,8 @@ SPOTS = dict(sx=(7919, 104729, 31), sy=(15485863, 49, 1299709), dx=(611953, 27,
 
 def line_points(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(pair_id, src_wkt, dst_wkt): a pair of random points over the whole lattice for each line item."""
-    items = table(spark, sf_dir, "lineitem")
+    tasks = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    items = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey", "l_suppkey").repartition(tasks)  # the given table is one small file
     n = table(spark, sf_dir, "part").count()
     wide = w.width_of(n)
     top = {"x": wide - 1, "y": n // wide - 1}
