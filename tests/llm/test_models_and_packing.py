@@ -8,6 +8,7 @@ import math
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -104,6 +105,16 @@ def test_held_out_accuracy_on_documents(spark):
     assert clean > 0.99 and caught > 0.85
 
 
+def test_a_task_frees_what_other_operators_keep_and_returns_small_batches():
+    list(packing._pieces(packing.default_vocabulary(), 4096, 1)(iter([pa.record_batch({"_id": [1], "_text": ["some words"]})])))
+    assert packing._word_tokens.cache_info().currsize == 1  # for the next task of packing
+    batch = pa.record_batch({"doc_id": range(1000), "text": [f"text {i}" for i in range(1000)]})
+    out = list(toxicity._score_batches(None, "text", True)(iter([batch])))
+    assert packing._word_tokens.cache_info().currsize == 0
+    assert max(b.num_rows for b in out) <= 256
+    assert pa.Table.from_batches(out).drop(["_score"]).equals(pa.Table.from_batches([batch]))
+
+
 def test_rare_words_that_mark_toxic_documents_have_vectors():
     calm = [" ".join(f"w{j}" for j in range(i % 7, 40)) for i in range(160)]
     rows = [(t + " zork" * (i % 20 == 0), int(i % 20 == 0)) for i, t in enumerate(calm)]
@@ -285,6 +296,32 @@ def test_large_counts_are_planned_in_bulk():
     assert packing.plan_packing({}).n_sequences == 0
 
 
+class _Counting:
+    """A tokenizer that counts the texts it encodes."""
+
+    def __init__(self, tokenizer):
+        self.tokenizer, self.texts = tokenizer, 0
+
+    def encode_batch_fast(self, texts, **options):
+        self.texts += len(texts)
+        return self.tokenizer.encode_batch_fast(texts, **options)
+
+
+def test_new_words_are_encoded_many_at_a_time():
+    words = packing.WordTokens(packing.default_vocabulary(), limit=2000)
+    rng = np.random.default_rng(5)
+    signs = np.array(list("abcdefg \u00e9\u00c9\u00df\u00aa\u00b5\u00b2\u00bd01,.-!\n\t\x1c\x1f\x85\xa0<|>\u015f\u0130\u03a9\u6f22'"))
+    odd = ["".join(signs[rng.integers(len(signs), size=n)]) for n in rng.integers(0, 60, size=2000)]
+    texts = [*odd, "0", "a0b 0 0", "", "\xa0", "i'll don't", " ".join("abc"[i % 3] * (i // 3 + 1) for i in range(3000))]
+    words.letters = _Counting(words.letters)
+    got = [ids.tolist() for at in range(0, len(texts), 64) for ids in words.encode(texts[at : at + 64])]
+    assert got == [e.ids for e in words.whole.encode_batch(texts, add_special_tokens=False)]
+    assert 0 < words.letters.texts < 100  # thousands of distinct words
+    no_mark = packing.WordTokens(packing.default_vocabulary())
+    no_mark.between = no_mark.letters.encode("a", add_special_tokens=False).ids  # a token that letters do have
+    assert [ids.tolist() for ids in no_mark.encode(["b a a c"])] == [words.whole.encode("b a a c", add_special_tokens=False).ids]
+
+
 def test_pack_round_trip(spark):
     from tokenizers import Tokenizer
 

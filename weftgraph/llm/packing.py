@@ -20,6 +20,8 @@ import struct
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
+from itertools import compress
+from operator import not_
 
 import numpy as np
 import pyarrow as pa
@@ -27,7 +29,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from weftgraph.llm.memory import give_back
+from weftgraph.llm.memory import give_back, keep, make_room
 from weftgraph.plans.common import ordinal, written
 
 CAPACITY, END_ID = 4096, 1
@@ -43,6 +45,8 @@ def default_vocabulary() -> str:
 #: Letters of Latin-1 in lower case, and what the tokenizer takes as white space there.
 _LETTERS, _WHITE = "a-z\u00aa\u00b5\u00ba\u00df-\u00f6\u00f8-\u00ff", "\t-\r \u0085\u00a0"
 _RUNS = re.compile(f"[{_LETTERS}]+|[^{_LETTERS}{_WHITE}]+")
+#: Stands between words that are encoded as one text; it is no letter, so it is a token of its own.
+_BETWEEN = "0"
 
 
 class WordTokens:
@@ -54,18 +58,20 @@ class WordTokens:
     letters) and special tokens are put in lower case and cut into runs of
     letters and of other characters; there, the tokenizer's normalisation
     changes nothing more, so letters are encoded by one that has the same
-    model without it. Other texts are cut at spaces and newlines only. Each
-    distinct part is encoded once until the memory is full and starts anew.
+    model without it, many runs in one text with ``_BETWEEN`` between them.
+    Other texts are cut at spaces and newlines only. Each distinct part is
+    encoded once until the memory is full and starts anew.
     """
 
     def __init__(self, vocabulary: str, limit: int = _CACHE_WORDS):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # one task, one core
         from tokenizers import Tokenizer
-        from tokenizers.pre_tokenizers import ByteLevel
+        from tokenizers.pre_tokenizers import ByteLevel, Sequence, Split
 
         self.whole, self.limit = Tokenizer.from_file(vocabulary), limit
         self.letters = Tokenizer(self.whole.model)  # the same model, not a copy
-        self.letters.pre_tokenizer = ByteLevel(add_prefix_space=False, use_regex=False)
+        self.letters.pre_tokenizer = Sequence([Split(_BETWEEN, "isolated"), ByteLevel(add_prefix_space=False, use_regex=False)])
+        self.between = self.letters.encode(_BETWEEN, add_special_tokens=False).ids
         self.known: dict[str, bytes] = {}
         self.texts: dict[bytes, list[tuple]] = {}
 
@@ -87,21 +93,39 @@ class WordTokens:
                 ids = code.ids
                 self.known[part] = struct.pack(f"<{len(ids)}I", *ids)
 
+    def _learn_letters(self, parts: list[str]) -> None:
+        for at in range(0, len(parts), 1024):
+            some = parts[at : at + 1024]
+            ids = np.array(self.letters.encode_batch_fast([_BETWEEN.join(some)], add_special_tokens=False)[0].ids, "<u4")
+            ends = np.flatnonzero(ids == self.between[0]).tolist() if len(self.between) == 1 else []
+            if len(ends) != len(some) - 1:  # not a token that letters never have
+                self._learn(self.letters, some)
+                continue
+            raw = ids.tobytes()
+            for part, start, end in zip(some, [0, *[e + 1 for e in ends]], [*ends, len(ids)], strict=True):
+                self.known[part] = raw[4 * start : 4 * end]
+
     def encode(self, texts: list[str]) -> list[np.ndarray]:
         if len(self.known) > self.limit:
             self.known = {}
         split = [self.cut(t) for t in texts]
-        runs = {p for simple, parts in split if simple for p in parts}.difference(self.known)
-        self._learn(self.letters, [p for p in runs if p[0].isalpha()])
-        rest = set().union(*[parts for simple, parts in split if not simple], [p for p in runs if not p[0].isalpha()])
-        self._learn(self.whole, list(rest.difference(self.known)))
-        get = self.known.__getitem__
-        return [np.frombuffer(b"".join(map(get, parts)), "<u4") for _, parts in split]
+        found = [list(map(self.known.get, parts)) for _, parts in split]
+        gaps = [list(compress(range(len(f)), map(not_, f))) for f in found]
+        runs, words = set(), set()
+        for (simple, parts), at in zip(split, gaps, strict=True):
+            (runs if simple else words).update([parts[i] for i in at])
+        self._learn_letters([p for p in runs if p[0].isalpha()])
+        self._learn(self.whole, list(words.union(p for p in runs if not p[0].isalpha())))
+        for (_, parts), f, at in zip(split, found, gaps, strict=True):
+            for i in at:
+                f[i] = self.known[parts[i]]
+        return [np.frombuffer(b"".join(f), "<u4") for f in found]
 
 
 @functools.lru_cache(maxsize=2)
 def _word_tokens(vocabulary: str) -> WordTokens:
-    """One encoder for all tasks of a worker process."""
+    """One encoder for all tasks of a worker process, until another operator needs the room."""
+    keep("packing", _word_tokens.cache_clear)
     return WordTokens(vocabulary)
 
 
@@ -116,13 +140,13 @@ def pieces_of(ids: np.ndarray, capacity: int) -> list[tuple[int, int, int, int]]
 
 def _pieces(vocabulary: str, capacity: int, end_id: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        make_room("packing")
         words = _word_tokens(vocabulary)
         end = np.array([end_id], "<u4")
         for batch in batches:
-            ids, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-            rows = []
-            for at in range(0, len(texts), 64):  # bounds the words held at once
-                some = [t or "" for t in texts[at : at + 64]]
+            ids, rows = batch.column(0).to_pylist(), []
+            for at in range(0, len(ids), 64):  # bounds the words held at once
+                some = [t or "" for t in batch.column(1).slice(at, 64).to_pylist()]
                 # copies of a text that is remembered are not cut again
                 keys = [xxhash.xxh3_128_digest(t.encode("utf-8", "surrogatepass")) for t in some]
                 new = {k: t for k, t in zip(keys, some, strict=True) if k not in words.texts}
@@ -135,6 +159,7 @@ def _pieces(vocabulary: str, capacity: int, end_id: int):
             cols = list(zip(*rows, strict=True)) if rows else [[]] * 5
             kinds = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64()]
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names=["_id", "piece", "start", "length", "ids_crc32"])
+        batch = ids = rows = cols = some = keys = new = done = words = None  # else they outlive this
         give_back()
 
     return run

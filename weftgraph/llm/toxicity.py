@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from weftgraph.llm.memory import give_back
+from weftgraph.llm.memory import give_back, make_room
 from weftgraph.plans.common import ship
 
 WINDOW, STRIDE = 64, 48
@@ -432,16 +432,16 @@ class _Scorer:
 
 def _score_batches(model: Model | None, text_col: str, carry_text: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        make_room("toxicity")
         scorer = _Scorer(model) if model else None
         for batch in batches:
             i = batch.schema.get_field_index(text_col)
             kept = [j for j in range(batch.num_columns) if carry_text or j != i]
-            out = []
-            for at in range(0, batch.num_rows, 256):
-                texts = batch.column(i).slice(at, 256).to_pylist()
-                out.append(scorer.scores(texts) if scorer else np.zeros(len(texts)))
-            score = np.concatenate(out) if out else np.empty(0)
-            yield pa.RecordBatch.from_arrays([*[batch.column(j) for j in kept], pa.array(score, pa.float64())], names=[*[batch.schema.names[j] for j in kept], "_score"])
+            for at in range(0, batch.num_rows, 256):  # small batches leave, so that no copy of a whole one is held
+                some = batch.slice(at, 256)
+                score = scorer.scores(some.column(i).to_pylist()) if scorer else np.zeros(some.num_rows)
+                yield pa.RecordBatch.from_arrays([*[some.column(j) for j in kept], pa.array(score, pa.float64())], names=[*[batch.schema.names[j] for j in kept], "_score"])
+        batch = some = scorer = None  # else they outlive this
         give_back()
 
     return run
