@@ -5,9 +5,11 @@ from __future__ import annotations
 import heapq
 import math
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -314,8 +316,8 @@ def denser(gps: DataFrame, per_step: int) -> DataFrame:
 
 
 def match_rate(graph: Graph, gps: DataFrame, per_step: int, **options) -> DataFrame:
-    """The match of the trips with ``per_step`` samples for each one given."""
-    return map_match(graph, denser(gps, per_step), **options)
+    """The match of the trips with ``per_step`` samples for each one given; positions in between are made where their trip lies, and not shuffled."""
+    return _matched(graph, denser(_dealt(gps), per_step), **options)
 
 
 def thinned(gps: DataFrame, keep_every: int) -> DataFrame:
@@ -324,52 +326,160 @@ def thinned(gps: DataFrame, keep_every: int) -> DataFrame:
     return gps.withColumn("_n", F.row_number().over(place) - 1).where(F.col("_n") % keep_every == 0).drop("_n")
 
 
-def map_match(graph: Graph, gps: DataFrame, radius: float = 0.6, max_radius: float = 2.4, sigma: float = 0.2, beta: float = 0.5, keep: int = 4) -> DataFrame:
+def _dealt(gps: DataFrame) -> DataFrame:
+    """Whole trips over many tasks, however few the bytes: each sample stands for much work."""
+    return gps.select("trip_id", "seq", "x", "y").repartition(int(gps.sparkSession.conf.get("spark.sql.shuffle.partitions")), "trip_id")
+
+
+def _cell(v: np.ndarray, size: float) -> np.ndarray:
+    """``geo.cell`` of an array; what has no cell lies beyond all others."""
+    with np.errstate(invalid="ignore"):
+        at = np.floor(v / size + 0.5)
+    return np.where(np.abs(at) < 2.0**53, at, 2.0**53).astype(np.int64)
+
+
+def _spread(counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(row, place) of each one of so many places of each row."""
+    row = np.repeat(np.arange(len(counts)), counts)
+    return row, np.arange(len(row)) - np.repeat(np.cumsum(counts) - counts, counts)
+
+
+@dataclass
+class Roads:
+    """Edges between places of a block, with the places' coordinates: what a worker needs to look up edges itself."""
+
+    eid: np.ndarray
+    u: np.ndarray
+    v: np.ndarray
+    x: np.ndarray
+    y: np.ndarray
+
+    def cells(self, wide: float) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """(columns and rows of cells in order, where their edges begin, edges) as ``edges_near`` enters them; made when they are first asked for."""
+        if not hasattr(self, "_cells"):
+            self._cells = {}
+        if wide not in self._cells:
+            ax, ay, bx, by = self.x[self.u], self.y[self.u], self.x[self.v], self.y[self.v]
+            low, high = _cell(np.minimum(ax, bx), wide), _cell(np.maximum(ax, bx), wide)
+            e, k = _spread(high - low + 1)
+            cx = low[e] + k
+            dx, dy, x0, y0 = (bx - ax)[e], (by - ay)[e], ax[e], ay[e]
+            upright = dx == 0
+            at_x = lambda edge: np.clip(((cx + edge) * wide - x0) / np.where(upright, 1.0, dx), 0.0, 1.0)
+            y1, y2 = (y0 + dy * np.where(upright, float(end), at_x(edge)) for edge, end in ((-0.5, 0), (0.5, 1)))
+            slack = 1e-9 * wide
+            low, high = _cell(np.minimum(y1, y2) - slack, wide), _cell(np.maximum(y1, y2) + slack, wide)
+            row, k = _spread(high - low + 1)
+            e, cx, cy = e[row], cx[row], low[row] + k
+            order = np.lexsort((cy, cx))
+            e, cx, cy = e[order].astype(np.int32), cx[order], cy[order]
+            begins = np.flatnonzero(np.concatenate(([True], (cx[1:] != cx[:-1]) | (cy[1:] != cy[:-1])))) if len(e) else np.empty(0, np.int64)
+            lowest, rows = (int(cy.min()), int(cy.max() - cy.min()) + 1) if len(e) else (0, 1)
+            keys = cx[begins] * rows + (cy[begins] - lowest)
+            self._cells[wide] = keys, np.append(begins, len(e)), e, np.array([lowest, rows, *((cx[0], cx[-1]) if len(e) else (1, 0))])
+        return self._cells[wide]
+
+    def near(self, x: np.ndarray, y: np.ndarray, radius: float) -> tuple[np.ndarray, ...]:
+        """(sample, edge, t, px, py, d) of all edges within the radius of each sample, as ``edges_near`` finds them."""
+        wide = 2 * radius
+        keys, begins, edges, (lowest, rows, first, last) = self.cells(wide)
+        x_low, x_high, y_low, y_high = _cell(x - radius, wide), _cell(x + radius, wide), _cell(y - radius, wide), _cell(y + radius, wide)
+        # only cells that hold edges are looked into
+        x_low, x_high = np.maximum(x_low, first), np.minimum(x_high, last)
+        y_low, y_high = np.maximum(y_low, lowest), np.minimum(y_high, lowest + rows - 1)
+        sample, k = _spread(np.maximum(x_high - x_low + 1, 0))
+        cx = x_low[sample] + k
+        row, k = _spread(np.maximum(y_high - y_low + 1, 0)[sample])
+        sample, cx, cy = sample[row], cx[row], y_low[sample[row]] + k
+        wanted = cx * rows + (cy - lowest)
+        at = np.minimum(np.searchsorted(keys, wanted), max(len(keys) - 1, 0))
+        known = keys[at] == wanted if len(keys) else np.zeros(len(wanted), bool)
+        sample, cx, cy, at = sample[known], cx[known], cy[known], at[known]
+        row, k = _spread(begins[at + 1] - begins[at])
+        e = edges[begins[at[row]] + k]
+        sample, cx, cy = sample[row], cx[row], cy[row]
+        ax, ay, bx, by = self.x[self.u[e]], self.y[self.u[e]], self.x[self.v[e]], self.y[self.v[e]]
+        dx, dy, sx, sy = bx - ax, by - ay, x[sample], y[sample]
+        square = dx * dx + dy * dy
+        t = np.where(square > 0, np.maximum(0.0, np.minimum(1.0, ((sx - ax) * dx + (sy - ay) * dy) / np.where(square > 0, square, 1.0))), 0.0)
+        px, py = ax + t * dx, ay + t * dy
+        d = np.sqrt((sx - px) * (sx - px) + (sy - py) * (sy - py))
+        keep = (d <= radius) & (_cell(px, wide) == cx) & (_cell(py, wide) == cy)
+        return sample[keep], e[keep], t[keep], px[keep], py[keep], d[keep]
+
+
+def _pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """A row of packed columns for each batch (eid, u, v, ax, ay, bx, by)."""
+    for batch in batches:
+        if batch.num_rows:
+            yield pa.RecordBatch.from_arrays([pa.array([c.to_numpy(zero_copy_only=False).tobytes()], pa.binary()) for c in batch.columns], names=batch.schema.names)
+
+
+def roads(graph: Graph) -> tuple:
+    """The graph for matching, as two broadcasts: compressed rows weighed by lengths, and edges with coordinates. Its size is checked first."""
+    at = graph.nodes.select("nid", "x", "y")
+    ends = graph.edges.join(at.toDF("src", "ax", "ay"), "src").join(at.toDF("dst", "bx", "by"), "dst").withColumn("weight", F.sqrt((F.col("ax") - F.col("bx")) * (F.col("ax") - F.col("bx")) + (F.col("ay") - F.col("by")) * (F.col("ay") - F.col("by"))))
+    shared = replicate(graph.with_edges(ends.select(*graph.edges.columns).withColumn("direction", F.lit(0))))
+    block = shared.value
+    x, y = np.zeros(len(block.ids)), np.zeros(len(block.ids))
+    pieces: list[tuple] = [(np.empty(0, np.int64), np.empty(0, np.int32), np.empty(0, np.int32))]
+    whole = ends.where("weight IS NOT NULL AND eid IS NOT NULL").select(*[F.col(c).cast("long") for c in ("eid", "src", "dst")], *[F.col(c).cast("double") for c in ("ax", "ay", "bx", "by")])
+    for r in whole.mapInArrow(_pack, ", ".join(f"{c} binary" for c in whole.columns)).toLocalIterator():
+        eid, u, v = (np.frombuffer(r[c], np.int64) for c in ("eid", "src", "dst"))
+        u, v = block.place(u).astype(np.int32), block.place(v).astype(np.int32)
+        x[u], y[u], x[v], y[v] = (np.frombuffer(r[c], np.float64) for c in ("ax", "ay", "bx", "by"))
+        pieces.append((eid, u, v))
+    return shared, graph.spark.sparkContext.broadcast(Roads(*(np.concatenate(c) for c in zip(*pieces, strict=True)), x, y))
+
+
+def map_match(graph: Graph, gps: DataFrame, **options) -> DataFrame:
     """(trip_id, seq, eid, x, y, dist): samples on the most likely route of their trip.
 
     A hidden Markov chain of candidate edges: emissions by distance, steps by
     how far the way on the network differs from the straight line. Samples
     without an edge in the radius are looked up again with twice the radius up
     to ``max_radius``; what then has none stays unmatched (null), and the chain
-    starts anew behind it. Ways are passed in both directions.
+    starts anew behind it. Ways are passed in both directions. Options are
+    those of ``_matched``.
     """
-    n = int(graph.spark.conf.get("spark.sql.shuffle.partitions"))
-    gps = gps.select("trip_id", "seq", "x", "y").repartition(n, "trip_id", "seq")
-    found, rest, r = None, gps, radius
-    while True:
-        got = cut(edges_near(graph, rest, r))
-        found = got if found is None else found.unionByName(got)
-        if r >= max_radius:
-            break
-        rest = cut(rest.join(got.select("trip_id", "seq").distinct(), ["trip_id", "seq"], "left_anti"))
-        if not rest.limit(1).count():
-            break
-        r = min(2 * r, max_radius)
-    at = graph.nodes.select("nid", "x", "y")
-    lengths = graph.edges.join(at.toDF("src", "ax", "ay"), "src").join(at.toDF("dst", "bx", "by"), "dst").withColumn("weight", F.sqrt((F.col("ax") - F.col("bx")) * (F.col("ax") - F.col("bx")) + (F.col("ay") - F.col("by")) * (F.col("ay") - F.col("by"))))
-    shared = replicate(graph.with_edges(lengths.select(*graph.edges.columns).withColumn("direction", F.lit(0))))
-    rows = gps.select("trip_id", "seq", "x", "y").join(found, ["trip_id", "seq"], "left")
+    return _matched(graph, _dealt(gps), **options)
+
+
+def _matched(graph: Graph, gps: DataFrame, radius: float = 0.6, max_radius: float = 2.4, sigma: float = 0.2, beta: float = 0.5, keep: int = 4, shared: tuple | None = None) -> DataFrame:
+    """``map_match`` of samples dealt by trip. Candidates are looked up in place, so only samples are shuffled and nothing is stored; ``shared`` are the ``roads`` of the graph, made once for many matches."""
+    rows, edges = shared or roads(graph)
 
     def one(pdf: pd.DataFrame) -> pd.DataFrame:
-        col = {c: pdf[c].to_numpy() for c in ("seq", "x", "y", "eid", "u", "v", "len", "t", "px", "py", "d")}
-        order = np.lexsort((col["eid"], col["d"], col["seq"]))
-        seq = col["seq"][order]
-        begins = np.flatnonzero(np.concatenate(([True], seq[1:] != seq[:-1])))
-        place = np.arange(len(seq)) - np.repeat(begins, np.diff(np.append(begins, len(seq))))
-        order = order[place < keep]  # the nearest edges of each sample
-        col = {c: a[order] for c, a in col.items()}
-        start = np.flatnonzero(np.concatenate(([True], col["seq"][1:] != col["seq"][:-1])))
-        real = ~np.isnan(col["d"])
-        first = np.concatenate(([0], np.cumsum(real)))[np.append(start, len(real))]
-        block = shared.value
-        kept = {c: col[c][real] for c in ("eid", "u", "v", "len", "t", "px", "py", "d")}
-        u, v = block.place(kept["u"].astype(np.int64)), block.place(kept["v"].astype(np.int64))
-        picks = np.array(best_chain(_Network.of(block), col["x"][start].tolist(), col["y"][start].tolist(), first.tolist(), kept["eid"].astype(np.int64).tolist(), u.tolist(), v.tolist(), kept["len"].tolist(), kept["t"].tolist(), kept["d"].tolist(), sigma, beta), np.int64)
+        pdf = pdf.sort_values("seq", kind="stable").drop_duplicates("seq")
+        x, y = pdf["x"].to_numpy(np.float64), pdf["y"].to_numpy(np.float64)
+        block, lines = rows.value, edges.value
+        rest, found, r = np.flatnonzero(np.isfinite(x) & np.isfinite(y)), [], radius
+        while len(rest):
+            got = lines.near(x[rest], y[rest], r)
+            found.append((rest[got[0]], *got[1:]))
+            if r >= max_radius:
+                break
+            rest = np.delete(rest, np.unique(got[0]))
+            r = min(2 * r, max_radius)
+        none = np.empty(0, np.int64)
+        sample, e, t, px, py, d = (np.concatenate(c) for c in zip(*found, strict=True)) if found else (none, none, *[np.empty(0)] * 4)
+        eid = lines.eid[e]
+        order = np.lexsort((eid, d, sample))
+        sample = sample[order]
+        begins = np.searchsorted(sample, np.arange(len(x)))
+        best = np.arange(len(sample)) - begins[sample] < keep  # the nearest edges of each sample
+        order, sample = order[best], sample[best]
+        first = np.searchsorted(sample, np.arange(len(x) + 1))
+        e, eid, t, px, py, d = (c[order] for c in (e, eid, t, px, py, d))
+        u, v = lines.u[e], lines.v[e]
+        ax, ay, bx, by = lines.x[u], lines.y[u], lines.x[v], lines.y[v]
+        length = np.sqrt((ax - bx) * (ax - bx) + (ay - by) * (ay - by))
+        picks = np.array(best_chain(_Network.of(block), x.tolist(), y.tolist(), first.tolist(), eid.tolist(), u.tolist(), v.tolist(), length.tolist(), t.tolist(), d.tolist(), sigma, beta), np.int64)
         none = picks < 0
-        take = lambda c: np.where(none, np.nan, kept[c][np.maximum(picks, 0)] if len(kept[c]) else np.nan)
-        eid = pd.array(np.where(none, 0, kept["eid"][np.maximum(picks, 0)] if len(kept["eid"]) else 0).astype(np.int64), dtype="Int64")
-        eid[none] = pd.NA
-        return pd.DataFrame({"trip_id": pdf["trip_id"].iloc[0], "seq": col["seq"][start], "eid": eid, "x": take("px"), "y": take("py"), "dist": take("d")})
+        take = lambda c: np.where(none, np.nan, c[np.maximum(picks, 0)] if len(c) else np.nan)
+        on = pd.array(np.where(none, 0, eid[np.maximum(picks, 0)] if len(eid) else 0).astype(np.int64), dtype="Int64")
+        on[none] = pd.NA
+        return pd.DataFrame({"trip_id": pdf["trip_id"].iloc[0], "seq": pdf["seq"].to_numpy(), "eid": on, "x": take(px), "y": take(py), "dist": take(d)})
 
-    out = rows.groupBy("trip_id").applyInPandas(one, "trip_id long, seq long, eid long, x double, y double, dist double")
+    out = gps.groupBy("trip_id").applyInPandas(one, "trip_id long, seq long, eid long, x double, y double, dist double")
     return out.select("trip_id", "seq", "eid", *[F.when(~F.isnan(c), F.col(c)).alias(c) for c in ("x", "y", "dist")])
